@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from evograph.llm import piece_codec
+from evograph.llm import packing, piece_codec
 
 QUERIES = {
     "op3_sentencepiece": piece_codec.op3_sentencepiece,
+    "op7_best_fit": packing.op7_best_fit,
 }
 
 ORACLES: dict[str, str] = {}
