@@ -31,7 +31,7 @@ from evograph.llm.common import table
 
 MARK = "▁"
 LONG_WORD = 512
-TABLE_WORDS = 300_000
+TABLE_WORDS = 800_000
 SLICE_CHARS = 2_000_000
 _WORD = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
 _NONE = np.int64(2**62)
@@ -59,6 +59,8 @@ class PieceCodec:
         self.byte_id = {b: i for i, b in self.byte_of.items()}
         self.symbol = {p: i for i, p in enumerate(self.text) if self.kind[i] == "piece"}
         self.n = n
+        self.number = [str(i) for i in range(n)]
+        self.shown = {i: p.replace(MARK, " ") for i, p in enumerate(self.text) if self.kind[i] == "piece"}
         for p in list(self.symbol):  # characters that only occur inside pieces get symbols past the ids
             for c in p:
                 if c not in self.symbol:
@@ -82,6 +84,7 @@ class PieceCodec:
         self.ranks = np.unique(np.array(ranks), return_inverse=True)[1].astype(np.int64)[order]
         self.pair = {int(k): (int(r), int(m)) for k, r, m in zip(self.keys, self.ranks, self.made)}
         self.words: dict[str, tuple[int, str, str]] = {}
+        self.older: dict[str, tuple[int, str, str]] = {}
 
     def pairs(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Rank (or none) and merged symbol of each pair."""
@@ -104,10 +107,11 @@ class PieceCodec:
             word = np.repeat(np.arange(len(todo)), lens)
             start = np.arange(len(chars))  # where a symbol begins, for byte fallback
             done_sym, done_word, done_at = [], [], []
+            # rank[i] and made[i] belong to symbols i and i + 1; only pairs beside a merge change
+            rank, made = np.full(len(sym), _NONE), np.zeros(len(sym), dtype=np.int64)
+            fresh = np.flatnonzero(word[:-1] == word[1:])
+            rank[fresh], made[fresh] = self.pairs(sym[fresh], sym[fresh + 1])
             while len(sym):
-                rank, made = self.pairs(sym[:-1], sym[1:])
-                rank[word[:-1] != word[1:]] = _NONE
-                rank = np.append(rank, _NONE)
                 first = np.flatnonzero(np.append(True, word[1:] != word[:-1]))
                 best = np.minimum.reduceat(rank, first)
                 sizes = np.diff(np.append(first, len(sym)))
@@ -123,14 +127,29 @@ class PieceCodec:
                 lead = hit[np.append(True, word[hit][1:] != word[hit][:-1])]
                 sym[lead] = made[lead]
                 keep[lead + 1] = False
-                sym, word, start = sym[keep], word[keep], start[keep]
+                stale = np.zeros(len(sym), dtype=bool)
+                stale[lead] = True
+                stale[np.maximum(lead - 1, 0)] = True
+                stale[np.maximum(lead - 2, 0)] = True
+                sym, word, start, rank, made, stale = (x[keep] for x in (sym, word, start, rank, made, stale))
+                at = np.flatnonzero(stale)
+                rank[at] = _NONE
+                at = at[at + 1 < len(sym)]
+                at = at[word[at] == word[at + 1]]
+                rank[at], made[at] = self.pairs(sym[at], sym[at + 1])
             sym, word, start = (np.concatenate(x) for x in (done_sym, done_word, done_at))
             order = np.argsort(start, kind="stable")
-            sym, word, start = sym[order].tolist(), word[order].tolist(), start[order].tolist()
-            for k in todo:
-                out[k] = []
-            for s, w, at in zip(sym, word, start):
-                out[todo[w]].extend([s] if s < self.n else self._bytes(chars[at]))
+            sym, word, start = sym[order], word[order], start[order]
+            ends = np.cumsum(np.bincount(word, minlength=len(todo))).tolist()
+            plain = np.ones(len(todo), dtype=bool)
+            plain[word[sym >= self.n]] = False
+            ids, at = sym.tolist(), 0
+            for k, end, simple in zip(todo, ends, plain.tolist()):
+                if simple:
+                    out[k] = ids[at:end]
+                else:
+                    out[k] = [i for j in range(at, end) for i in ([ids[j]] if ids[j] < self.n else self._bytes(chars[start[j]]))]
+                at = end
         return [x or [] for x in out]
 
     def _bytes(self, char: str) -> list[int]:
@@ -168,17 +187,27 @@ class PieceCodec:
         return ids
 
     def learn(self, words: set[str]) -> None:
-        """Put words that the table lacks into it; a full table starts anew."""
-        if len(self.words) > TABLE_WORDS:
-            self.words = {}
-        new = [w for w in words if w not in self.words]
+        """Put words that the table lacks into it; when it is full, words not seen of late go."""
+        if len(self.words) > TABLE_WORDS // 2:
+            self.older, self.words = self.words, {}
+        new = []
+        for w in words.difference(self.words):
+            if w in self.older:
+                self.words[w] = self.older[w]
+            else:
+                new.append(w)
         for k in range(0, len(new), 50_000):
             part = new[k : k + 50_000]
+            number = self.number
             for w, ids in zip(part, self.encode_words(part)):
-                self.words[w] = (len(ids), " ".join(map(str, ids)), self._plain(ids))
+                self.words[w] = (len(ids), " ".join([number[i] for i in ids]), self._plain(ids))
 
     def _plain(self, ids: list[int]) -> str:
         """Text of ids, marks as spaces, without dropping the dummy prefix."""
+        try:  # pieces alone
+            return "".join([self.shown[i] for i in ids])
+        except KeyError:
+            pass
         parts, run = [], bytearray()
         for i in ids:
             if i in self.byte_of:
@@ -188,7 +217,7 @@ class PieceCodec:
                 parts.append(_utf8(bytes(run)))
                 run = bytearray()
             if self.kind[i] == "piece":
-                parts.append(self.text[i].replace(MARK, " "))
+                parts.append(self.shown[i])
             elif i == self.unk:
                 parts.append(" ⁇ ")
         if run:

@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
-from evograph.llm import packing, piece_codec
+from evograph.llm import chat_format, packing, piece_codec, quality_rules
 
 QUERIES = {
     "op3_sentencepiece": piece_codec.op3_sentencepiece,
     "op7_best_fit": packing.op7_best_fit,
+    "op8_quality_rules": quality_rules.op8_quality_rules,
+    "op9_chat_format": chat_format.op9_chat_format,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op8_quality_rules": quality_rules.OP8_SQL,
+    "op9_chat_format": chat_format.OP9_SQL,
+}
