@@ -238,14 +238,14 @@ class PieceCodec:
     def digest(self, texts: list[str | None]) -> tuple[list[int], list[str], list[str]]:
         """Number of ids, hash of the ids, hash of the decoded text, by text."""
         split = [_WORD.findall(MARK + t.replace(" ", MARK)) if t else [] for t in texts]
-        self.learn({w for ws in split for w in ws})
-        words, count, ids_hash, text_hash = self.words, [], [], []
+        self.learn(set().union(*split))
+        get, count, ids_hash, text_hash = self.words.__getitem__, [], [], []
         end = str(self.eos)
         for ws in split:
-            got = [words[w] for w in ws]
-            count.append(sum([g[0] for g in got]) + 1)
-            ids_hash.append(hashlib.sha256(" ".join([g[1] for g in got] + [end]).encode()).hexdigest())
-            text = "".join([g[2] for g in got])
+            sizes, numbers, plain = zip(*map(get, ws)) if ws else ((), (), ())
+            count.append(sum(sizes) + 1)
+            ids_hash.append(hashlib.sha256(" ".join((*numbers, end)).encode()).hexdigest())
+            text = "".join(plain)
             text_hash.append(hashlib.sha256((text[1:] if text[:1] == " " else text).encode("utf-8", "surrogatepass")).hexdigest())
         return count, ids_hash, text_hash
 
