@@ -38,10 +38,12 @@ END_ID = 1
 RANK_PARTS = 256
 #: Share of the least number of sequences that the rounded program fills; best fit places the rest.
 LP_SHARE = 0.9
-TABLE_WORDS = 300_000
+TABLE_WORDS = 1_000_000
 #: White space as the tokenizer's ``\s`` has it; ``str.split`` also splits at 0x1C-0x1F.
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 _ODD = re.compile("[\x1c-\x1f]")
+#: Latin letters, then symbols: two units of the tokenizer.
+_UNITS = re.compile("([A-Za-zª-įı-ſ]+)([!-/:-@[-`{-~]*)$")
 _TOKENS: dict[str, "WordTokens"] = {}
 
 
@@ -51,29 +53,81 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+class Recent:
+    """A bounded table: when its newer half is full, entries not used of late go."""
+
+    def __init__(self, size: int):
+        self.half, self.new, self.old = size // 2, {}, {}
+
+    def missing(self, words: set[str]) -> list[str]:
+        """Words that have no entry; the others are in ``new`` afterwards."""
+        if len(self.new) > self.half:
+            self.old, self.new = self.new, {}
+        new, old, out = self.new, self.old, []
+        for w in words.difference(new):
+            if w in old:
+                new[w] = old[w]
+            else:
+                out.append(w)
+        return out
+
+
 class WordTokens:
-    """Token ids of white-space words, as little-endian bytes, from a bounded table.
+    """Token ids of white-space words, as little-endian bytes, from bounded tables.
 
-    The tokenizer drops white space and splits on it, so words are independent.
+    The tokenizer drops white space and splits on it, so words are independent. Of a word
+    that is letters and then symbols, both parts are units of the tokenizer, so equal
+    lower-cased letters are encoded once; their ids are told apart by the word-end mark
+    that the last id of each unit bears.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.words: dict[str, bytes] = {}
+        self.words, self.parts = Recent(TABLE_WORDS), Recent(TABLE_WORDS)
+        vocab = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocab.values()) + 1, dtype=bool)
+        self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
+
+    def _one(self, words: list[str]) -> list[bytes]:
+        return [np.array(e.ids, dtype="<u4").tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+
+    def _letters(self, parts: list[str]) -> None:
+        """Encode lower-case letter units many at a time."""
+        groups = [parts[k : k + 256] for k in range(0, len(parts), 256)]
+        for group, e in zip(groups, self.tokenizer.encode_batch_fast([" ".join(g) for g in groups], add_special_tokens=False)):
+            ids = np.array(e.ids, dtype="<u4")
+            cuts = np.flatnonzero(self.ends[ids]) + 1
+            if len(cuts) == len(group):
+                data, at = ids.tobytes(), 0
+                for w, end in zip(group, (4 * cuts).tolist()):
+                    self.parts.new[w] = data[at:end]
+                    at = end
+            else:
+                self.parts.new.update(zip(group, self._one(group)))
+
+    def learn(self, words: set[str]) -> None:
+        split, odd = {}, []
+        for w in self.words.missing(words):
+            m = _UNITS.match(w)
+            if m and m[1].isalpha():
+                split[w] = (m[1].lower(), m[2])
+            else:
+                odd.append(w)
+        self._letters(self.parts.missing({a for a, _ in split.values()}))
+        tails = list({b for _, b in split.values() if b})
+        tail = dict(zip(tails, self._one(tails))) | {"": b""}
+        known, parts = self.words.new, self.parts.new
+        for w, (a, b) in split.items():
+            known[w] = parts[a] + tail[b]
+        known.update(zip(odd, self._one(odd)))
 
     def ids(self, texts: list[str | None]) -> list[bytes]:
         split = [(_SPACE.split(t) if _ODD.search(t) else t.split()) if t else [] for t in texts]
-        if len(self.words) > TABLE_WORDS:
-            self.words = {}
-        new = list({w for ws in split for w in ws}.difference(self.words))
-        for k in range(0, len(new), 10_000):
-            part = new[k : k + 10_000]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                self.words[w] = np.array(e.ids, dtype="<u4").tobytes()
-        words = self.words
-        return [b"".join([words[w] for w in ws]) for ws in split]
+        self.learn(set().union(*split))
+        get = self.words.new.__getitem__
+        return [b"".join(map(get, ws)) for ws in split]
 
 
 def _tokens(path: str) -> WordTokens:
