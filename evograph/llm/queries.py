@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from evograph.llm import chat_format, packing, piece_codec, quality_rules
+from evograph.llm import chat_format, packing, piece_codec, quality_rules, substring_dedup
 
 QUERIES = {
+    "op1_recompression": substring_dedup.op1_recompression,
     "op3_sentencepiece": piece_codec.op3_sentencepiece,
     "op7_best_fit": packing.op7_best_fit,
     "op8_quality_rules": quality_rules.op8_quality_rules,
@@ -12,6 +13,7 @@ QUERIES = {
 }
 
 ORACLES: dict[str, str] = {
+    "op1_recompression": substring_dedup.OP1_SQL,
     "op8_quality_rules": quality_rules.OP8_SQL,
     "op9_chat_format": chat_format.OP9_SQL,
 }
