@@ -123,7 +123,17 @@ class WordTokens:
             known[w] = parts[a] + tail[b]
         known.update(zip(odd, self._one(odd)))
 
+    @staticmethod
+    def _folded(text: str) -> str:
+        """Lower-cased where that is letter by letter, as the tokenizer does it too."""
+        try:
+            text.encode("latin-1")
+        except UnicodeEncodeError:
+            return text
+        return text.lower()
+
     def ids(self, texts: list[str | None]) -> list[bytes]:
+        texts = [self._folded(t) if t else t for t in texts]
         split = [(_SPACE.split(t) if _ODD.search(t) else t.split()) if t else [] for t in texts]
         self.learn(set().union(*split))
         get = self.words.new.__getitem__
