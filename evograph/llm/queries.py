@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
-from evograph.llm import chat_format, packing, piece_codec, quality_rules, substring_dedup
+from evograph.llm import chat_format, embedding_dedup, packing, piece_codec, quality_rules, substring_dedup
 
 QUERIES = {
     "op1_recompression": substring_dedup.op1_recompression,
     "op3_sentencepiece": piece_codec.op3_sentencepiece,
+    "op5_pca_tiles": embedding_dedup.op5_pca_tiles,
     "op7_best_fit": packing.op7_best_fit,
     "op8_quality_rules": quality_rules.op8_quality_rules,
     "op9_chat_format": chat_format.op9_chat_format,
 }
 
 ORACLES: dict[str, str] = {
+    "op5_pca_tiles": embedding_dedup.OP5_SQL,
     "op1_recompression": substring_dedup.OP1_SQL,
     "op8_quality_rules": quality_rules.OP8_SQL,
     "op9_chat_format": chat_format.OP9_SQL,
