@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from evograph.llm import chat_format, embedding_dedup, packing, piece_codec, quality_rules, substring_dedup
+from evograph.llm import chat_format, embedding_dedup, html_extract, packing, piece_codec, quality_rules, substring_dedup
 
 QUERIES = {
     "op1_recompression": substring_dedup.op1_recompression,
@@ -11,6 +11,7 @@ QUERIES = {
     "op7_best_fit": packing.op7_best_fit,
     "op8_quality_rules": quality_rules.op8_quality_rules,
     "op9_chat_format": chat_format.op9_chat_format,
+    "op10_html_crf": html_extract.op10_html_crf,
 }
 
 ORACLES: dict[str, str] = {
