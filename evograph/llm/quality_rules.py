@@ -45,12 +45,12 @@ def _repeat_words(df: DataFrame) -> DataFrame:
     grams = F.when(n >= 3, F.transform(F.sequence(F.lit(0), n - 3), lambda i: F.xxhash64(F.get("words", i), F.get("words", i + 1), F.get("words", i + 2)))).otherwise(F.array().cast("array<bigint>"))
     df = df.withColumn("grams", grams)
     again = F.size(F.array_distinct("grams")) < F.size("grams")
-    df = df.withColumn("sorted", F.when(again, F.array_sort(F.transform("grams", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))))
-    df = df.withColumn("hashes", F.col("sorted.h"))
-    same = lambda x, j: F.coalesce(F.get("hashes", j) == x["h"], F.lit(False))
+    df = df.withColumn("sorted", F.when(again, F.sort_array(F.transform("grams", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))))
+    # the array itself, not an array of its field: that would be built anew for every element
+    same = lambda x, j: F.coalesce(F.get("sorted", j)["h"] == x["h"], F.lit(False))
     df = df.withColumn("hits", F.filter("sorted", lambda x, j: same(x, j - 1) | same(x, j + 1)))
     marks = F.array_distinct(F.flatten(F.transform("hits", lambda x: F.array(x["i"], x["i"] + 1, x["i"] + 2))))
-    return df.withColumn("n_repeat_words", F.when(F.col("hits").isNull(), F.lit(0)).otherwise(F.size(marks)).cast("long")).drop("grams", "sorted", "hashes", "hits")
+    return df.withColumn("n_repeat_words", F.when(F.col("hits").isNull(), F.lit(0)).otherwise(F.size(marks)).cast("long")).drop("grams", "sorted", "hits")
 
 
 def base_measures(docs: DataFrame) -> DataFrame:
