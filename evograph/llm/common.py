@@ -106,14 +106,14 @@ def byte_words(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return tuple(np.concatenate(x) for x in zip(*parts))
 
 
-def slices(texts: list[str | None]) -> Iterator[tuple[int, int, bytes, np.ndarray]]:
+def slices(texts: list[str | bytes | None]) -> Iterator[tuple[int, int, bytes, np.ndarray]]:
     """Groups of whole texts of about ``SLICE_BYTES``: first row, past row, joined UTF-8, offsets.
 
     Texts are joined by one newline; ``offsets[k]`` is where text ``k`` of the group starts.
     """
     first, size, group = 0, 0, []
     for row, text in enumerate(texts):
-        data = (text or "").encode("utf-8", "surrogatepass")
+        data = text if isinstance(text, bytes) else (text or "").encode("utf-8", "surrogatepass")
         if group and size + len(data) > SLICE_BYTES:
             yield first, row, b"\n".join(group), _offsets(group)
             first, size, group = row, 0, []

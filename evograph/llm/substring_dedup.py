@@ -12,7 +12,7 @@ outside. With the caps below a border is at most ``border()`` words, so a window
   In every stretch of ``reach()`` words the phrase with the least hash is an anchor, so the
   interiors of equal windows hold an equal anchor. Anchors found once in the corpus are told
   to their document; a window is a candidate if it holds any other anchor.
-* *Verify.* Candidate windows are counted by a 128-bit hash of their words; those found once
+* *Verify.* Candidate windows are counted by a 96-bit hash of their words; those found once
   are told to their document. All other candidates are repeated windows.
 
 Both counts are combined before they are shuffled, so a window or passage in a third of all
@@ -32,6 +32,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -128,11 +129,12 @@ def _candidates(n: int, offsets: np.ndarray, pos: np.ndarray, window: int) -> np
 
 
 def _window_hashes(h: np.ndarray, at: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
+    """64 and 32 bits of two hashes of each window."""
     out = []
     for base in (_B1, _B2):
         total, inverse = segment_sums(h, base)
-        out.append(mix((total[at + window] - total[at]) * inverse[at]).view(np.int64))
-    return out[0], out[1]
+        out.append(mix((total[at + window] - total[at]) * inverse[at]))
+    return out[0].view(np.int64), (out[1] >> _U(32)).astype(np.uint32).view(np.int32)
 
 
 def _minus(pos: np.ndarray, offsets: np.ndarray, once: list[list[int] | None]) -> np.ndarray:
@@ -145,6 +147,19 @@ def _tag(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text").withColumn("tag", F.hash("text"))
 
 
+def _packed(docs: DataFrame, others: list[str]) -> DataFrame:
+    """``doc_id, z, tag`` and other columns as ``o0, o1, ...``; texts compressed for the one shuffle they take."""
+    df = docs.select("doc_id", F.encode("text", "utf-8").alias("z"), F.hash("text").alias("tag"), *[F.col(f"`{c}`").alias(f"o{i}") for i, c in enumerate(others)])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pack = zstandard.ZstdCompressor(level=3).compress
+        for b in batches:
+            z = pa.array([None if x is None else pack(x) for x in b.column(1).to_pylist()], pa.binary())
+            yield pa.RecordBatch.from_arrays([b.column(0), z, *b.columns[2:]], b.schema.names)
+
+    return df.mapInArrow(run, df.schema)
+
+
 def _found_once(found: DataFrame, keys: list[str]) -> DataFrame:
     """``u_id, u_tag, once``: by document, the positions whose key occurs once in the corpus."""
     n = found.groupBy(*keys).agg(F.count("*").alias("n"), F.min("doc_id").alias("u_id"), F.min("tag").alias("u_tag"), F.min("pos").alias("u_pos"))
@@ -156,19 +171,24 @@ def _with(docs: DataFrame, once: DataFrame, name: str) -> DataFrame:
     return docs.join(o, F.col("doc_id").eqNullSafe(F.col("u_id")) & (F.col("tag") == F.col("u_tag")), "left").drop("u_id", "u_tag")
 
 
-def _groups(batches: Iterator[pa.RecordBatch], text_at: int) -> Iterator[tuple[pa.RecordBatch, int, int, bytes, tuple]]:
+def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, int, int, bytes, tuple]]:
+    """Groups of whole texts of each batch; the second column has the text, packed or not."""
+    unpack = zstandard.ZstdDecompressor().decompress
     for batch in batches:
         for k in range(0, batch.num_rows, 512):
             part = batch.slice(k, 512)
-            for a, b, data, offsets in slices(part.column(text_at).to_pylist()):
-                yield part, a, b, data, words_of_group(data, offsets)
+            texts = part.column(1).to_pylist()
+            if pa.types.is_binary(part.schema.types[1]):
+                texts = [b"" if x is None else unpack(x) for x in texts]
+            for a, b, data, offsets in slices(texts):
+                yield part, a, b, data, (*words_of_group(data, offsets), offsets)
 
 
 def anchor_rows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """``doc_id, tag, pos, key`` of every anchor."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, a, b, _, (_, _, h, offsets) in _groups(batches, 1):
+        for part, a, b, _, (_, _, h, offsets, _) in _groups(batches):
             pos, key = anchors(h, offsets, window)
             d = np.searchsorted(offsets, pos, side="right") - 1
             row = pa.array(d + a)
@@ -182,20 +202,21 @@ def _repeats(h: np.ndarray, offsets: np.ndarray, once: list, window: int) -> np.
     return _candidates(len(h), offsets, _minus(pos, offsets, once), window)
 
 
-def removal(docs: DataFrame, window: int = WINDOW) -> DataFrame:
-    """Documents with ``tag`` and two lists: anchors and candidate windows found once."""
-    told = _with(_tag(docs), _found_once(anchor_rows(docs, window), ["key"]), "lone_anchors")
+def removal(docs: DataFrame, window: int = WINDOW, others: list[str] = ()) -> DataFrame:
+    """``doc_id, z, tag``, others, and two lists of positions: anchors and candidate windows found once."""
+    told = _with(_packed(docs, list(others)), _found_once(anchor_rows(docs, window), ["key"]), "lone_anchors")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, a, b, _, (_, _, h, offsets) in _groups(batches, 1):
-            at = _repeats(h, offsets, part.column(3).slice(a, b - a).to_pylist(), window)
+        for part, a, b, _, (_, _, h, offsets, _) in _groups(batches):
+            at = _repeats(h, offsets, part.column("lone_anchors").slice(a, b - a).to_pylist(), window)
             if len(at):
                 d = np.searchsorted(offsets, at, side="right") - 1
                 row = pa.array(d + a)
                 h1, h2 = _window_hashes(h, at, window)
                 yield pa.RecordBatch.from_arrays([part.column(0).take(row), part.column(2).take(row), pa.array((at - offsets[d]).astype(np.int32)), pa.array(h1), pa.array(h2)], ["doc_id", "tag", "pos", "h1", "h2"])
 
-    rows = told.select("doc_id", "text", "tag", "lone_anchors").mapInArrow(run, "doc_id long, tag int, pos int, h1 long, h2 long")
+    # all columns go in, used or not: the shuffled texts are then the same exchange for both uses
+    rows = told.mapInArrow(run, "doc_id long, tag int, pos int, h1 long, h2 int")
     return _with(told, _found_once(rows, ["h1", "h2"]), "lone_windows")
 
 
@@ -212,8 +233,8 @@ def dedup_digest(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """``doc_id, n_words, n_removed, kept_sha256`` of every document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, a, b, data, (s, e, h, offsets) in _groups(batches, 1):
-            keep = _kept(h, offsets, *(part.column(c).slice(a, b - a).to_pylist() for c in (3, 4)), window)
+        for part, a, b, data, (s, e, h, offsets, _) in _groups(batches):
+            keep = _kept(h, offsets, *(part.column(c).slice(a, b - a).to_pylist() for c in ("lone_anchors", "lone_windows")), window)
             n, gone, sha = [], [], []
             for k in range(b - a):
                 i, j = int(offsets[k]), int(offsets[k + 1])
@@ -227,8 +248,7 @@ def dedup_digest(docs: DataFrame, window: int = WINDOW) -> DataFrame:
                 sha.append(hashlib.sha256(words).hexdigest())
             yield pa.RecordBatch.from_arrays([part.column(0).slice(a, b - a), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha)], ["doc_id", "n_words", "n_removed", "kept_sha256"])
 
-    rows = removal(docs, window).select("doc_id", "text", "tag", "lone_anchors", "lone_windows")
-    return rows.mapInArrow(run, "doc_id long, n_words long, n_removed long, kept_sha256 string")
+    return removal(docs, window).mapInArrow(run, "doc_id long, n_words long, n_removed long, kept_sha256 string")
 
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
@@ -239,26 +259,20 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, a, b, data, (s, e, h, offsets) in _groups(batches, 1):
-            keep = _kept(h, offsets, *(part.column(c).slice(a, b - a).to_pylist() for c in (3, 4)), window)
+        for part, a, b, data, (s, e, h, offsets, at) in _groups(batches):
+            keep = _kept(h, offsets, *(part.column(c).slice(a, b - a).to_pylist() for c in ("lone_anchors", "lone_windows")), window)
             texts: list[str | None] = []
-            for k, old in enumerate(part.column(1).slice(a, b - a).to_pylist()):
+            for k, empty in enumerate(part.column(1).slice(a, b - a).is_null().to_pylist()):
                 i, j = int(offsets[k]), int(offsets[k + 1])
-                if keep[i:j].all():
-                    texts.append(old)
-                    continue
                 edge = np.flatnonzero(np.diff(np.concatenate(([False], keep[i:j], [False])).astype(np.int8)))
                 runs = [data[s[i + x] : e[i + y - 1]] for x, y in zip(edge[::2].tolist(), edge[1::2].tolist())]
-                texts.append(b"\n".join(runs).decode("utf-8", "surrogatepass"))
-            yield pa.RecordBatch.from_arrays([part.column(0).slice(a, b - a), pa.array(texts, pa.string()), *(c.slice(a, b - a) for c in part.columns[5:])], ["doc_id", "text", *part.schema.names[5:]])
+                new = b"\n".join(runs) if not keep[i:j].all() else data[at[k] : at[k + 1] - 1]
+                texts.append(None if empty else new.decode("utf-8", "surrogatepass"))
+            yield pa.RecordBatch.from_arrays([part.column(0).slice(a, b - a), pa.array(texts, pa.string()), *(part.column(f"o{i}").slice(a, b - a) for i in range(len(others)))], ["doc_id", "text", *(f"o{i}" for i in range(len(others)))])
 
     others = [c for c in docs.columns if c not in ("doc_id", "text")]
     kinds = {f.name: f.dataType.simpleString() for f in docs.schema.fields}
-    packed = docs.select("doc_id", "text", *[F.col(f"`{c}`").alias(f"o{i}") for i, c in enumerate(others)])
-    told = _with(packed.withColumn("tag", F.hash("text")), _found_once(anchor_rows(docs, window), ["key"]), "lone_anchors")
-    lone = removal(docs, window).select(F.col("doc_id").alias("u_id"), F.col("tag").alias("u_tag"), F.col("lone_windows").alias("once")).where("once IS NOT NULL").dropDuplicates(["u_id", "u_tag"])
-    rows = _with(told, lone, "lone_windows").select("doc_id", "text", "tag", "lone_anchors", "lone_windows", *[f"o{i}" for i in range(len(others))])
-    out = rows.mapInArrow(run, ", ".join([f"doc_id {kinds['doc_id']}", "text string", *(f"o{i} {kinds[c]}" for i, c in enumerate(others))]))
+    out = removal(docs, window, others).mapInArrow(run, ", ".join([f"doc_id {kinds['doc_id']}", "text string", *(f"o{i} {kinds[c]}" for i, c in enumerate(others))]))
     back = {c: F.col(f"o{i}") for i, c in enumerate(others)}
     if "n_chars" in back:
         back["n_chars"] = F.length("text").cast(kinds["n_chars"])
