@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evograph.llm.common import cut, table
+from evograph.llm.common import components, cut, table
 
 THRESHOLD = 0.95
 #: Rows from which axes and cuts are computed; results do not depend on it.
@@ -131,30 +131,6 @@ def _classes(vectors: DataFrame, id_col: str, vec_col: str) -> tuple[DataFrame,
     return reps, members
 
 
-def components(links: DataFrame, rounds: int = 64) -> DataFrame:
-    """``id, root``: the smallest id that each id of ``links(a, b)`` reaches.
-
-    Alternates two steps until nothing changes: every node's larger neighbours are hung on
-    its smallest one, then its smaller neighbours are. Rows never exceed the links.
-    """
-    e = links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct()
-    e = cut(e)
-    last = None
-    for _ in range(rounds):
-        both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        least = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(least, "a").select(F.col("b").alias("x"), "a", "m")
-        small = small.select(F.when(F.col("x") == F.col("m"), F.col("a")).otherwise(F.col("x")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        e = cut(small)
-        state = e.agg(F.count("*").alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("h")).first()
-        if last == (state["n"], state["h"]):
-            break
-        last = (state["n"], state["h"])
-    return e.groupBy("a").agg(F.min("b").alias("root")).withColumnRenamed("a", "id")
-
-
 def class_links(reps: DataFrame, threshold: float, size: int, tile_rows: int = TILE_ROWS) -> tuple[DataFrame, int]:
     """``kind, a, b, n`` over representatives: links by row (kind 0) and forest links (kind 1)."""
     n = reps.count()
