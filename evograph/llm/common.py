@@ -9,6 +9,8 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from evograph.session import ship
+
 #: Text handled at once inside a Python worker; memory is a small multiple of it.
 SLICE_BYTES = 1 << 20
 
@@ -21,6 +23,7 @@ _TABLE = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -164,3 +167,22 @@ def components(links: DataFrame, rounds: int = 64) -> DataFrame:
             break
         last = (state["n"], state["h"])
     return e.groupBy("a").agg(F.min("b").alias("root")).withColumnRenamed("a", "id")
+
+
+def forest(i: np.ndarray, j: np.ndarray, n: int) -> list[tuple[int, int]]:
+    """Links that already join what all given links join (union by smaller root)."""
+    root = list(range(n))
+
+    def find(x: int) -> int:
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    out = []
+    for x, y in zip(i.tolist(), j.tolist()):
+        p, q = find(x), find(y)
+        if p != q:
+            root[max(p, q)] = min(p, q)
+            out.append((x, y))
+    return out

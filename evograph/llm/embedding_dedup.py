@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evograph.llm.common import components, cut, table
+from evograph.llm.common import components, cut, forest, table
 
 THRESHOLD = 0.95
 #: Rows from which axes and cuts are computed; results do not depend on it.
@@ -101,25 +101,6 @@ def links_of(a: np.ndarray, b: np.ndarray, ra: np.ndarray, rb: np.ndarray, thres
     return i[keep], j[keep]
 
 
-def forest(i: np.ndarray, j: np.ndarray, n: int) -> list[tuple[int, int]]:
-    """Links that already join what all given links join (union by smaller root)."""
-    root = list(range(n))
-
-    def find(x: int) -> int:
-        while root[x] != x:
-            root[x] = root[root[x]]
-            x = root[x]
-        return x
-
-    out = []
-    for x, y in zip(i.tolist(), j.tolist()):
-        p, q = find(x), find(y)
-        if p != q:
-            root[max(p, q)] = min(p, q)
-            out.append((x, y))
-    return out
-
-
 def _classes(vectors: DataFrame, id_col: str, vec_col: str) -> tuple[DataFrame, DataFrame]:
     """Distinct usable vectors with a class id and count; members with their class id."""
     v = vectors.select(F.col(id_col).alias("vec_id"), F.col(vec_col).cast("array<double>").alias("v"))

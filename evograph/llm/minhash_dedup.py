@@ -27,12 +27,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evograph.llm.common import components, cut, mix, segment_sums, slices, table, words_of_group
+from evograph.llm.common import components, cut, forest, mix, segment_sums, slices, table, words_of_group
 
 SHINGLE = 5
 SIMILARITY = 0.8
 #: At similarity 0.8 a pair shares no band with probability 4e-4 or less.
 BANDS, ROWS = 20, 5
+#: Bands of so many members at most meet pair by pair, others in blocks of about so many shingles.
+FEW, BLOCK_SHINGLES = 32, 30_000
 _U = np.uint64
 _BASE, _SLOT, _SUM1, _SUM2 = _U(0x8CB92BA72F3D8DD7), _U(0x9E6C63D0876A9A63), _U(0xC2B2AE3D27D4EB4F), _U(0x165667B19E3779F9)
 
@@ -162,16 +164,58 @@ def _links(reps: DataFrame, docs: DataFrame, similarity: float, size: int) -> Da
     root = components(found)
     # members of one band still apart, other than with the leader
     here = shared.select("rep", "n", "band", "key").join(root.withColumnRenamed("id", "rep"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
-    mixed = here.groupBy("band", "key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("band", "key")
-    here = here.join(mixed, ["band", "key"], "left_semi")
-    x, y = here.select("band", "key", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("root").alias("ra")), here.select("band", "key", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"))
+    crowds = here.groupBy("band", "key", "root").agg(F.count("*").alias("m"), F.sum("n").alias("size"))
+    crowds = crowds.groupBy("band", "key").agg(F.count("*").alias("roots"), F.sum("m").alias("m"), F.sum("size").alias("size"), F.max(F.struct("m", "size", "root")).alias("most")).where("roots > 1")
+    here = cut(here.join(crowds.select("band", "key", "m", "size", F.col("most.root").alias("most"), (F.col("size") - F.col("most.size")).alias("rest")), ["band", "key"]))
+    few = here.where(F.col("m") <= FEW)
+    x, y = few.select("band", "key", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("root").alias("ra")), few.select("band", "key", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"))
     near = (F.col("a") < F.col("b")) & (F.col("ra") != F.col("rb")) & (F.least("na", "nb") >= F.lit(similarity) * F.greatest("na", "nb"))
-    tried = stars.select("a", "b")
-    apart = x.join(y, ["band", "key"]).where(near).select("a", "b").distinct().join(tried, ["a", "b"], "left_anti")
-    found = found.unionByName(verified(apart, sets, similarity))
+    apart = x.join(y, ["band", "key"]).where(near).select("a", "b").distinct().join(stars.select("a", "b"), ["a", "b"], "left_anti")
+    found = found.unionByName(verified(apart, sets, similarity)).unionByName(_block_links(here.where(F.col("m") > FEW), sets, similarity))
     return components(found)
 
 
+def _block_links(here: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Links of crowded bands: members outside the largest component against all members, in blocks.
+
+    A block holds about ``BLOCK_SHINGLES`` shingles, so no task gets a whole crowd, and a
+    pair of blocks is one row that yields links enough to join what belongs together.
+    """
+    rows = here.join(sets.select(F.col("doc_id").alias("rep"), "s"), "rep")
+    item = F.collect_list(F.struct("rep", "root", "s"))
+
+    def blocks(df: DataFrame, size: str, name: str) -> DataFrame:
+        deal = F.pmod(F.xxhash64("rep"), F.ceil(F.col(size) / BLOCK_SHINGLES))
+        return df.groupBy("band", "key", deal.alias("deal")).agg(item.alias(name)).drop("deal")
+
+    met = blocks(rows.where("root <> most"), "rest", "left").join(blocks(rows, "size", "right"), ["band", "key"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for left, right in zip(batch.column(0), batch.column(1)):
+                a, b = left.values, right.values
+                sa, sb = ([np.frombuffer(x, dtype=np.uint64) for x in v.field("s").to_pylist()] for v in (a, b))
+                common = np.intersect1d(np.unique(np.concatenate(sa)), np.unique(np.concatenate(sb)), assume_unique=True)
+                hits = []
+                for sets_ in (sa, sb):
+                    m = np.zeros((len(sets_), len(common)), dtype=np.float32)
+                    for k, x in enumerate(sets_):
+                        at = np.searchsorted(common, x)
+                        at = at[(at < len(common)) & (common[np.minimum(at, len(common) - 1)] == x)] if len(common) else at[:0]
+                        m[k, at] = 1
+                    hits.append(m)
+                both = (hits[0] @ hits[1].T).astype(np.float64)
+                na, nb = (np.array([len(x) for x in v], dtype=np.float64) for v in (sa, sb))
+                apart = a.field("root").to_numpy()[:, None] != b.field("root").to_numpy()[None, :]
+                i, j = np.nonzero((both >= similarity * (na[:, None] + nb[None, :] - both)) & apart)
+                links = forest(i, j + len(sa), len(sa) + len(sb))
+                ra, rb = a.field("rep").to_numpy(), b.field("rep").to_numpy()
+                x, y = ra[[p for p, _ in links]], rb[[q - len(sa) for _, q in links]]
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], ["a", "b"])
+
+    return met.select("left", "right").mapInArrow(run, "a long, b long")
+
+
 def _apart(pairs: DataFrame, root: DataFrame) -> DataFrame:
     """The pairs whose ends are not in one component yet."""
     p = pairs.join(root.select(F.col("id").alias("a"), F.col("root").alias("ra")), "a", "left").join(root.select(F.col("id").alias("b"), F.col("root").alias("rb")), "b", "left")
