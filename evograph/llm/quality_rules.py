@@ -67,7 +67,8 @@ def base_measures(docs: DataFrame) -> DataFrame:
         F.length(F.translate("text", _BLANKS, "")).cast("long").alias("word_chars"),
         (F.length("text") - F.length(F.translate("text", SYMBOLS, ""))).cast("long").alias("n_symbols"),
         (F.size(line_words) - F.size(F.array_distinct(line_words))).cast("long").alias("n_dup_lines"),
-        "n_repeat_words",
+        # not a deterministic column, so that no filter on it is moved below and evaluated inside the lambdas
+        (F.col("n_repeat_words") + F.monotonically_increasing_id() * 0).alias("n_repeat_words"),
     )
     failed = (F.col("n_words") < MIN_WORDS) | (F.col("n_repeat_words") * 100 > F.col("n_words") * MAX_REPEAT_PERCENT)
     return df.withColumn("base_failed", failed)
