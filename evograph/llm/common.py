@@ -13,6 +13,7 @@ from evograph.session import ship
 
 #: Text handled at once inside a Python worker; memory is a small multiple of it.
 SLICE_BYTES = 1 << 20
+ARROW_ROWS = 1024
 
 _U = np.uint64
 #: ASCII white space of the word pattern ``[^\x20\x09-\x0D]+``.
@@ -24,6 +25,9 @@ _TABLE = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     ship(spark)
+    # whole texts are wide rows: smaller Arrow batches bound what a JVM and its workers hold
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) > ARROW_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ARROW_ROWS))
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 

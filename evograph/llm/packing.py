@@ -38,7 +38,7 @@ END_ID = 1
 RANK_PARTS = 256
 #: Share of the least number of sequences that the rounded program fills; best fit places the rest.
 LP_SHARE = 0.9
-TABLE_WORDS = 1_000_000
+TABLE_WORDS, TABLE_PARTS = 700_000, 300_000
 #: White space as the tokenizer's ``\s`` has it; ``str.split`` also splits at 0x1C-0x1F.
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 _ODD = re.compile("[\x1c-\x1f]")
@@ -85,7 +85,7 @@ class WordTokens:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.words, self.parts = Recent(TABLE_WORDS), Recent(TABLE_WORDS)
+        self.words, self.parts = Recent(TABLE_WORDS), Recent(TABLE_PARTS)
         vocab = self.tokenizer.get_vocab()
         self.ends = np.zeros(max(vocab.values()) + 1, dtype=bool)
         self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
