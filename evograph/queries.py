@@ -4,6 +4,6 @@ from __future__ import annotations
 
 from evograph.registry import ORACLES, QUERIES
 from evograph.ops import relational, scalar  # noqa: F401
-from evograph.workloads import methods  # noqa: F401
+from evograph.workloads import experiments, methods  # noqa: F401
 
 __all__ = ["ORACLES", "QUERIES"]
