@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evograph.llm.common import components, cut, forest, mix, segment_sums, slices, table, words_of_group
+from evograph.llm.common import components, cut, forest, mix, segment_sums, slices, table, tidy, words_of_group
 
 SHINGLE = 5
 SIMILARITY = 0.8
@@ -103,6 +103,7 @@ def sketches(docs: DataFrame, weighting: str = "set", bands: int = BANDS, rows:
                     ok = np.flatnonzero(n > 0)
                     flat = pa.ListArray.from_arrays(pa.array(np.arange(len(ok) + 1, dtype=np.int32) * bands), pa.array(key[ok].reshape(-1).view(np.int64)))
                     yield pa.RecordBatch.from_arrays([part.column(0).slice(a, m).take(pa.array(ok)), pa.array(n[ok]), pa.array(prints[0][ok]), pa.array(prints[1][ok]), flat], ["doc_id", "n", "p1", "p2", "bands"])
+        tidy()
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, p1 long, p2 long, bands array<long>")
 
@@ -119,6 +120,7 @@ def shingle_sets(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
                     doc, s, _ = shingles(h, words, size)
                     ends = np.searchsorted(doc, np.arange(b - a + 1))
                     yield pa.RecordBatch.from_arrays([part.column(0).slice(a, b - a), pa.array([s[i:j].tobytes() for i, j in zip(ends[:-1], ends[1:])], pa.binary())], ["doc_id", "s"])
+        tidy()
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, s binary")
 

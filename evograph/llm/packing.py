@@ -20,6 +20,7 @@ runs only in which equal-length piece takes which of their places.
 from __future__ import annotations
 
 import re
+import string
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -29,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from evograph.llm.common import cut, table
+from evograph.llm.common import cut, table, tidy
 from evograph.llm.piece_codec import text_groups
 
 CAPACITY = 4096
@@ -38,12 +39,13 @@ END_ID = 1
 RANK_PARTS = 256
 #: Share of the least number of sequences that the rounded program fills; best fit places the rest.
 LP_SHARE = 0.9
-TABLE_WORDS, TABLE_PARTS = 700_000, 300_000
+TABLE_WORDS, TABLE_PARTS = 800_000, 400_000
 #: White space as the tokenizer's ``\s`` has it; ``str.split`` also splits at 0x1C-0x1F.
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 _ODD = re.compile("[\x1c-\x1f]")
-#: Latin letters, then symbols: two units of the tokenizer.
-_UNITS = re.compile("([A-Za-zª-įı-ſ]+)([!-/:-@[-`{-~]*)$")
+#: A word of Latin letters and then symbols is two units of the tokenizer.
+_UNITS = re.compile("[A-Za-zª-įı-ſ]+")
+_SYMBOLS = string.punctuation
 _TOKENS: dict[str, "WordTokens"] = {}
 
 
@@ -108,19 +110,23 @@ class WordTokens:
                 self.parts.new.update(zip(group, self._one(group)))
 
     def learn(self, words: set[str]) -> None:
-        split, odd = {}, []
+        plain, tailed, odd = [], [], []
         for w in self.words.missing(words):
-            m = _UNITS.match(w)
-            if m and m[1].isalpha():
-                split[w] = (m[1].lower(), m[2])
-            else:
+            core = w.rstrip(_SYMBOLS)
+            if not (core.isalpha() if core.isascii() else _UNITS.fullmatch(core) and core.isalpha()):
                 odd.append(w)
-        self._letters(self.parts.missing({a for a, _ in split.values()}))
-        tails = list({b for _, b in split.values() if b})
-        tail = dict(zip(tails, self._one(tails))) | {"": b""}
+            elif core is w and w.islower():
+                plain.append(w)
+            else:
+                tailed.append((w, core.lower(), w[len(core) :]))
+        self._letters(self.parts.missing({*plain, *(a for _, a, _ in tailed)}))
+        tails = list({b for _, _, b in tailed if b})
+        tail = dict(zip(tails, self._one(tails)))
         known, parts = self.words.new, self.parts.new
-        for w, (a, b) in split.items():
-            known[w] = parts[a] + tail[b]
+        for w in plain:
+            known[w] = parts[w]
+        for w, core, end in tailed:
+            known[w] = parts[core] + tail[end] if end else parts[core]
         known.update(zip(odd, self._one(odd)))
 
     @staticmethod
@@ -155,8 +161,8 @@ def pieces(docs: DataFrame, tokenizer: str | None = None, capacity: int = CAPACI
         t = _tokens(where)
         for batch in batches:
             texts = batch.column(1)
-            for k in range(0, len(texts), 512):
-                part = texts.slice(k, 512).to_pylist()
+            for k in range(0, len(texts), 256):
+                part = texts.slice(k, 256).to_pylist()
                 rows: list[int] = []
                 cols: list[list[int]] = [[], [], [], []]
                 for a, b in text_groups(part):
@@ -169,6 +175,7 @@ def pieces(docs: DataFrame, tokenizer: str | None = None, capacity: int = CAPACI
                                 col.append(v)
                 kinds = (pa.int32(), pa.int64(), pa.int64(), pa.int64())
                 yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int64())), *(pa.array(c, kind) for c, kind in zip(cols, kinds))], ["doc_id", "piece", "start", "length", "ids_crc32"])
+        tidy()
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
 

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evograph.llm.common import slices, table, words_of_group
+from evograph.llm.common import slices, table, tidy, words_of_group
 from evograph.llm.text_features import layout, repetition, trigrams
 
 DIMS = 2048
@@ -181,13 +181,14 @@ def score(docs: DataFrame, model: CoModel | float, keep: float = KEEP) -> DataFr
 
 def _scored(batches: Iterator[pa.RecordBatch], model: CoModel | float) -> Iterator[tuple[pa.RecordBatch, list[pa.Array]]]:
     for batch in batches:
-        for k in range(0, batch.num_rows, 256):
-            part = batch.slice(k, 256)
+        for k in range(0, batch.num_rows, 128):
+            part = batch.slice(k, 128)
             if isinstance(model, CoModel):
                 got = model.score(*views(*[part.column(i).to_pylist() for i in (1, 2, 3, 4)]))
                 yield part, [pa.array(x) for x in got]
             else:
                 yield part, [pa.array(np.full(part.num_rows, float(model)))] * 3
+    tidy()
 
 
 def keep_good(docs: DataFrame, model: CoModel | float, keep: float = KEEP) -> DataFrame:

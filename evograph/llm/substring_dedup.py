@@ -36,7 +36,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evograph.llm.common import mix, segment_sums, slices, table, words_of_group
+from evograph.llm.common import mix, segment_sums, slices, table, tidy, words_of_group
 
 WINDOW = 35
 #: By round: the longest run and the longest pair that get a name, in words (0: none).
@@ -182,6 +182,7 @@ def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch,
                 texts = [b"" if x is None else unpack(x) for x in texts]
             for a, b, data, offsets in slices(texts):
                 yield part, a, b, data, (*words_of_group(data, offsets), offsets)
+    tidy()
 
 
 def anchor_rows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
