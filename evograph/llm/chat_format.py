@@ -93,8 +93,8 @@ def _canonical(paths: frozenset[str]) -> str:
 
     def show(node: dict) -> str:
         if "[]" in node:
-            return f"[{show(node['[]'])}]"
-        return "{" + ",".join(f"{k}:{show(v)}" if v else k for k, v in sorted(node.items())) + "}" if node else ""
+            return f"[{show(node['[]'])})"
+        return "{" + ",".join(f"{k}:{show(v)}" if v else k for k, v in sorted(node.items())) + ")" if node else ""
 
     return show(tree)
 
@@ -104,16 +104,11 @@ def fingerprint(paths: frozenset[str]) -> str:
 
 
 def shape(v: Column) -> Column:
-    """The nested field paths of a variant without its scalar types: ``{a,b:[{c}]}``."""
-    s = F.schema_of_variant(v)
-    s = F.regexp_replace(s, r"OBJECT<", "{")
-    s = F.regexp_replace(s, r"ARRAY<", "[")
-    s = F.regexp_replace(s, r"DECIMAL\(\d+,\d+\)|\b[A-Z_]+\b(?=[,>]|$)", "")
-    s = F.regexp_replace(s, r"(\{[^<>\[\]{}]*)>", "$1}")
-    for _ in range(4):  # nesting, inside out
-        s = F.regexp_replace(s, r"(\[[^<>\[\]]*)>", "$1]")
-        s = F.regexp_replace(s, r"(\{[^<>{}]*)>", "$1}")
-    return F.regexp_replace(s, r": ?(?=[,}\]])| ", "")
+    """The nested field paths of a variant without its scalar types: ``{a,b:[{c)))``, one closing mark for all."""
+    s = F.regexp_replace(F.regexp_replace(F.schema_of_variant(v), "OBJECT<", "{"), "ARRAY<", "[")
+    s = F.regexp_replace(s, r"DECIMAL\(\d+,\d+\)", "DECIMAL")
+    s = F.regexp_replace(s, r"(?<=[ \[])[A-Z_]+(?=[,>]|$)", "")  # scalar types
+    return F.translate(F.regexp_replace(s, r": (?=[,>]|$)| ", ""), ">", ")")
 
 
 def json_turns(df: DataFrame, id_col: str, json_col: str) -> DataFrame:

@@ -91,7 +91,7 @@ class Hierarchy:
         for a, b in pairs:
             use = (y == names[a]) | (y == names[b])
             ws.append(svm(x[use], np.where(y[use] == names[a], 1.0, -1.0)))
-        return names, pairs, np.array(ws).reshape(len(pairs), -1)
+        return names, pairs, np.array(ws).reshape(len(pairs), x.shape[1] + 1)
 
     @staticmethod
     def _vote(x: np.ndarray, machines: tuple[list[str], list[tuple[int, int]], np.ndarray]) -> tuple[np.ndarray, np.ndarray]:

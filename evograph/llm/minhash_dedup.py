@@ -242,7 +242,7 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, weighting:
 def keep_one(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """One document of each class, all columns as given; rows without an id stay."""
     gone = near_duplicates(docs, similarity).where(~F.col("kept")).select(F.col("doc_id").alias("gone_id"))
-    return docs.join(gone, F.col("doc_id") == F.col("gone_id"), "left_anti")
+    return docs.join(gone, docs["doc_id"] == gone["gone_id"], "left_anti")
 
 
 def op6_prob_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -19,6 +19,7 @@ runs only in which equal-length piece takes which of their places.
 
 from __future__ import annotations
 
+import gc
 import re
 import string
 import zlib
@@ -37,8 +38,8 @@ CAPACITY = 4096
 END_ID = 1
 #: Parts into which the pieces of one length are dealt when they are ranked.
 RANK_PARTS = 256
-#: Share of the least number of sequences that the rounded program fills; best fit places the rest.
-LP_SHARE = 0.9
+#: Shares of the least number of sequences that the rounded program fills; best fit places the rest.
+LP_SHARES = (0.95, 0.85, 0.7, 0.5, 0.3, 0.1, 0.0)
 TABLE_WORDS, TABLE_PARTS = 800_000, 400_000
 #: White space as the tokenizer's ``\s`` has it; ``str.split`` also splits at 0x1C-0x1F.
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
@@ -141,9 +142,18 @@ class WordTokens:
     def ids(self, texts: list[str | None]) -> list[bytes]:
         texts = [self._folded(t) if t else t for t in texts]
         split = [(_SPACE.split(t) if _ODD.search(t) else t.split()) if t else [] for t in texts]
-        self.learn(set().union(*split))
-        get = self.words.new.__getitem__
-        return [b"".join(map(get, ws)) for ws in split]
+        out, todo, get = [b""] * len(split), [], self.words.new.get
+        for k, ws in enumerate(split):
+            try:
+                out[k] = b"".join(map(get, ws))
+            except TypeError:  # a word that the table lacks
+                todo.append(k)
+        if todo:
+            self.learn(set().union(*[split[k] for k in todo]))
+            get = self.words.new.__getitem__
+            for k in todo:
+                out[k] = b"".join(map(get, split[k]))
+        return out
 
 
 def _tokens(path: str) -> WordTokens:
@@ -159,6 +169,7 @@ def pieces(docs: DataFrame, tokenizer: str | None = None, capacity: int = CAPACI
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = _tokens(where)
+        gc.disable()  # no cycles here, but many lists to look through
         for batch in batches:
             texts = batch.column(1)
             for k in range(0, len(texts), 256):
@@ -175,6 +186,7 @@ def pieces(docs: DataFrame, tokenizer: str | None = None, capacity: int = CAPACI
                                 col.append(v)
                 kinds = (pa.int32(), pa.int64(), pa.int64(), pa.int64())
                 yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int64())), *(pa.array(c, kind) for c, kind in zip(cols, kinds))], ["doc_id", "piece", "start", "length", "ids_crc32"])
+        gc.enable()
         tidy()
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
@@ -298,12 +310,17 @@ def make_plan(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int =
         return plan
     lengths = np.array(sorted(histogram), dtype=np.int64)
     counts = np.array([histogram[int(x)] for x in lengths], dtype=np.float64)
-    amount, plan.lp_bound = solve_lp(lengths, counts, capacity, rounds)
-    left = dict(histogram)
+    amount, bound = solve_lp(lengths, counts, capacity, rounds)
+    # rounded at several shares: what stays must have small pieces to fill its gaps; the fewest sequences win
+    return min((_rounded(histogram, amount, bound, capacity, share) for share in LP_SHARES), key=lambda p: p.sequences)
+
+
+def _rounded(histogram: dict[int, int], amount: dict[tuple[tuple[int, int], ...], float], bound: float, capacity: int, share: float) -> Plan:
+    plan, left = Plan(lp_bound=bound), dict(histogram)
     # the fullest columns first: rounding then leaves the pieces that are easiest to place
     for items, x in sorted(amount.items(), key=lambda kv: (-sum(a * b for a, b in kv[0]), -kv[1], kv[0])):
         n = int(min([x + 1e-6, *(left[length] // k for length, k in items)]))
-        if n > 0 and plan.sequences < LP_SHARE * plan.lp_bound:  # what stays has small pieces to fill its gaps
+        if n > 0 and plan.sequences < share * bound:
             plan.groups.append((n, items))
             for length, k in items:
                 left[length] -= n * k

@@ -119,14 +119,15 @@ def filter_documents(docs: DataFrame, min_docs: int = MIN_DOCS, max_share: float
     v = base.alias("b").join(gone.alias("g"), F.col("b.doc_id").eqNullSafe(F.col("g.doc_id")) & (F.col("b.print") == F.col("g.print")), "left")
     lost = F.coalesce(F.aggregate("gone", F.lit(0).cast("long"), lambda s, x: s + x["size"]), F.lit(0).cast("long"))
     ok = v.where((F.col("n_words") - lost) >= F.col("n_words") * F.lit(min_kept)).select(F.col("b.doc_id").alias("v_id"), F.col("b.print").alias("v_print"), F.transform(F.coalesce("gone", F.array().cast("array<struct<line:bigint,size:int>>")), lambda x: x["line"]).alias("v_gone"))
-    text = F.coalesce(F.col("text"), F.lit(""))
-    df = docs.withColumn("v_key", F.xxhash64(text)).join(ok, F.col("doc_id").eqNullSafe(F.col("v_id")) & (F.col("v_key") == F.col("v_print")))
+    others = [c for c in names if c not in ("doc_id", "text")]  # renamed meanwhile: they may be called anything
+    df = docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("v_key"), *[F.col(f"`{c}`").alias(f"o{i}") for i, c in enumerate(others)])
+    df = df.join(ok, F.col("doc_id").eqNullSafe(F.col("v_id")) & (F.col("v_key") == F.col("v_print")))
     rest = F.array_join(F.filter(F.split("text", "\n"), lambda x: ~F.array_contains("v_gone", F.xxhash64(normal_line(x)))), "\n")
-    new = F.when(F.size("v_gone") > 0, rest).otherwise(F.col("text"))
-    df = df.withColumn("text", new)
-    if "n_chars" in names:
-        df = df.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return df.select(*[F.col(f"`{c}`") for c in names])
+    df = df.withColumn("text", F.when(F.size("v_gone") > 0, rest).otherwise(F.col("text")))
+    back = {c: F.col(f"o{i}") for i, c in enumerate(others)} | {c: F.col(c) for c in ("doc_id", "text")}
+    if "n_chars" in back:
+        back["n_chars"] = F.length("text").cast(docs.schema["n_chars"].dataType)
+    return df.select(*[back[c].alias(c) for c in names])
 
 
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
