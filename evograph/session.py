@@ -11,6 +11,7 @@ from pyspark.sql import SparkSession
 
 ROOT = Path(__file__).resolve().parent.parent
 _SHIPPED: set[str] = set()
+_OWN: dict[str, str] = {}
 
 
 def local_session(name: str = "evograph", cpus: str = "8") -> SparkSession:
@@ -27,6 +28,14 @@ def local_session(name: str = "evograph", cpus: str = "8") -> SparkSession:
     )
 
 
+def work_dir(spark: SparkSession) -> str:
+    """A folder that the driver and all executors share: the cluster's, or one of our own where none is named."""
+    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or _OWN.get("dir")
+    if not named:
+        named = _OWN["dir"] = tempfile.mkdtemp(prefix="evograph-work-")
+    return named.rstrip("/")
+
+
 def ship(spark: SparkSession) -> None:
     """Let workers import this package; needed where their path does not have it already."""
     paths = os.environ.get("PYTHONPATH", "").split(os.pathsep)
