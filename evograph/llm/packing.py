@@ -40,7 +40,7 @@ END_ID = 1
 RANK_PARTS = 256
 #: Shares of the least number of sequences that the rounded program fills; best fit places the rest.
 LP_SHARES = (0.95, 0.85, 0.7, 0.5, 0.3, 0.1, 0.0)
-TABLE_WORDS, TABLE_PARTS = 800_000, 400_000
+TABLE_WORDS, TABLE_PARTS = 1_300_000, 600_000
 #: White space as the tokenizer's ``\s`` has it; ``str.split`` also splits at 0x1C-0x1F.
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 _ODD = re.compile("[\x1c-\x1f]")
