@@ -20,6 +20,7 @@ runs only in which equal-length piece takes which of their places.
 from __future__ import annotations
 
 import gc
+import os
 import re
 import string
 import zlib
@@ -85,6 +86,8 @@ class WordTokens:
     """
 
     def __init__(self, path: str):
+        # one thread: a task has one core, and idle threads of a pool burn the others' time
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -172,8 +175,8 @@ def pieces(docs: DataFrame, tokenizer: str | None = None, capacity: int = CAPACI
         gc.disable()  # no cycles here, but many lists to look through
         for batch in batches:
             texts = batch.column(1)
-            for k in range(0, len(texts), 256):
-                part = texts.slice(k, 256).to_pylist()
+            for k in range(0, len(texts), 512):
+                part = texts.slice(k, 512).to_pylist()
                 rows: list[int] = []
                 cols: list[list[int]] = [[], [], [], []]
                 for a, b in text_groups(part):
