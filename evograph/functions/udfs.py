@@ -13,6 +13,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udf, udtf
+from pyspark.sql.types import DoubleType, LongType, StringType, StructField, StructType
 
 from evograph.registry import cte, query
 from evograph.sources import streams
@@ -21,29 +22,29 @@ from evograph.train.engine import auc_of
 from evograph.windows.fixed import fixed
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def vec_dot(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([float(np.dot(np.asarray(x, dtype=float), np.asarray(y, dtype=float))) for x, y in zip(a, b)])
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def decay_log(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
     for dt in batches:
         yield 1 / np.log(np.e + dt.clip(lower=0))
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def auc_agg(score: pd.Series, y: pd.Series) -> float:
     a = auc_of(score.to_numpy(dtype=float), y.to_numpy(dtype=float))
     return float("nan") if a is None else a
 
 
-@udf("string", useArrow=False)
+@udf(StringType(), useArrow=False)
 def node_side(node: int) -> str:
     return "left" if node % 2 == 0 else "right"
 
 
-@udtf(returnType="window_id: bigint, pos: bigint")
+@udtf(returnType=StructType([StructField("window_id", LongType()), StructField("pos", LongType())]))
 class ExpandWindow:
     """Positions of a window."""
 

@@ -120,6 +120,15 @@ def w12(s, d):
     return log.groupBy("data", "model", "method", "window_id", "unit").agg(F.max("auc").alias("auc"), F.first("n_windows").alias("n_windows")).groupBy("data", "model", "method").agg(F.avg("auc").alias("auc"), F.first("n_windows").alias("n_windows"))
 
 
+@query("q_w07_execution_plans")
+def w07(s, d):
+    """Seconds and mean of best AUC of serial, dependency-keeping and dependency-ignoring plans, over the whole stream."""
+    settings = [{"model": "point_process_attention", "method": "batch", "dim": 8, "name": p, "windows": {"size": 200}, "fit": {**_CHEAP, "units": 1, "plan": p}} for p in ("serial", "wave", "ignore")]
+    log = _grid(s, d, settings)
+    best = log.groupBy("setting", "window_id", "unit").agg(F.max("auc").alias("auc"), F.first("seconds").alias("seconds"))
+    return best.groupBy(F.col("setting").alias("plan")).agg(F.avg("auc").alias("auc"), F.first("seconds").alias("seconds"))
+
+
 @query("q_w14_stride_adaptive")
 def w14(s, d):
     """Windows by stride ratio of the adaptive method: the cost driver of the stride experiment."""

@@ -12,7 +12,7 @@ import __spark_entry__ as entry
 from evograph.registry import ORACLES, QUERIES
 from evograph.schema import TABLES
 
-SLOW = {"q_w12_auc_by_method"}
+SLOW: set[str] = set()
 
 
 def normal(df: pd.DataFrame) -> list[tuple]:
