@@ -2,13 +2,15 @@
 
 The text view sees content: hashed character trigrams and word repetition. The metadata view
 sees the record around it: source, language tag, size, lines and layout shares. Each view is a
-logistic model. In every round each view labels the unlabelled pool and hands the documents
+logistic model. In every round each view labels all unlabelled documents and hands those
 it is surest of, in the classes' proportion, to the other view's training set. The views are
 then calibrated (Platt) on labelled rows kept aside and combined by a third logistic model
 on their log-odds, fitted on the same rows; every document gets both scores and the combined one.
 
-Fitting reads at most ``LABELLED`` labelled and ``POOL`` unlabelled documents (hashed
-samples, the bounds are parameters); scoring covers every whole text.
+Labelled rows are a hashed sample of at most ``LABELLED``, drawn by class: a class with no more
+than half of that many is taken whole, and calibration weighs the classes by their true shares.
+Every round scores every other document in Spark; only the few handed over reach the driver.
+Rows alike in text, source, language and size count once there. Scoring covers every whole text.
 
 Null texts are empty texts; null source, language or size are values of their own. Labels of
 one document that disagree are averaged and rounded down; null labels do not count. Without
@@ -19,23 +21,23 @@ without any). Repeated rows get equal scores; extra columns are ignored.
 from __future__ import annotations
 
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from evograph.llm.common import slices, table, tidy, words_of_group
+from evograph.llm.common import cut, slices, table, tidy, words_of_group
 from evograph.llm.text_features import layout, repetition, trigrams
 
 DIMS = 2048
 META_DIMS = 64
-LABELLED, POOL = 2500, 2500
+LABELLED = 2500
 ROUNDS = 4
-#: Share of the pool that a view hands over in a round.
-HANDED = 0.05
+#: Share of the unlabelled documents that a view hands over in a round, and their largest number.
+HANDED, MOST_HANDED = 0.05, 125
 #: A document is kept from this probability of being good on.
 KEEP = 0.5
 
@@ -78,14 +80,14 @@ def _sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -35, 35)))
 
 
-def _newton(x: np.ndarray, y: np.ndarray, penalty: float = 1e-2, steps: int = 30) -> np.ndarray:
-    """A small logistic model with true class shares, for calibration."""
+def _newton(x: np.ndarray, y: np.ndarray, weight: np.ndarray, penalty: float = 1e-2, steps: int = 30) -> np.ndarray:
+    """A small logistic model with true class shares, for calibration; ``weight`` undoes the draw by class."""
     z = np.hstack([x, np.ones((len(x), 1))])
     w = np.zeros(z.shape[1])
     for _ in range(steps):
         p = _sigmoid(z @ w)
-        h = (z * (p * (1 - p))[:, None]).T @ z + penalty * np.eye(z.shape[1])
-        step = np.linalg.solve(h, z.T @ (p - y) + penalty * w)
+        h = (z * (weight * p * (1 - p))[:, None]).T @ z + penalty * np.eye(z.shape[1])
+        step = np.linalg.solve(h, z.T @ (weight * (p - y)) + penalty * w)
         w -= step
         if np.abs(step).max() < 1e-8:
             break
@@ -109,64 +111,119 @@ class CoModel:
         return _sigmoid(a), _sigmoid(b), _sigmoid(a * self.join[0] + b * self.join[1] + self.join[2])
 
 
-def co_train(content: np.ndarray, record: np.ndarray, y: np.ndarray, pool_content: np.ndarray, pool_record: np.ndarray, rounds: int = ROUNDS) -> CoModel:
-    """Exchange confident pseudo-labels for some rounds, then calibrate and combine."""
+def co_train(content: np.ndarray, record: np.ndarray, y: np.ndarray, weight: np.ndarray, surest: Callable[[list[np.ndarray]], list[tuple[np.ndarray, np.ndarray, np.ndarray]]], rounds: int = ROUNDS) -> CoModel:
+    """Exchange confident pseudo-labels for some rounds, then calibrate and combine.
+
+    ``surest(models)`` gives, for each view, both feature rows and labels of what it hands over.
+    """
     aside = np.arange(len(y)) % 4 == 0
     if min((y[aside] > 0.5).sum(), (y[aside] <= 0.5).sum()) == 0 or min((y[~aside] > 0.5).sum(), (y[~aside] <= 0.5).sum()) == 0:
         aside[:] = False
     base = ~aside
     sets = [(content[base], y[base]), (record[base], y[base])]
-    free = np.ones(len(pool_content), dtype=bool)
-    good = float(y[base].mean())
     handed = []
     models = [logistic(*s) for s in sets]
     for _ in range(rounds):
-        given = [0, 0]
+        given = surest(models)
         for me, other in ((0, 1), (1, 0)):
-            ids = np.flatnonzero(free)
-            if not len(ids):
-                break
-            z = _margin((pool_content, pool_record)[me][ids], models[me])
-            k = max(2, int(HANDED * len(pool_content)))
-            n_good = min(len(ids) - 1, max(1, round(k * good)))
-            order = np.argsort(z, kind="stable")
-            top, low = order[::-1][:n_good], order[: max(1, k - n_good)]
-            top, low = top[z[top] > 1], low[z[low] < -1]  # sure ones only
-            pick = np.concatenate([ids[top], ids[low]])
-            label = np.concatenate([np.ones(len(top)), np.zeros(len(low))])
-            free[pick] = False
-            given[me] = len(pick)
-            x = (pool_content, pool_record)[other][pick]
-            sets[other] = (np.vstack([sets[other][0], x]), np.append(sets[other][1], label))
-        handed.append(tuple(given))
+            label = given[me][2]
+            if len(label):
+                sets[other] = (np.vstack([sets[other][0], given[me][other]]), np.append(sets[other][1], label))
+        handed.append(tuple(len(g[2]) for g in given))
         models = [logistic(*s) for s in sets]
     held = aside if aside.any() else np.ones(len(y), dtype=bool)
     za, zb = _margin(content[held], models[0]), _margin(record[held], models[1])
-    sa, sb = _newton(za[:, None], y[held]), _newton(zb[:, None], y[held])
-    joint = _newton(np.stack([za * sa[0] + sa[1], zb * sb[0] + sb[1]], axis=1), y[held])
+    sa, sb = _newton(za[:, None], y[held], weight[held]), _newton(zb[:, None], y[held], weight[held])
+    joint = _newton(np.stack([za * sa[0] + sa[1], zb * sb[0] + sb[1]], axis=1), y[held], weight[held])
     return CoModel(models[0], models[1], sa, sb, joint, handed)
 
 
-def fit(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, pool: int = POOL) -> CoModel | float:
+def _print() -> Column:
+    """Equal for rows that both views see alike."""
+    return F.xxhash64(F.coalesce("text", F.lit("")), F.coalesce("source", F.lit("\0")), F.coalesce("lang", F.lit("\0")), F.coalesce("n_chars", F.lit(-1)))
+
+
+def sure_rows(docs: DataFrame, models: list[np.ndarray], known: set[int], gone: set[int], most: int) -> list[list[tuple[float, int]]]:
+    """The ``most`` surest prints of every view and class (view 0 good, bad, view 1 good, bad), from all rows not known."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best: list[dict[int, float]] = [{} for _ in range(4)]
+        for batch in batches:
+            for k in range(0, batch.num_rows, 128):
+                part = batch.slice(k, 128)
+                ids, prints = part.column(0).to_pylist(), part.column(5).to_pylist()
+                use = [i for i in range(len(ids)) if ids[i] not in known and prints[i] not in gone]
+                if not use:
+                    continue
+                part = part.take(pa.array(use))
+                prints = [prints[i] for i in use]
+                both = views(*[part.column(i).to_pylist() for i in (1, 2, 3, 4)])
+                for me in (0, 1):
+                    z = _margin(both[me], models[me])
+                    for kind, sure in ((2 * me, z), (2 * me + 1, -z)):
+                        for i in np.flatnonzero(sure > 1).tolist():
+                            best[kind][prints[i]] = float(sure[i])
+            for kind in range(4):
+                if len(best[kind]) > 4 * most:
+                    best[kind] = dict(sorted(best[kind].items(), key=lambda x: (-x[1], x[0]))[:most])
+        rows = [(kind, p, z) for kind in range(4) for p, z in sorted(best[kind].items(), key=lambda x: (-x[1], x[0]))[:most]]
+        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.float64())], ["kind", "print", "z"])
+        tidy()
+
+    found = docs.select("doc_id", "text", "source", "lang", "n_chars", _print().alias("print")).mapInArrow(run, "kind int, print long, z double")
+    found = found.groupBy("kind", "print").agg(F.max("z").alias("z"))
+    place = F.row_number().over(Window.partitionBy("kind").orderBy(F.desc("z"), "print"))
+    out: list[list[tuple[float, int]]] = [[], [], [], []]
+    for r in found.withColumn("place", place).where(F.col("place") <= most).orderBy("kind", "place").collect():
+        out[r["kind"]].append((r["z"], r["print"]))
+    return out
+
+
+def fit(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, most: int = MOST_HANDED) -> CoModel | float:
     """The fitted model, or the share of good labels where there are not both classes."""
     ok = labels.where("quality IS NOT NULL AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.floor(F.avg("quality")).cast("double").alias("y"))
-    total = ok.agg(F.count("*").alias("n"), F.avg("y").alias("m")).first()
-    if not total["n"] or total["m"] in (0.0, 1.0):
-        return 1.0 if total["m"] is None else float(total["m"])
-    key = lambda salt: F.pmod(F.xxhash64(F.col("doc_id"), F.lit(salt)), F.lit(1_000_003))
-    some = ok.where(key("label") < 1_000_003 * min(1.0, labelled / total["n"])).limit(2 * labelled)
-    cols = ["doc_id", "text", "source", "lang", "n_chars"]
-    rows = sorted((tuple(r) for r in docs.select(*cols).join(F.broadcast(some), "doc_id").select(*cols, "y").collect()), key=lambda r: r[0])
-    all_docs = docs.count()
-    drawn = docs.select(*cols).where(F.col("doc_id").isNotNull() & (key("pool") < 1_000_003 * min(1.0, pool / max(1, all_docs)))).limit(2 * pool)
-    known = {r[0] for r in rows}
-    others = sorted((tuple(r) for r in drawn.collect() if r["doc_id"] not in known), key=lambda r: r[0])
-    y = np.array([r[5] for r in rows])
-    if not len(y) or y.min() == y.max():
-        return float(y.mean()) if len(y) else 1.0
-    content, record = views(*[[r[i] for r in rows] for i in (1, 2, 3, 4)])
-    pool_views = views(*[[r[i] for r in others] for i in (1, 2, 3, 4)]) if others else (content[:0], record[:0])
-    return co_train(content, record, y, *pool_views)
+    ok = cut(ok.join(docs.select("doc_id"), "doc_id", "left_semi"))  # labels of other documents teach nothing
+    n_of = {r["y"]: r["n"] for r in ok.groupBy("y").agg(F.count("*").alias("n")).collect()}
+    total = sum(n_of.values())
+    good = sum(y * n for y, n in n_of.items()) / total if total else 1.0
+    if len(n_of) < 2:
+        return good
+    few = min(n_of, key=lambda y: (n_of[y], y))
+    quota = {few: min(n_of[few], labelled // 2)}
+    quota |= {y: labelled - quota[few] for y in n_of if y != few}
+    parts = [ok.where(F.col("y") == y).orderBy(F.xxhash64("doc_id", F.lit("label")), "doc_id").limit(q) for y, q in quota.items()]
+    some = parts[0].unionByName(parts[1])
+    cols = ["text", "source", "lang", "n_chars"]
+    row = F.first(F.struct(*cols)).alias("row")
+    drawn = docs.join(F.broadcast(some), "doc_id").groupBy("doc_id", "y", _print().alias("print")).agg(row)
+    rows = sorted(((r["doc_id"], r["print"], r["y"], *r["row"]) for r in drawn.collect()), key=lambda r: r[:2])
+    y = np.array([r[2] for r in rows])
+    weight = np.array([n_of[v] / min(n_of[v], quota[v]) for v in y.tolist()])
+    content, record = views(*[[r[i] for r in rows] for i in (3, 4, 5, 6)])
+    known, gone = {r[0] for r in rows}, set()
+    hand = min(most, max(2, int(HANDED * (docs.count() - len(known)))))
+    n_good = max(1, round(hand * good))
+    numbers = (n_good, max(1, hand - n_good))
+
+    def surest(models: list[np.ndarray]) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        best = sure_rows(docs, models, known, gone, 3 * hand)  # a print goes once: views and classes may both want it
+        label: list[dict[int, float]] = [{}, {}]
+        for me in (0, 1):
+            for kind, value in ((2 * me, 1.0), (2 * me + 1, 0.0)):
+                free = [p for _, p in best[kind] if p not in gone]
+                label[me] |= dict.fromkeys(free[: numbers[kind % 2]], value)
+                gone.update(label[me])
+        want = docs.sparkSession.createDataFrame([(p,) for p in sorted(label[0] | label[1])], "print long")
+        found = docs.select(*cols, _print().alias("print")).join(F.broadcast(want), "print").groupBy("print").agg(row).collect() if label[0] or label[1] else []
+        at = {r["print"]: r["row"] for r in found}
+        out = []
+        for me in (0, 1):
+            prints = sorted(label[me])
+            both = views(*[[at[p][c] for p in prints] for c in cols]) if prints else (content[:0], record[:0])
+            out.append((*both, np.array([label[me][p] for p in prints])))
+        return out
+
+    return co_train(content, record, y, weight / weight.mean(), surest)
 
 
 def score(docs: DataFrame, model: CoModel | float, keep: float = KEEP) -> DataFrame:
