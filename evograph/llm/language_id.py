@@ -5,8 +5,8 @@ pair of families, vote for a family; machines for every pair of languages of tha
 separate those closely related languages. Margins pass through a logistic curve; the score
 is the family's mean winning probability times the language's.
 
-Fitted on at most ``PER_LANGUAGE`` labelled texts of each language (a hashed sample, a bound
-that is a parameter) of the documents whose crc32(doc_id as text) mod 5 is not 0. Everything
+Fitted on about ``PER_LANGUAGE`` labelled texts of each language (a hashed sample, a bound
+that is a parameter), however many languages there are, of the documents whose crc32(doc_id as text) mod 5 is not 0. Everything
 else covers all rows, whole texts.
 
 Nulls, empty texts and texts without a letter are ``und`` with score 0, as is every text when
@@ -21,7 +21,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from evograph.llm.common import slices, table
@@ -29,7 +29,6 @@ from evograph.llm.text_features import trigrams
 
 DIMS = 4096
 PER_LANGUAGE = 500
-MAX_LANGUAGES = 64
 
 # fixed values: language families by ISO 639-1 code
 FAMILIES = {
@@ -126,12 +125,14 @@ class Hierarchy:
 def fit(docs: DataFrame, per_language: int = PER_LANGUAGE, dims: int = DIMS) -> Hierarchy | None:
     """Machines from a bounded hashed sample of the labelled texts that are not held out."""
     usable = docs.where(F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")) & F.col("lang").isNotNull() & (F.length("text") > 0)).select("doc_id", "lang", "text")
-    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()}
+    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count("*").alias("n")).collect()}
     if not counts:
         return None
     share = F.create_map(*[F.lit(v) for k, n in counts.items() for v in (k, min(1.0, per_language / n))])
     drawn = usable.where(F.pmod(F.xxhash64(F.col("doc_id"), F.lit("sample")), F.lit(1_000_003)) < share[F.col("lang")] * 1_000_003)
-    rows = sorted((r["doc_id"], r["lang"], r["text"]) for r in drawn.limit(2 * per_language * len(counts)).collect())
+    place = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id", F.lit("sample")), "doc_id"))
+    drawn = drawn.withColumn("place", place).where(F.col("place") <= 2 * per_language)  # repeated ids of one language crowd out no other
+    rows = sorted((r["doc_id"], r["lang"], r["text"]) for r in drawn.collect())
     if not rows:
         return None
     texts = [t for _, _, t in rows]

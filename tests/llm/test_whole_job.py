@@ -5,7 +5,9 @@ from __future__ import annotations
 import random
 
 import numpy as np
+from pyspark.sql import functions as F
 
+from evograph.llm import language_id as L
 from evograph.llm import quality_model as Q
 
 
@@ -40,3 +42,11 @@ def test_every_unlabelled_document_is_a_candidate(spark, docs_of):
             want = sorted((float(sure[k]) for k in free.values() if sure[k] > 1), reverse=True)[:20]
             assert np.allclose([v for v, _ in got[kind]], want)
             assert len({at[p] for _, p in got[kind]}) == len(want)
+
+
+def test_every_language_is_learned(spark):
+    """More than 64 languages, each with a word of its own."""
+    rows = [(100 * k + i, f"word{k}x{k}y{k} " * 5, f"q{k:02d}") for k in range(70) for i in range(4 if k < 66 else 3)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string").where(~L.held_out(F.col("doc_id")))
+    m = L.fit(docs, dims=256)
+    assert {x for v in m.families.values() for x in v} == {x["lang"] for x in docs.select("lang").distinct().collect()} and len(m.families) > 64
