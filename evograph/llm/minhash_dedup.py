@@ -13,8 +13,9 @@ pairs: its members meet its leader (another one in every band), verified links a
 components, and only members of one band that are still in different components meet each other.
 Candidates are verified by the exact similarity of their shingle sets.
 
-Nulls and texts without a word link with nothing. Rows with one id and different texts are
-joined by their id. Repeated rows are copies. Columns other than ``doc_id, text`` play no part;
+Nulls and texts without a word link with nothing. Texts are sketched and verified each by itself,
+also those of one id; then classes that share an id are one. Repeated rows are copies:
+``keep_one`` keeps one row of each class of texts, and one of each repeated row. Columns other than ``doc_id, text`` play no part;
 an empty table gives an empty result.
 """
 
@@ -24,7 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evograph.llm.common import components, cut, forest, mix, segment_sums, slices, table, tidy, words_of_group
@@ -77,8 +78,12 @@ def sketch(doc: np.ndarray, s: np.ndarray, weight: np.ndarray, n: int, slots: in
     return who.reshape(n, slots)
 
 
+def text_print() -> Column:
+    return F.xxhash64(F.coalesce("text", F.lit(""))).alias("print")
+
+
 def sketches(docs: DataFrame, weighting: str = "set", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
-    """``doc_id, n, p1, p2, bands``: number of shingles, print of the weighted set, band keys; texts with words only."""
+    """``doc_id, print, n, p1, p2, bands``: print of the text, number of shingles, print of the weighted set, band keys; texts with words only."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -102,10 +107,10 @@ def sketches(docs: DataFrame, weighting: str = "set", bands: int = BANDS, rows:
                         prints.append((total[ends] - total[ends - n]).view(np.int64))
                     ok = np.flatnonzero(n > 0)
                     flat = pa.ListArray.from_arrays(pa.array(np.arange(len(ok) + 1, dtype=np.int32) * bands), pa.array(key[ok].reshape(-1).view(np.int64)))
-                    yield pa.RecordBatch.from_arrays([part.column(0).slice(a, m).take(pa.array(ok)), pa.array(n[ok]), pa.array(prints[0][ok]), pa.array(prints[1][ok]), flat], ["doc_id", "n", "p1", "p2", "bands"])
+                    yield pa.RecordBatch.from_arrays([part.column(0).slice(a, m).take(pa.array(ok)), part.column(2).slice(a, m).take(pa.array(ok)), pa.array(n[ok]), pa.array(prints[0][ok]), pa.array(prints[1][ok]), flat], ["doc_id", "print", "n", "p1", "p2", "bands"])
         tidy()
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, p1 long, p2 long, bands array<long>")
+    return docs.select("doc_id", "text", text_print()).mapInArrow(run, "doc_id long, print long, n long, p1 long, p2 long, bands array<long>")
 
 
 def shingle_sets(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
@@ -145,7 +150,7 @@ def verified(pairs: DataFrame, sets: DataFrame, similarity: float = SIMILARITY)
 
 
 def _links(reps: DataFrame, docs: DataFrame, similarity: float, size: int) -> DataFrame:
-    """``id, root`` of the representatives that link with another one."""
+    """``id, root`` of the representatives (``rep, n, bands, doc_id, print``) that link with another one."""
     buckets = reps.select("rep", "n", F.posexplode("bands").alias("band", "key"))
     turn = F.xxhash64("rep", "band")
     crowd = buckets.groupBy("band", "key").agg(F.count("*").alias("m"), F.min(F.struct(turn, "rep", "n")).alias("lead")).where("m > 1")
@@ -155,8 +160,9 @@ def _links(reps: DataFrame, docs: DataFrame, similarity: float, size: int) -> Da
     shared = cut(buckets.join(crowd, ["band", "key"]).select("rep", "n", "band", "key", "leader", fits.alias("fits")))
     stars = shared.where("fits AND rep <> leader").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b"), "rep").distinct()
     stars = stars.groupBy("a", "b").agg(F.min("rep").alias("rep"))
-    ids = shared.select(F.col("rep").alias("doc_id")).distinct()
-    sets = cut(shingle_sets(docs.join(ids, "doc_id", "left_semi"), size).dropDuplicates(["doc_id"]))
+    where = reps.join(shared.select("rep").distinct(), "rep", "left_semi").select("rep", "doc_id", "print")
+    texts = docs.select("doc_id", "text", text_print()).join(where, ["doc_id", "print"]).select(F.col("rep").alias("doc_id"), "text")
+    sets = cut(shingle_sets(texts, size).dropDuplicates(["doc_id"]))
     # one leader of each representative first: most groups are whole after it
     one = stars.groupBy("rep").agg(F.min_by(F.struct("a", "b"), F.xxhash64("a", "b")).alias("p")).select("p.a", "p.b").distinct()
     found = cut(verified(one, sets, similarity))
@@ -224,25 +230,53 @@ def _apart(pairs: DataFrame, root: DataFrame) -> DataFrame:
     return p.where(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
 
 
-def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, weighting: str = "set", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
-    """``doc_id, class_id, kept`` of every document: the smallest id of its class, and whether it is that."""
+def text_classes(docs: DataFrame, similarity: float = SIMILARITY, weighting: str = "set", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
+    """``doc_id, print, root, first_id`` of every row with an id and a word: its class of texts and the smallest id in it."""
     known = docs.where(F.col("doc_id").isNotNull())
     marks = cut(sketches(known, weighting, bands, rows, size))
-    same = marks.groupBy("p1", "p2", "n").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"))
-    same = cut(same)
-    reps = same.groupBy("rep").agg(F.min("n").alias("n"), F.min_by("bands", "p1").alias("bands"))
-    member = marks.select("doc_id", "p1", "p2", "n").join(same.select("p1", "p2", "n", "rep"), ["p1", "p2", "n"]).select("doc_id", "rep")
-    root = _links(reps, known, similarity, size)
-    found = member.join(root.withColumnRenamed("id", "rep"), "rep", "left").groupBy("doc_id").agg(F.min(F.coalesce("root", "rep")).alias("class_id"))
-    out = docs.select("doc_id").distinct().join(found, "doc_id", "left")
+    same = marks.groupBy("p1", "p2", "n").agg(F.min(F.struct("doc_id", "print")).alias("one"), F.first("bands").alias("bands"))
+    # a name for the text, not its id: an id may have several texts
+    same = cut(same.select(F.xxhash64("p1", "p2", "n").alias("rep"), "p1", "p2", "n", "bands", "one.doc_id", "one.print"))
+    root = cut(_links(same.select("rep", "n", "bands", "doc_id", "print"), known, similarity, size).withColumnRenamed("id", "rep"))
+    whole = root.select("rep", "root").unionByName(root.select(F.col("root").alias("rep"), "root").distinct())  # roots have no row of their own
+    linked = whole.join(same.select("rep", "doc_id"), "rep")
+    least = linked.groupBy("root").agg(F.min("doc_id").alias("least"))
+    named = same.select("rep", "p1", "p2", "n", "doc_id").join(linked.select("rep", "root").join(least, "root"), "rep", "left")
+    named = named.select("p1", "p2", "n", F.coalesce("root", "rep").alias("root"), F.coalesce("least", "doc_id").alias("first_id"))
+    return cut(marks.select("doc_id", "print", "p1", "p2", "n").join(named, ["p1", "p2", "n"]).select("doc_id", "print", "root", "first_id"))
+
+
+def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, weighting: str = "set", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
+    """``doc_id, class_id, kept`` of every document: the smallest id of its class, and whether it is that."""
+    member = text_classes(docs, similarity, weighting, bands, rows, size)
+    found = member.groupBy("doc_id").agg(F.min("first_id").alias("class_id"), F.max("first_id").alias("other"))
+    several = found.where("class_id <> other").select("doc_id", "class_id")
+    links = cut(member.join(several, "doc_id").where("first_id <> class_id").select(F.col("first_id").alias("a"), F.col("class_id").alias("b")).distinct())
+    if not links.isEmpty():  # ids with texts of several classes join these
+        joined = components(links).select(F.col("id").alias("class_id"), "root")
+        found = found.join(joined, "class_id", "left").withColumn("class_id", F.coalesce("root", "class_id"))
+    out = docs.select("doc_id").distinct().join(found.select("doc_id", "class_id"), "doc_id", "left")
     cls = F.coalesce("class_id", "doc_id")
     return out.select("doc_id", cls.alias("class_id"), F.coalesce(F.col("doc_id") == cls, F.lit(True)).alias("kept"))
 
 
 def keep_one(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """One document of each class, all columns as given; rows without an id stay."""
-    gone = near_duplicates(docs, similarity).where(~F.col("kept")).select(F.col("doc_id").alias("gone_id"))
-    return docs.join(gone, docs["doc_id"] == gone["gone_id"], "left_anti")
+    """One row of each class of texts and of each repeated row, all columns as given; rows without an id stay."""
+    member = text_classes(docs, similarity)
+    first = member.groupBy("root").agg(F.min(F.struct("doc_id", "print")).alias("first"))
+    gone = member.join(first, "root").where(F.struct("doc_id", "print") != F.col("first"))
+    gone = gone.select(F.col("doc_id").alias("gone_id"), F.col("print").alias("gone_print")).distinct()
+    mark = "print"
+    while mark in docs.columns:
+        mark += "_"
+    rows = docs.withColumn(mark, text_print())
+    rest = rows.join(gone, (rows["doc_id"] == gone["gone_id"]) & (rows[mark] == gone["gone_print"]), "left_anti")
+    again = docs.where(F.col("doc_id").isNotNull()).select("doc_id", text_print()).groupBy("doc_id", "print").agg(F.count("*").alias("n")).where("n > 1")
+    again = cut(again.select(F.col("doc_id").alias("again_id"), F.col("print").alias("again_print")))
+    if not again.isEmpty():
+        same = (rest["doc_id"] == again["again_id"]) & (rest[mark] == again["again_print"])
+        rest = rest.join(again, same, "left_anti").unionByName(rest.join(again, same, "left_semi").dropDuplicates(["doc_id", mark]))
+    return rest.drop(mark)
 
 
 def op6_prob_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:

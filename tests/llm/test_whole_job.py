@@ -8,6 +8,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from evograph.llm import language_id as L
+from evograph.llm import minhash_dedup as M
 from evograph.llm import quality_model as Q
 
 
@@ -50,3 +51,18 @@ def test_every_language_is_learned(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string").where(~L.held_out(F.col("doc_id")))
     m = L.fit(docs, dims=256)
     assert {x for v in m.families.values() for x in v} == {x["lang"] for x in docs.select("lang").distinct().collect()} and len(m.families) > 64
+
+
+def test_rows_of_one_id(spark):
+    """Repeated rows stay once; every text of an id takes part, and no text goes without a copy that stays."""
+    r = random.Random(3)
+    text = lambda: " ".join(f"w{r.randrange(9000)}" for _ in range(40))
+    a, b, c, d = text(), text(), text(), text()
+    rows = [(1, a), (1, a), (1, a), (2, a), (5, b), (5, c), (3, b + " end"), (7, c + " end"), (9, d), (9, None), (9, None), (None, d), (None, d)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("print", F.lit(0)).repartition(5)
+    got = {x["doc_id"]: x["class_id"] for x in M.near_duplicates(docs).collect()}
+    assert got == {1: 1, 2: 1, 3: 3, 5: 3, 7: 3, 9: 9, None: None}
+    kept = M.keep_one(docs)
+    assert kept.columns == docs.columns
+    want = [(1, a), (3, b + " end"), (5, c), (9, d), (9, None), (None, d), (None, d)]
+    assert sorted(((x["doc_id"], x["text"]) for x in kept.collect()), key=str) == sorted(want, key=str)
