@@ -12,7 +12,10 @@ containers, class names and language, so no page of a corpus is needed or learnt
 Text of main blocks: references decoded, white space folded to single spaces and trimmed,
 blocks joined by one newline in page order. Null or empty html gives an empty text. Markup
 need not be well formed: unknown ends are ignored, open elements close with their parents,
-an unfinished tag is text. Repeated rows give repeated results, other columns are ignored.
+an unfinished tag is text. Only raw text (``RAW``) is dropped unread, up to its end tag or, as
+browsers do, to the end of the page; one that closes itself is empty. Drawings, formulas and
+fallback content are read: their text belongs to the line around them, and a block-level
+element ends a drawing or formula left open. Repeated rows give repeated results, other columns are ignored.
 Only one page at a time is held; a page's size is not limited.
 """
 
@@ -32,8 +35,9 @@ from evograph.llm.common import table
 
 # fixed values: element kinds of the HTML standard
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-INLINE = frozenset("a abbr b bdi bdo br cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
-RAW = frozenset("script style noscript template iframe textarea title svg math canvas object select".split())
+INLINE = frozenset("a abbr b bdi bdo br cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr svg math canvas object".split())
+RAW = frozenset("script style iframe textarea title noembed noframes xmp".split())
+FOREIGN = frozenset({"svg", "math"})
 #: An opening one of these ends an open element of the listed kinds within the nearest container.
 IMPLIED_END = {
     **{t: frozenset({"p"}) for t in "address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split()},
@@ -73,6 +77,15 @@ def blocks(page: str | None) -> list[tuple[str, tuple, float, bool]]:
             if any(tag == "a" for tag, _, _ in stack):
                 linked += len(s.strip())
 
+    def foreign() -> int:
+        """Where on the stack the drawing or formula begins that we are in; -1 for none."""
+        for k in range(len(stack) - 1, -1, -1):
+            if stack[k][0] in FOREIGN:
+                return k
+            if stack[k][0] == "foreignobject":
+                break
+        return -1
+
     page, at = page or "", 0
     while m := _TOKEN.search(page, at):
         add(page[at : m.start()])
@@ -80,8 +93,13 @@ def blocks(page: str | None) -> list[tuple[str, tuple, float, bool]]:
         tag = (m[2] or "").lower()
         if not tag:
             continue
+        if tag in IMPLIED_END and not m[1] and (k := foreign()) >= 0:
+            del stack[k:]
+        inside = foreign() >= 0
+        if inside:
+            text.append(" ")
         if m[1]:  # an end
-            if tag not in INLINE:
+            if tag not in INLINE and (not inside or tag in IMPLIED_END):
                 flush()
             if any(t == tag for t, _, _ in stack):
                 while stack.pop()[0] != tag:
@@ -90,7 +108,7 @@ def blocks(page: str | None) -> list[tuple[str, tuple, float, bool]]:
         if tag == "br":
             text.append(" ")
             continue
-        if tag not in INLINE:
+        if tag not in INLINE and not inside:
             flush()
             ends = IMPLIED_END.get(tag)
             if ends:
@@ -100,16 +118,16 @@ def blocks(page: str | None) -> list[tuple[str, tuple, float, bool]]:
                         break
                     if stack[k][0] in _SCOPE:
                         break
-        if tag in RAW:
+        if tag in RAW and not m[3].rstrip().endswith("/"):
             end = re.compile(rf"</{tag}\s*>", re.I).search(page, at)
             at = end.end() if end else len(page)
             continue
-        if tag in VOID or m[3].rstrip().endswith("/"):
+        if tag in VOID or tag in RAW or m[3].rstrip().endswith("/"):
             continue
         words: list[str] = []
         for a in _ATTR.finditer(m[3]):
             words += _NAME.findall((a[2] or a[3] or a[4] or "").lower())
-        stack.append((tag, tuple(words), bool(_HIDDEN.search(m[3]))))
+        stack.append((tag, tuple(words), tag == "template" or bool(_HIDDEN.search(m[3]))))
     add(page[at:])
     flush()
     return out

@@ -7,6 +7,7 @@ import random
 import numpy as np
 from pyspark.sql import functions as F
 
+from evograph.llm import html_extract as H
 from evograph.llm import language_id as L
 from evograph.llm import minhash_dedup as M
 from evograph.llm import quality_model as Q
@@ -66,3 +67,15 @@ def test_rows_of_one_id(spark):
     assert kept.columns == docs.columns
     want = [(1, a), (3, b + " end"), (5, c), (9, d), (9, None), (None, d), (None, d)]
     assert sorted(((x["doc_id"], x["text"]) for x in kept.collect()), key=str) == sorted(want, key=str)
+
+
+def test_text_after_drawings_stays():
+    texts = lambda page: [t for t, *_ in H.blocks(page)]
+    assert texts("<p>One <svg class=i/> two.</p><p>Three.</p><svg><path d='M0'/></svg><p>Four.</p>") == ["One two.", "Three.", "Four."]
+    assert texts("<p>One <svg><path d=''> two.</p><p>Three.</p>") == ["One two.", "Three."]
+    assert texts("<div><svg><g><path><p>Three.</p><noscript><p>Four.</p></div><canvas/><p>Five.</p>") == ["Three.", "Four.", "Five."]
+    assert texts("<p>Let <math><mi>x</mi><mo>=</mo><mn>1</mn></math> be.</p><math/><object/><p>Next.</p>") == ["Let x = 1 be.", "Next."]
+    assert texts("<object data=a><p>Fallback.</p></object><select><option>A<option>B</select><p>End.</p>") == ["Fallback.", "A", "B", "End."]
+    assert texts("<svg><foreignObject><p>In a drawing.</p></foreignObject></svg><p>After.</p>") == ["In a drawing.", "After."]
+    assert texts("<script src=a /><p>Stays.</p><style>p{}</style><script>x<p>no</script><iframe/>End.") == ["Stays.", "End."]
+    assert H.main_text("<article><h1>Title of it<svg/></h1><p>A first sentence of the article, with words.</p><p>A second one follows here.</p></article>", H.model()).endswith("A second one follows here.")
