@@ -22,7 +22,6 @@ _U = np.uint64
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[32, 9, 10, 11, 12, 13]] = True
 _BASE = _U(0x9E3779B97F4A7C15)
-_TABLE = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64) * _U(2) + _U(1)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -36,12 +35,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def ensure_checkpoints(spark: SparkSession) -> None:
     """Use the folder the cluster names in ``spark.checkpoint.dir``.
 
-    A folder of our own is made only where that setting is absent, as in tests.
+    A folder of our own is made only where that setting is absent and all is one process, as in tests.
     """
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isDefined():
         return
     folder = sc.getConf().get("spark.checkpoint.dir")
+    if not folder and not sc.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
     sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="evograph-checkpoint-"))
 
 
@@ -78,27 +79,33 @@ def powers(n: int, base: np.uint64 = _BASE) -> np.ndarray:
     return np.multiply.accumulate(out) if n else out
 
 
-_POW = powers(2)
-_INV = powers(2, _U(pow(int(_BASE), -1, 2**64)))
-
-
-def _grow(n: int) -> None:
-    global _POW, _INV
-    if len(_POW) < n:
-        _POW = powers(n)
-        _INV = powers(n, _U(pow(int(_BASE), -1, 2**64)))
+#: Bytes of a chunk that are inside a word, by their number.
+_INSIDE = np.array([(1 << (8 * k)) - 1 for k in range(9)], dtype=np.uint64)
 
 
 def _slice_words(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Start, end and 64-bit hash of every word of a byte array."""
+    """Start, end and 64-bit hash of every word of a byte array.
+
+    A word is chunks of eight bytes; each is mixed with its place before they are added, so
+    no arithmetic relation between bytes survives (sums of powers modulo 2^64 would equate
+    complementary Thue-Morse words whatever the base).
+    """
     word = ~_SPACE[raw]
     edge = np.diff(np.concatenate(([0], word.view(np.int8), [0])))
     starts, ends = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
-    _grow(len(raw) + 1)
-    total = np.zeros(len(raw) + 1, dtype=np.uint64)
-    np.cumsum(_TABLE[raw] * _POW[: len(raw)], out=total[1:])
-    h = (total[ends] - total[starts]) * _INV[starts]
-    return starts, ends, mix(h ^ ((ends - starts).astype(np.uint64) << _U(48)))
+    size = ends - starts
+    padded = np.concatenate((raw, np.zeros(8, dtype=np.uint8)))
+    chunks = np.ndarray(len(raw) + 1, dtype="<u8", buffer=padded, strides=(1,))
+    h = mix((chunks[starts] & _INSIDE[np.minimum(size, 8)]) + _BASE)
+    long = np.flatnonzero(size > 8)
+    if len(long):
+        more = (size[long] - 1) // 8  # chunks after the first
+        first = np.cumsum(more) - more
+        k = np.arange(int(more.sum())) - np.repeat(first, more) + 1
+        at = np.repeat(starts[long], more) + 8 * k
+        left = np.minimum(np.repeat(ends[long], more) - at, 8)
+        h[long] += np.add.reduceat(mix((chunks[at] & _INSIDE[left]) ^ mix(k.astype(np.uint64) * _BASE)), first)
+    return starts, ends, mix(h ^ (size.astype(np.uint64) << _U(48)))
 
 
 def byte_words(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -181,6 +188,8 @@ def components(links: DataFrame, rounds: int = 64) -> DataFrame:
         if last == (state["n"], state["h"]):
             break
         last = (state["n"], state["h"])
+    else:
+        raise RuntimeError(f"components: links still change after {rounds} rounds")
     return e.groupBy("a").agg(F.min("b").alias("root")).withColumnRenamed("a", "id")
 
 

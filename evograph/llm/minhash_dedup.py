@@ -1,17 +1,22 @@
 """Near-duplicate documents by ProbMinHash, banding and verification.
 
-A document is its weighted five-word shingles (fewer words: one shingle of all of them).
-Every shingle is a Poisson process whose rate is its weight: arrivals come after hashed
-exponential gaps, each falls on a hashed slot of the sketch, and a slot keeps its first arrival.
-A shingle stops once its next arrival is later than every slot's, so long texts end early. Two
-sketches agree in a slot with the probability Jaccard similarity of the weighted sets; with
-weights of one (``weighting="set"``, the default) that is the Jaccard similarity of the sets.
+A document is its five-word shingles (fewer words: one shingle of all of them), each weighted by
+how often it occurs (``weighting="set"``: by one). Every shingle is a Poisson process whose rate
+is its weight: arrivals come after hashed exponential gaps, each falls on a hashed slot of the
+sketch, and a slot keeps its first arrival. A shingle stops once its next arrival is later than
+every slot's, so long texts end early. Two sketches agree in a slot with the probability Jaccard
+similarity of the weighted sets, and by that same similarity, computed exactly, candidates are
+verified. Where no shingle repeats it is the Jaccard similarity of the sets.
 
 Documents with equal weighted sets are one class at once. Sketches of class representatives are
 cut into bands; representatives that share a band are candidates. A band is never expanded into
 pairs: its members meet its leader (another one in every band), verified links are joined to
-components, and only members of one band that are still in different components meet each other.
-Candidates are verified by the exact similarity of their shingle sets.
+components, and only members of one band that are still in different components meet each
+other: pair by pair in small bands, in blocks in crowded ones. A block belongs to the largest
+band of its members, so a crowd that shares twenty bands is compared once and not twenty times.
+
+What is the same for a whole band or class comes to its members by a join on the key and one of
+``DEALS`` deals, so a band that a third of all documents share is many tasks' work.
 
 Nulls and texts without a word link with nothing. Texts are sketched and verified each by itself,
 also those of one id; then classes that share an id are one. Repeated rows are copies:
@@ -28,14 +33,18 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evograph.llm.common import components, cut, forest, mix, segment_sums, slices, table, tidy, words_of_group
+from evograph.llm.common import components, cut, mix, segment_sums, slices, table, tidy, words_of_group
 
 SHINGLE = 5
 SIMILARITY = 0.8
 #: At similarity 0.8 a pair shares no band with probability 4e-4 or less.
 BANDS, ROWS = 20, 5
 #: Bands of so many members at most meet pair by pair, others in blocks of about so many shingles.
-FEW, BLOCK_SHINGLES = 32, 30_000
+FEW, BLOCK_SHINGLES = 16, 100_000
+#: Tasks that share the rows of one key in joins.
+DEALS = 32
+#: Slack for rounding where similarities are compared.
+SLACK = 1e-12
 _U = np.uint64
 _BASE, _SLOT, _SUM1, _SUM2 = _U(0x8CB92BA72F3D8DD7), _U(0x9E6C63D0876A9A63), _U(0xC2B2AE3D27D4EB4F), _U(0x165667B19E3779F9)
 
@@ -82,7 +91,7 @@ def text_print() -> Column:
     return F.xxhash64(F.coalesce("text", F.lit(""))).alias("print")
 
 
-def sketches(docs: DataFrame, weighting: str = "set", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
+def sketches(docs: DataFrame, weighting: str = "tf", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
     """``doc_id, print, n, p1, p2, bands``: print of the text, number of shingles, print of the weighted set, band keys; texts with words only."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -113,8 +122,8 @@ def sketches(docs: DataFrame, weighting: str = "set", bands: int = BANDS, rows:
     return docs.select("doc_id", "text", text_print()).mapInArrow(run, "doc_id long, print long, n long, p1 long, p2 long, bands array<long>")
 
 
-def shingle_sets(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
-    """``doc_id, s``: the sorted distinct shingles of each text, 64 bits each, as bytes."""
+def shingle_sets(docs: DataFrame, weighting: str = "tf", size: int = SHINGLE) -> DataFrame:
+    """``doc_id, s``: the weighted shingle set of each text as bytes, see ``weighted_set``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -122,63 +131,98 @@ def shingle_sets(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
                 part = batch.slice(k, 512)
                 for a, b, data, offsets in slices(part.column(1).to_pylist()):
                     _, _, h, words = words_of_group(data, offsets)
-                    doc, s, _ = shingles(h, words, size)
+                    doc, s, count = shingles(h, words, size)
                     ends = np.searchsorted(doc, np.arange(b - a + 1))
-                    yield pa.RecordBatch.from_arrays([part.column(0).slice(a, b - a), pa.array([s[i:j].tobytes() for i, j in zip(ends[:-1], ends[1:])], pa.binary())], ["doc_id", "s"])
+                    out = []
+                    for i, j in zip(ends[:-1].tolist(), ends[1:].tolist()):
+                        weights = count[i:j].astype("<u4") if weighting == "tf" and (count[i:j] > 1).any() else count[:0].astype("<u4")
+                        out.append(s[i:j].tobytes() + weights.tobytes())
+                    yield pa.RecordBatch.from_arrays([part.column(0).slice(a, b - a), pa.array(np.diff(ends).astype(np.int32)), pa.array(out, pa.binary())], ["doc_id", "k", "s"])
         tidy()
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, s binary")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, k int, s binary")
+
+
+def weighted_set(k: int, data: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct shingles, 64 bits each, and their weights (not stored where all are one)."""
+    s = np.frombuffer(data, dtype="<u8", count=k)
+    return s, np.frombuffer(data, dtype="<u4", offset=8 * k).astype(np.float64) if len(data) > 8 * k else np.ones(k)
+
+
+def probability_jaccard(x: np.ndarray, wx: np.ndarray, y: np.ndarray, wy: np.ndarray) -> float:
+    """Sum over common shingles d of 1 / sum over all e of max(wx[e] / wx[d], wy[e] / wy[d])."""
+    _, i, j = np.intersect1d(x, y, assume_unique=True, return_indices=True)
+    if not len(i):
+        return 0.0
+    a, b = wx[i], wy[j]
+    # by falling ratio, the first sets the maximum before a shingle's place and the second after it
+    order = np.argsort(-a / b, kind="stable")
+    a, b = a[order], b[order]
+    first, second = np.cumsum(a), np.cumsum(b)
+    return float((1 / ((wx.sum() - first[-1] + first) / a + (wy.sum() - second) / b)).sum())
 
 
 def verified(pairs: DataFrame, sets: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """The pairs ``(a, b)`` whose shingle sets have a Jaccard similarity of at least ``similarity``."""
+    """The pairs ``(a, b)`` whose probability Jaccard similarity is at least ``similarity``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            keep = []
-            for x, y in zip(batch.column(2), batch.column(3)):
-                x, y = np.frombuffer(x.as_py(), dtype=np.uint64), np.frombuffer(y.as_py(), dtype=np.uint64)
-                both = 0
-                if min(len(x), len(y)) >= similarity * max(len(x), len(y)):
-                    both = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(both >= similarity * (len(x) + len(y) - both))
+            keep = [
+                probability_jaccard(*weighted_set(kx.as_py(), x.as_py()), *weighted_set(ky.as_py(), y.as_py())) >= similarity - SLACK
+                for kx, x, ky, y in zip(*batch.columns[2:])
+            ]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    left = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), "a")
-    met = left.join(sets.select(F.col("doc_id").alias("b"), F.col("s").alias("sb")), "b")
-    return met.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
+    left = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("k").alias("ka"), F.col("s").alias("sa")), "a")
+    met = left.join(sets.select(F.col("doc_id").alias("b"), F.col("k").alias("kb"), F.col("s").alias("sb")), "b")
+    return met.select("a", "b", "ka", "sa", "kb", "sb").mapInArrow(run, "a long, b long")
+
+
+def deal_of(*cols: str) -> Column:
+    """One of ``DEALS`` deals, by the columns that tell rows of one key apart."""
+    return F.pmod(F.xxhash64(*cols), F.lit(DEALS)).cast("int").alias("deal")
+
+
+def deals_present() -> Column:
+    """Aggregate: the deals that a key's rows are in, as bits."""
+    return F.bit_or(F.expr("shiftleft(1L, deal)")).alias("deals")
+
 
+def by_deal(stats: DataFrame) -> DataFrame:
+    """A row for each deal present: never more rows than the key has itself."""
+    there = F.filter(F.sequence(F.lit(0), F.lit(DEALS - 1)), lambda d: F.getbit("deals", d) == 1)
+    return stats.withColumn("deal", F.explode(there)).drop("deals")
 
-def _links(reps: DataFrame, docs: DataFrame, similarity: float, size: int) -> DataFrame:
+
+def _links(reps: DataFrame, docs: DataFrame, similarity: float, weighting: str, size: int) -> DataFrame:
     """``id, root`` of the representatives (``rep, n, bands, doc_id, print``) that link with another one."""
-    buckets = reps.select("rep", "n", F.posexplode("bands").alias("band", "key"))
-    turn = F.xxhash64("rep", "band")
-    crowd = buckets.groupBy("band", "key").agg(F.count("*").alias("m"), F.min(F.struct(turn, "rep", "n")).alias("lead")).where("m > 1")
-    crowd = crowd.select("band", "key", F.col("lead.rep").alias("leader"), F.col("lead.n").alias("leader_n"))
-    # no similarity of `similarity` without sizes that allow it
-    fits = F.least("n", "leader_n") >= F.lit(similarity) * F.greatest("n", "leader_n")
-    shared = cut(buckets.join(crowd, ["band", "key"]).select("rep", "n", "band", "key", "leader", fits.alias("fits")))
-    stars = shared.where("fits AND rep <> leader").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b"), "rep").distinct()
-    stars = stars.groupBy("a", "b").agg(F.min("rep").alias("rep"))
+    buckets = reps.select("rep", F.col("n").cast("int").alias("n"), F.posexplode("bands").alias("band", "key"))
+    buckets = buckets.select("rep", "n", F.xxhash64("band", "key").alias("gid"), deal_of("rep"))
+    # names are hashes, so the least of name xor band is another member in every band
+    crowd = buckets.groupBy("gid").agg(F.count("*").alias("m"), F.min(F.col("rep").bitwiseXOR(F.col("gid"))).alias("lead"), deals_present()).where("m > 1")
+    crowd = by_deal(crowd.select("gid", F.col("lead").bitwiseXOR(F.col("gid")).alias("leader"), "deals"))
+    shared = cut(buckets.join(crowd, ["gid", "deal"]).select("rep", "n", "gid", "deal", "leader"))
+    stars = shared.where("rep <> leader").select("rep", "leader").distinct()
     where = reps.join(shared.select("rep").distinct(), "rep", "left_semi").select("rep", "doc_id", "print")
     texts = docs.select("doc_id", "text", text_print()).join(where, ["doc_id", "print"]).select(F.col("rep").alias("doc_id"), "text")
-    sets = cut(shingle_sets(texts, size).dropDuplicates(["doc_id"]))
+    sets = cut(shingle_sets(texts, weighting, size).dropDuplicates(["doc_id"]))
+    pair = F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")
     # one leader of each representative first: most groups are whole after it
-    one = stars.groupBy("rep").agg(F.min_by(F.struct("a", "b"), F.xxhash64("a", "b")).alias("p")).select("p.a", "p.b").distinct()
+    one = stars.groupBy("rep").agg(F.min("leader").alias("leader")).select(*pair).distinct()
     found = cut(verified(one, sets, similarity))
     root = components(found)
-    rest = _apart(stars.select("a", "b").join(one, ["a", "b"], "left_anti"), root)
+    rest = _apart(stars.select(*pair).distinct().join(one, ["a", "b"], "left_anti"), root)
     found = cut(found.unionByName(verified(rest, sets, similarity)))
     root = components(found)
     # members of one band still apart, other than with the leader
-    here = shared.select("rep", "n", "band", "key").join(root.withColumnRenamed("id", "rep"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
-    crowds = here.groupBy("band", "key", "root").agg(F.count("*").alias("m"), F.sum("n").alias("size"))
-    crowds = crowds.groupBy("band", "key").agg(F.count("*").alias("roots"), F.sum("m").alias("m"), F.sum("size").alias("size"), F.max(F.struct("m", "size", "root")).alias("most")).where("roots > 1")
-    here = cut(here.join(crowds.select("band", "key", "m", "size", F.col("most.root").alias("most"), (F.col("size") - F.col("most.size")).alias("rest")), ["band", "key"]))
+    here = shared.select("rep", "n", "gid", "deal").join(root.withColumnRenamed("id", "rep"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
+    by_root = here.groupBy("gid", "root").agg(F.count("*").alias("m"), F.sum("n").alias("size"), deals_present())
+    crowds = by_root.groupBy("gid").agg(F.count("*").alias("roots"), F.sum("m").alias("m"), F.sum("size").alias("size"), F.max_by("root", "m").alias("most"), F.bit_or("deals").alias("deals"))
+    here = cut(here.join(by_deal(crowds.where("roots > 1").drop("roots")), ["gid", "deal"]))
     few = here.where(F.col("m") <= FEW)
-    x, y = few.select("band", "key", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("root").alias("ra")), few.select("band", "key", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"))
-    near = (F.col("a") < F.col("b")) & (F.col("ra") != F.col("rb")) & (F.least("na", "nb") >= F.lit(similarity) * F.greatest("na", "nb"))
-    apart = x.join(y, ["band", "key"]).where(near).select("a", "b").distinct().join(stars.select("a", "b"), ["a", "b"], "left_anti")
+    x, y = few.select("gid", F.col("rep").alias("a"), F.col("root").alias("ra")), few.select("gid", F.col("rep").alias("b"), F.col("root").alias("rb"))
+    apart = x.join(y, "gid").where((F.col("a") < F.col("b")) & (F.col("ra") != F.col("rb"))).select("a", "b").distinct()
+    apart = apart.join(stars.select(*pair), ["a", "b"], "left_anti")
     found = found.unionByName(verified(apart, sets, similarity)).unionByName(_block_links(here.where(F.col("m") > FEW), sets, similarity))
     return components(found)
 
@@ -186,67 +230,94 @@ def _links(reps: DataFrame, docs: DataFrame, similarity: float, size: int) -> Da
 def _block_links(here: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     """Links of crowded bands: members outside the largest component against all members, in blocks.
 
-    A block holds about ``BLOCK_SHINGLES`` shingles, so no task gets a whole crowd, and a
-    pair of blocks is one row that yields links enough to join what belongs together.
+    A representative is in one block, that of its largest band, of about ``BLOCK_SHINGLES``
+    shingles. Blocks whose members share a band make one row, whatever the number of bands they
+    share, and a row yields links enough to join what belongs together.
     """
-    rows = here.join(sets.select(F.col("doc_id").alias("rep"), "s"), "rep")
-    item = F.collect_list(F.struct("rep", "root", "s"))
-
-    def blocks(df: DataFrame, size: str, name: str) -> DataFrame:
-        deal = F.pmod(F.xxhash64("rep"), F.ceil(F.col(size) / BLOCK_SHINGLES))
-        return df.groupBy("band", "key", deal.alias("deal")).agg(item.alias(name)).drop("deal")
-
-    met = blocks(rows.where("root <> most"), "rest", "left").join(blocks(rows, "size", "right"), ["band", "key"])
+    home = here.groupBy("rep", "root").agg(F.max(F.struct("m", "gid", "size")).alias("home"), F.max(F.col("root") != F.col("most")).alias("minor"))
+    deal = F.pmod(F.xxhash64("rep", F.lit(1)), F.ceil(F.col("home.size") / BLOCK_SHINGLES))
+    home = cut(home.select("rep", "root", "minor", F.xxhash64("home.gid", deal).alias("block")))
+    inside = here.select("gid", "rep", (F.col("root") != F.col("most")).alias("apart")).join(home.select("rep", "block"), "rep")
+    left = inside.where("apart").select("gid", F.col("block").alias("i")).distinct()
+    tiles = left.join(inside.select("gid", F.col("block").alias("j")).distinct(), "gid").select("i", "j").distinct()
+    rows = home.join(sets.withColumnRenamed("doc_id", "rep"), "rep")
+    item = F.collect_list(F.struct("rep", "root", "k", "s"))
+    met = tiles.join(rows.where("minor").groupBy(F.col("block").alias("i")).agg(item.alias("left")), "i")
+    met = met.join(rows.groupBy(F.col("block").alias("j")).agg(item.alias("right")), "j")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for left, right in zip(batch.column(0), batch.column(1)):
-                a, b = left.values, right.values
-                sa, sb = ([np.frombuffer(x, dtype=np.uint64) for x in v.field("s").to_pylist()] for v in (a, b))
-                common = np.intersect1d(np.unique(np.concatenate(sa)), np.unique(np.concatenate(sb)), assume_unique=True)
-                hits = []
-                for sets_ in (sa, sb):
-                    m = np.zeros((len(sets_), len(common)), dtype=np.float32)
-                    for k, x in enumerate(sets_):
-                        at = np.searchsorted(common, x)
-                        at = at[(at < len(common)) & (common[np.minimum(at, len(common) - 1)] == x)] if len(common) else at[:0]
-                        m[k, at] = 1
-                    hits.append(m)
-                both = (hits[0] @ hits[1].T).astype(np.float64)
-                na, nb = (np.array([len(x) for x in v], dtype=np.float64) for v in (sa, sb))
-                apart = a.field("root").to_numpy()[:, None] != b.field("root").to_numpy()[None, :]
-                i, j = np.nonzero((both >= similarity * (na[:, None] + nb[None, :] - both)) & apart)
-                links = forest(i, j + len(sa), len(sa) + len(sb))
-                ra, rb = a.field("rep").to_numpy(), b.field("rep").to_numpy()
-                x, y = ra[[p for p, _ in links]], rb[[q - len(sa) for _, q in links]]
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], ["a", "b"])
+                found = block_links(*(_members(x.values) for x in (left, right)), similarity)
+                yield pa.RecordBatch.from_arrays([pa.array([min(p) for p in found], pa.int64()), pa.array([max(p) for p in found], pa.int64())], ["a", "b"])
+        tidy()
 
     return met.select("left", "right").mapInArrow(run, "a long, b long")
 
 
+def _members(v: pa.StructArray) -> tuple[list[int], list[int], list[tuple[np.ndarray, np.ndarray]]]:
+    return v.field("rep").to_pylist(), v.field("root").to_pylist(), [weighted_set(k, s) for k, s in zip(v.field("k").to_pylist(), v.field("s").to_pylist())]
+
+
+def block_links(left: tuple, right: tuple, similarity: float) -> list[tuple[int, int]]:
+    """Links between two blocks that join all components that their members' links join.
+
+    An inverted list of the right block gives, for one left member, the sum over common
+    shingles of the lesser share of the weight, which bounds the similarity to every right one.
+    """
+    (ra, roots_a, sa), (rb, roots_b, sb) = left, right
+    above = {r: r for r in (*roots_a, *roots_b)}
+
+    def find(x: int) -> int:
+        while above[x] != x:
+            above[x] = above[above[x]]
+            x = above[x]
+        return x
+
+    sizes = np.array([len(s) for s, _ in sb])
+    flat = np.concatenate([s for s, _ in sb])
+    order = np.argsort(flat, kind="stable")
+    flat, owner = flat[order], np.repeat(np.arange(len(sb)), sizes)[order]
+    share = np.concatenate([w / w.sum() for _, w in sb])[order]
+    out = []
+    for rep, root, (s, w) in zip(ra, roots_a, sa):
+        lo, hi = np.searchsorted(flat, s, "left"), np.searchsorted(flat, s, "right")
+        n = hi - lo
+        at = np.arange(int(n.sum())) + np.repeat(lo - (np.cumsum(n) - n), n)
+        bound = np.bincount(owner[at], weights=np.minimum(share[at], np.repeat(w / w.sum(), n)), minlength=len(sb))
+        near = np.flatnonzero(bound >= similarity - SLACK)
+        for j in near[np.argsort(-bound[near], kind="stable")].tolist():
+            p, q = find(root), find(roots_b[j])
+            if p != q and probability_jaccard(s, w, *sb[j]) >= similarity - SLACK:
+                above[max(p, q)] = min(p, q)
+                out.append((rep, rb[j]))
+    return out
+
+
 def _apart(pairs: DataFrame, root: DataFrame) -> DataFrame:
     """The pairs whose ends are not in one component yet."""
     p = pairs.join(root.select(F.col("id").alias("a"), F.col("root").alias("ra")), "a", "left").join(root.select(F.col("id").alias("b"), F.col("root").alias("rb")), "b", "left")
     return p.where(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
 
 
-def text_classes(docs: DataFrame, similarity: float = SIMILARITY, weighting: str = "set", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
-    """``doc_id, print, root, first_id`` of every row with an id and a word: its class of texts and the smallest id in it."""
+def text_classes(docs: DataFrame, similarity: float = SIMILARITY, weighting: str = "tf", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
+    """``doc_id, print, deal, root, first_id`` of every row with an id and a word: its class of texts and the smallest id in it."""
     known = docs.where(F.col("doc_id").isNotNull())
     marks = cut(sketches(known, weighting, bands, rows, size))
-    same = marks.groupBy("p1", "p2", "n").agg(F.min(F.struct("doc_id", "print")).alias("one"), F.first("bands").alias("bands"))
+    marks = marks.select("*", deal_of("doc_id", "print"))
+    same = marks.groupBy("p1", "p2", "n").agg(F.min(F.struct("doc_id", "print")).alias("one"), F.first("bands").alias("bands"), deals_present())
     # a name for the text, not its id: an id may have several texts
-    same = cut(same.select(F.xxhash64("p1", "p2", "n").alias("rep"), "p1", "p2", "n", "bands", "one.doc_id", "one.print"))
-    root = cut(_links(same.select("rep", "n", "bands", "doc_id", "print"), known, similarity, size).withColumnRenamed("id", "rep"))
+    same = cut(same.select(F.xxhash64("p1", "p2", "n").alias("rep"), "p1", "p2", "n", "bands", "deals", "one.doc_id", "one.print"))
+    root = cut(_links(same.select("rep", "n", "bands", "doc_id", "print"), known, similarity, weighting, size).withColumnRenamed("id", "rep"))
     whole = root.select("rep", "root").unionByName(root.select(F.col("root").alias("rep"), "root").distinct())  # roots have no row of their own
-    linked = whole.join(same.select("rep", "doc_id"), "rep")
-    least = linked.groupBy("root").agg(F.min("doc_id").alias("least"))
-    named = same.select("rep", "p1", "p2", "n", "doc_id").join(linked.select("rep", "root").join(least, "root"), "rep", "left")
-    named = named.select("p1", "p2", "n", F.coalesce("root", "rep").alias("root"), F.coalesce("least", "doc_id").alias("first_id"))
-    return cut(marks.select("doc_id", "print", "p1", "p2", "n").join(named, ["p1", "p2", "n"]).select("doc_id", "print", "root", "first_id"))
+    linked = cut(whole.join(same.select("rep", "doc_id", deal_of("rep")), "rep"))
+    least = by_deal(linked.groupBy("root").agg(F.min("doc_id").alias("least"), deals_present()))
+    named = same.select("rep", "p1", "p2", "n", "doc_id", "deals").join(linked.join(least, ["root", "deal"]).select("rep", "root", "least"), "rep", "left")
+    named = by_deal(named.select("p1", "p2", "n", "deals", F.coalesce("root", "rep").alias("root"), F.coalesce("least", "doc_id").alias("first_id")))
+    return cut(marks.select("doc_id", "print", "deal", "p1", "p2", "n").join(named, ["p1", "p2", "n", "deal"]).select("doc_id", "print", "deal", "root", "first_id"))
 
 
-def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, weighting: str = "set", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
+def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, weighting: str = "tf", bands: int = BANDS, rows: int = ROWS, size: int = SHINGLE) -> DataFrame:
     """``doc_id, class_id, kept`` of every document: the smallest id of its class, and whether it is that."""
     member = text_classes(docs, similarity, weighting, bands, rows, size)
     found = member.groupBy("doc_id").agg(F.min("first_id").alias("class_id"), F.max("first_id").alias("other"))
@@ -263,8 +334,8 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, weighting:
 def keep_one(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """One row of each class of texts and of each repeated row, all columns as given; rows without an id stay."""
     member = text_classes(docs, similarity)
-    first = member.groupBy("root").agg(F.min(F.struct("doc_id", "print")).alias("first"))
-    gone = member.join(first, "root").where(F.struct("doc_id", "print") != F.col("first"))
+    first = by_deal(member.groupBy("root").agg(F.min(F.struct("doc_id", "print")).alias("first"), deals_present()))
+    gone = member.join(first, ["root", "deal"]).where(F.struct("doc_id", "print") != F.col("first"))
     gone = gone.select(F.col("doc_id").alias("gone_id"), F.col("print").alias("gone_print")).distinct()
     mark = "print"
     while mark in docs.columns:

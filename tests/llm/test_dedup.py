@@ -1,6 +1,7 @@
 from __future__ import annotations
 
 import random
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -8,7 +9,7 @@ from pyspark.sql import functions as F
 
 from evograph.llm import embedding_dedup as E
 from evograph.llm import minhash_dedup as M
-from evograph.llm.common import components, forest
+from evograph.llm.common import byte_words, components, forest
 
 
 def roots(pairs, ids):
@@ -37,7 +38,28 @@ def test_components(spark):
 
 def shingles(t):
     w = (t or "").split()
-    return {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set()
+    return Counter(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))) if w else Counter()
+
+
+def probability_jaccard(x, y):
+    """By the definition, element by element."""
+    return sum(1 / sum(max(x[e] / x[d], y[e] / y[d]) for e in x.keys() | y.keys()) for d in x.keys() & y.keys())
+
+
+def thue_morse(n):
+    s = "a"
+    while len(s) < n:
+        s += s.translate(str.maketrans("ab", "ba"))
+    return s
+
+
+def test_word_hash_has_no_algebra():
+    """Complementary Thue-Morse words collide under every polynomial modulo a power of two."""
+    x = thue_morse(4096)
+    ws = [x, x.translate(str.maketrans("ab", "ba")), "a" * 8, "a" * 9, "a" * 16, "a" * 8 + "b" * 8, "b" * 8 + "a" * 8, "abcdefgh", "abcdefgh\0"]
+    s, e, h = byte_words(" ".join([*ws, *ws]).encode())
+    assert [y - x for x, y in zip(s, e)] == [len(w) for w in ws] * 2
+    assert len(set(h.tolist())) == len(ws) and (h[: len(ws)] == h[len(ws) :]).all()
 
 
 def near_texts(seed=0):
@@ -46,6 +68,8 @@ def near_texts(seed=0):
     out = []
     for _ in range(12):
         base = [word() for _ in range(r.choice([6, 60, 150]))]
+        if r.random() < 0.4:  # passages that repeat give weights over one
+            base += base[: len(base) // 2] * r.randrange(1, 4)
         out.append(" ".join(base))
         for _ in range(r.choice([0, 2, 60])):
             w = list(base)
@@ -55,18 +79,38 @@ def near_texts(seed=0):
     return out + [None, "", "a b", "a b", "a b c", " \n"]
 
 
-@pytest.mark.parametrize("few", [2, 32])
-def test_near_duplicates_equal_brute_force(docs_of, monkeypatch, few):
+@pytest.mark.parametrize("few,weighting", [(2, "tf"), (16, "tf"), (2, "set")])
+def test_near_duplicates_equal_brute_force(docs_of, monkeypatch, few, weighting):
     monkeypatch.setattr(M, "FEW", few)
     monkeypatch.setattr(M, "BLOCK_SHINGLES", 2000)
     ts = near_texts()
-    s = [shingles(t) for t in ts]
-    pairs = [(i, j) for i in range(len(ts)) for j in range(i) if s[i] and s[j] and len(s[i] & s[j]) >= 0.8 * len(s[i] | s[j])]
+    s = [shingles(t) if weighting == "tf" else Counter(set(shingles(t))) for t in ts]
+    pairs = [(i, j) for i in range(len(ts)) for j in range(i) if len(s[i].keys() & s[j].keys()) > 0 and probability_jaccard(s[i], s[j]) >= 0.8 - 1e-12]
     want = roots(pairs, range(len(ts)))
-    got = {r["doc_id"]: (r["class_id"], r["kept"]) for r in M.near_duplicates(docs_of(ts)).collect()}
+    got = {r["doc_id"]: (r["class_id"], r["kept"]) for r in M.near_duplicates(docs_of(ts), weighting=weighting).collect()}
     assert {k: v[0] for k, v in got.items()} == want
     assert all(kept == (want[k] == k) for k, (_, kept) in got.items())
-    assert M.keep_one(docs_of(ts)).count() == len(set(want.values()))
+    if weighting == "tf":
+        assert M.keep_one(docs_of(ts)).count() == len(set(want.values()))
+
+
+def test_exact_similarity_and_blocks():
+    r = np.random.default_rng(3)
+    sets = []
+    for _ in range(30):
+        k = np.sort(r.choice(60, r.integers(1, 40), replace=False)).astype(np.uint64)
+        sets.append((k, r.integers(1, 5, len(k)).astype(float)))
+    d = [dict(zip(k.tolist(), w)) for k, w in sets]
+    d = [Counter(x) for x in d]
+    near = []
+    for i in range(30):
+        for j in range(30):
+            want = probability_jaccard(d[i], d[j])
+            assert abs(M.probability_jaccard(*sets[i], *sets[j]) - want) < 1e-9
+            near += [(i, j)] if want >= 0.3 and i != j else []
+    ids = list(range(30))
+    found = M.block_links((ids, ids, sets), (ids, ids, sets), 0.3)
+    assert set(found) <= set(near) and roots(found, ids) == roots(near, ids)
 
 
 def test_sketch_estimates():
