@@ -8,7 +8,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evograph.session import ship
@@ -72,13 +72,6 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h
 
 
-def powers(n: int, base: np.uint64 = _BASE) -> np.ndarray:
-    out = np.full(n, base, dtype=np.uint64)
-    if n:
-        out[0] = 1
-    return np.multiply.accumulate(out) if n else out
-
-
 #: Bytes of a chunk that are inside a word, by their number.
 _INSIDE = np.array([(1 << (8 * k)) - 1 for k in range(9)], dtype=np.uint64)
 
@@ -159,12 +152,26 @@ def words_of_group(data: bytes, offsets: np.ndarray) -> tuple[np.ndarray, np.nda
     return s, e, h, np.searchsorted(s, offsets)
 
 
-def segment_sums(h: np.ndarray, base: np.uint64) -> tuple[np.ndarray, np.ndarray]:
-    """Prefix sums of a polynomial over ``h`` and the inverse powers to shift them."""
-    p = powers(len(h), base)
-    total = np.zeros(len(h) + 1, dtype=np.uint64)
-    np.cumsum(h * p, out=total[1:])
-    return total, powers(len(h) + 1, _U(pow(int(base), -1, 2**64)))
+def sequence_hashes(h: np.ndarray, size: int, seed: int = 0) -> np.ndarray:
+    """A 64-bit hash of the ``size`` hashes from every position on, for ``len(h) - size + 1`` positions.
+
+    Hashes of doubled stretches are mixed from two halves, and the binary digits of ``size``
+    say which stretches make up the whole.
+    """
+    n = len(h) - size + 1
+    if n <= 0:
+        return np.zeros(0, dtype=np.uint64)
+    left, right = _U(0xD6E8FEB86659FD93), _U(0xA0761D6478BD642F)
+    out, at, span, part = None, 0, 1, mix(h + _U(seed))
+    while True:
+        if size & span:
+            here = part[at : at + n]
+            out = here if out is None else mix(out * left + here * right + _U(span))
+            at += span
+        if 2 * span > size:
+            return mix(out ^ _U(size))
+        part = mix(part[:-span] * left + part[span:] * right)
+        span *= 2
 
 
 def components(links: DataFrame, rounds: int = 64) -> DataFrame:
@@ -193,6 +200,26 @@ def components(links: DataFrame, rounds: int = 64) -> DataFrame:
     return e.groupBy("a").agg(F.min("b").alias("root")).withColumnRenamed("a", "id")
 
 
+#: Tasks that share the rows of one key in joins.
+DEALS = 32
+
+
+def deal_of(*cols: str) -> Column:
+    """One of ``DEALS`` deals, by the columns that tell rows of one key apart."""
+    return F.pmod(F.xxhash64(*cols), F.lit(DEALS)).cast("int").alias("deal")
+
+
+def deals_present() -> Column:
+    """Aggregate: the deals that a key's rows are in, as bits."""
+    return F.bit_or(F.expr("shiftleft(1L, deal)")).alias("deals")
+
+
+def by_deal(stats: DataFrame) -> DataFrame:
+    """A row for each deal present, to join on key and deal: never more rows than the key has itself."""
+    there = F.filter(F.sequence(F.lit(0), F.lit(DEALS - 1)), lambda d: F.getbit("deals", d) == 1)
+    return stats.withColumn("deal", F.explode(there)).drop("deals")
+
+
 def forest(i: np.ndarray, j: np.ndarray, n: int) -> list[tuple[int, int]]:
     """Links that already join what all given links join (union by smaller root)."""
     root = list(range(n))

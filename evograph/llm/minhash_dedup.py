@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evograph.llm.common import components, cut, mix, segment_sums, slices, table, tidy, words_of_group
+from evograph.llm.common import by_deal, components, cut, deal_of, deals_present, mix, sequence_hashes, slices, table, tidy, words_of_group
 
 SHINGLE = 5
 SIMILARITY = 0.8
@@ -41,23 +41,24 @@ SIMILARITY = 0.8
 BANDS, ROWS = 20, 5
 #: Bands of so many members at most meet pair by pair, others in blocks of about so many shingles.
 FEW, BLOCK_SHINGLES = 16, 100_000
-#: Tasks that share the rows of one key in joins.
-DEALS = 32
 #: Slack for rounding where similarities are compared.
 SLACK = 1e-12
 _U = np.uint64
-_BASE, _SLOT, _SUM1, _SUM2 = _U(0x8CB92BA72F3D8DD7), _U(0x9E6C63D0876A9A63), _U(0xC2B2AE3D27D4EB4F), _U(0x165667B19E3779F9)
+_SLOT, _SUM1, _SUM2 = _U(0x9E6C63D0876A9A63), _U(0xC2B2AE3D27D4EB4F), _U(0x165667B19E3779F9)
 
 
 def shingles(h: np.ndarray, offsets: np.ndarray, size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Text, hash and count of every distinct shingle of a group, ordered by text and hash."""
     n = np.diff(offsets)
-    length = np.minimum(n, size)
-    starts = np.where(n > 0, n - length + 1, 0)
+    starts = np.maximum(n - size + 1, 0)
     doc = np.repeat(np.arange(len(n)), starts)
     at = np.arange(len(doc)) - np.repeat(np.cumsum(starts) - starts, starts) + offsets[:-1][doc]
-    total, inverse = segment_sums(h, _BASE)
-    s = mix((total[at + length[doc]] - total[at]) * inverse[at] + length[doc].astype(np.uint64)) if len(at) else np.zeros(0, dtype=np.uint64)
+    parts = [(doc, sequence_hashes(h, size)[at])]
+    for k in range(1, size):
+        few = np.flatnonzero(n == k)
+        if len(few):
+            parts.append((few, sequence_hashes(h, k)[offsets[few]]))
+    doc, s = np.concatenate([x for x, _ in parts]), np.concatenate([y for _, y in parts])
     order = np.lexsort((s, doc))
     s, doc = s[order], doc[order]
     first = np.flatnonzero(np.append(True, (s[1:] != s[:-1]) | (doc[1:] != doc[:-1]))) if len(s) else np.zeros(0, dtype=np.int64)
@@ -178,22 +179,6 @@ def verified(pairs: DataFrame, sets: DataFrame, similarity: float = SIMILARITY)
     return met.select("a", "b", "ka", "sa", "kb", "sb").mapInArrow(run, "a long, b long")
 
 
-def deal_of(*cols: str) -> Column:
-    """One of ``DEALS`` deals, by the columns that tell rows of one key apart."""
-    return F.pmod(F.xxhash64(*cols), F.lit(DEALS)).cast("int").alias("deal")
-
-
-def deals_present() -> Column:
-    """Aggregate: the deals that a key's rows are in, as bits."""
-    return F.bit_or(F.expr("shiftleft(1L, deal)")).alias("deals")
-
-
-def by_deal(stats: DataFrame) -> DataFrame:
-    """A row for each deal present: never more rows than the key has itself."""
-    there = F.filter(F.sequence(F.lit(0), F.lit(DEALS - 1)), lambda d: F.getbit("deals", d) == 1)
-    return stats.withColumn("deal", F.explode(there)).drop("deals")
-
-
 def _links(reps: DataFrame, docs: DataFrame, similarity: float, weighting: str, size: int) -> DataFrame:
     """``id, root`` of the representatives (``rep, n, bands, doc_id, print``) that link with another one."""
     buckets = reps.select("rep", F.col("n").cast("int").alias("n"), F.posexplode("bands").alias("band", "key"))

@@ -1,23 +1,27 @@
 """Substring deduplication by recompression.
 
-Words (maximal stretches of non-white-space) are symbols. A round names runs of one symbol,
-then pairs whose left symbol falls in one half of a fixed hash partition and whose right
-symbol falls in the other. A name is a hash of what it stands for, so all tasks name alike
-without exchanging a dictionary. Names only depend on content; two equal stretches are
-therefore parsed alike but for a bounded border, where a symbol could have joined one
-outside. With the caps below a border is at most ``border()`` words, so a window of
-``window`` words has an interior of ``window - 2 * border()`` words with equal symbols.
-
-* *Reveal.* A phrase is the shortest sequence of whole symbols of ``PHRASE`` words or more.
-  In every stretch of ``reach()`` words the phrase with the least hash is an anchor, so the
-  interiors of equal windows hold an equal anchor. Anchors found once in the corpus are told
-  to their document; a window is a candidate if it holds any other anchor.
-* *Verify.* Candidate windows are counted by a 96-bit hash of their words; those found once
-  are told to their document. All other candidates are repeated windows.
-
-Both counts are combined before they are shuffled, so a window or passage in a third of all
-documents is one row per task; no group is gathered, nothing is joined on a hash, and what
-comes back to a document is bounded by its own length.
+Words (maximal stretches of non-white-space) are the first symbols. A round names runs of one
+symbol (in the rounds ``RUN_ROUNDS``), then pairs whose left symbol is in one half of a fixed
+hash partition of the symbols and whose right symbol is in the other; neither has a longest
+length, and rounds go on until no window has a symbol of its own left. A name is a hash of what
+it stands for, so all tasks of all documents name alike without exchanging a dictionary.
+
+What a round does depends on neighbours only, so in each round the symbols that are sure to be
+the same in every occurrence of a window are known from the window alone: a leading or trailing
+run may go on outside, and so may a pair begun by the last or ended by the first symbol. They
+are left off, round by round, and the longest of the symbols that remain in the last round that
+leaves any is the window's *top*. Equal windows have equal tops in equal places.
+
+* *Reveal.* The tops of all windows are counted over the corpus. One found once is told to its
+  text: its windows are found once. All others share their top with another place.
+* *Verify.* These windows are counted by a 96-bit hash of their words; those found once are
+  told to their text, too. The rest are repeated windows.
+
+Equal texts are one text with a count; if that is over one all windows of it are repeated, and
+they are told to the rest of the corpus once and not once for each copy. Both counts are combined before
+they are shuffled, so a window or passage in a third of all documents is one row per task; no
+group is gathered, nothing is joined on the hash of a window, and what comes back to a text is
+bounded by its own length.
 
 Nulls and empty texts have no words. A null id is an id of its own. Repeated rows (equal id
 and text) repeat each other's windows and so lose every word of texts of ``window`` words or
@@ -33,211 +37,218 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evograph.llm.common import mix, segment_sums, slices, table, tidy, words_of_group
+from evograph.llm.common import by_deal, deal_of, deals_present, mix, sequence_hashes, slices, table, tidy, words_of_group
 
 WINDOW = 35
-#: By round: the longest run and the longest pair that get a name, in words (0: none).
-CAPS = ((2, 2), (0, 4))
-PHRASE = 9
+#: Rounds that name runs before pairs; later ones name pairs only, as a run step costs every window a symbol at both ends.
+RUN_ROUNDS = (0, 2)
+#: Words for which symbols are held at once.
+STRETCH = 1 << 20
 _U = np.uint64
 _LEFT, _RIGHT, _RUN = _U(0xD6E8FEB86659FD93), _U(0xA0761D6478BD642F), _U(0xE7037ED1A0B428DB)
-_B1, _B2, _B3 = _U(0x9FB21C651E98DF25), _U(0xD1342543DE82EF95), _U(0xAF251AF3B0F025B5)
-
-
-def border() -> int:
-    """Words at an end of a stretch whose symbols may differ from an equal stretch's."""
-    return sum(run + max(pair - 1, 0) for run, pair in CAPS)
-
-
-def longest() -> int:
-    return max(max(c) for c in CAPS)
-
-
-def reach(window: int = WINDOW) -> int:
-    """Words of a stretch in which one anchor is chosen."""
-    return window - 2 * border() - PHRASE - longest() + 2
-
-
-def recompress(h: np.ndarray, doc: np.ndarray, rounds: tuple[tuple[int, int], ...] = CAPS) -> tuple[np.ndarray, np.ndarray]:
-    """Symbol names and first words after the rounds; nothing joins across documents."""
-    name, start = h, np.arange(len(h) + 1)
-    for r, (run_cap, pair_cap) in enumerate(rounds):
-        if run_cap > 1 and len(name) > 1:
-            d = doc[start[:-1]]
-            head = np.append(True, (name[1:] != name[:-1]) | (d[1:] != d[:-1]))
-            first = np.flatnonzero(head)
-            times = np.diff(np.append(first, len(name)))
-            size = start[np.append(first[1:], len(name))] - start[first]
-            joins = (times > 1) & (size <= run_cap)
-            keep = head | ~np.repeat(joins, times)
-            new = name.copy()
-            at = first[joins]
-            new[at] = mix(name[at] * _RUN + times[joins].astype(np.uint64))
-            name, start = new[keep], np.append(start[:-1][keep], start[-1])
-        if len(name) > 1:
-            d = doc[start[:-1]]
-            side = (mix(name + _U((r + 1) * int(_LEFT) & (2**64 - 1))) & _U(1)).astype(bool)
-            size = np.diff(start)
-            at = np.flatnonzero(~side[:-1] & side[1:] & (d[1:] == d[:-1]) & (size[:-1] + size[1:] <= pair_cap))
-            new = name.copy()
-            new[at] = mix(name[at] * _LEFT + name[at + 1] * _RIGHT + _U(r))
-            keep = np.ones(len(name), dtype=bool)
-            keep[at + 1] = False
-            name, start = new[keep], np.append(start[:-1][keep], start[-1])
-    return name, start
-
-
-def anchors(h: np.ndarray, offsets: np.ndarray, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray]:
-    """First words (in the group) and keys of the anchors of every text of a group."""
-    none = np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.uint64)
-    if not len(h):
-        return none
+
+
+def name_runs(name: np.ndarray, start: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Names, first words (and the end) after runs are named, and the new place of every symbol."""
+    d = doc[start[:-1]]
+    head = np.append(True, (name[1:] != name[:-1]) | (d[1:] != d[:-1]))
+    first = np.flatnonzero(head)
+    times = np.diff(np.append(first, len(name)))
+    new = name[first]
+    runs = times > 1
+    new[runs] = mix(new[runs] * _RUN + times[runs].astype(np.uint64))
+    return new, np.append(start[first], start[-1]), np.cumsum(head) - 1
+
+
+def name_pairs(name: np.ndarray, start: np.ndarray, doc: np.ndarray, number: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """As ``name_runs`` for pairs, with the half (true: right) of every old symbol."""
+    d = doc[start[:-1]]
+    half = (mix(name + _U((number + 1) * int(_LEFT) & (2**64 - 1))) & _U(1)).astype(bool)
+    pair = ~half[:-1] & half[1:] & (d[1:] == d[:-1])
+    keep = np.append(True, ~pair)
+    new, at = name.copy(), np.flatnonzero(pair)
+    new[at] = mix(name[at] * _LEFT + name[at + 1] * _RIGHT + _U(number))
+    return new[keep], np.append(start[:-1][keep], start[-1]), np.cumsum(keep) - 1, half
+
+
+def tops(h: np.ndarray, offsets: np.ndarray, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of every window of every text of a group: its first word, and its top's name and place.
+
+    A place is the top's first word (in the group), shifted by 16 bits, and its number of words.
+    As a top follows from its window alone, a very long text is done in overlapping stretches.
+    """
+    parts = []
+    for lo in range(0, max(len(h), 1), STRETCH):
+        end = min(len(h), lo + STRETCH + window - 1)
+        at, top, place = _tops(h[lo:end], np.clip(offsets, lo, end) - lo, window)
+        parts.append((at + lo, top, place + (lo << 16)))
+    return tuple(np.concatenate(x) for x in zip(*parts))
+
+
+def _tops(h: np.ndarray, offsets: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    n = len(h)
     doc = np.repeat(np.arange(len(offsets) - 1), np.diff(offsets))
-    name, start = recompress(h, doc)
-    first = start[:-1]
-    end = np.searchsorted(start, first + PHRASE)
-    ok = (first + PHRASE <= offsets[doc[first] + 1]) & (np.diff(offsets)[doc[first]] >= window)
-    if not ok.any():
-        return none
-    total, inverse = segment_sums(name, _B3)
-    j = np.flatnonzero(ok)
-    key = mix((total[end[j]] - total[j]) * inverse[j])
-    pos, d = first[j], doc[first[j]]
-    w = reach(window)
-    # nearest smaller keys within the reach, left (or equal) and right, never past the text
-    left, right = np.maximum(pos - w, offsets[d] - 1), np.minimum(pos + w, offsets[d + 1])
-    for step in range(1, min(w, len(pos))):
-        a, b = slice(0, len(pos) - step), slice(step, len(pos))
-        lower, higher = key[a] <= key[b], key[b] < key[a]
-        left[b] = np.maximum(left[b], np.where(lower, pos[a], -1))
-        right[a] = np.minimum(right[a], np.where(higher, pos[b], len(h) + w))
-    chosen = right - left - 1 >= w
-    return pos[chosen], key[chosen]
-
-
-def _candidates(n: int, offsets: np.ndarray, pos: np.ndarray, window: int) -> np.ndarray:
-    """First words of the windows inside a text that hold an anchor at one of ``pos``."""
-    flag = np.zeros(n + 1, dtype=np.int64)
-    doc = np.searchsorted(offsets, pos, side="right") - 1
-    np.add.at(flag, np.maximum(pos - (window - PHRASE), offsets[doc]), 1)
-    np.add.at(flag, pos + 1, -1)
-    hit = np.flatnonzero(np.cumsum(flag[:-1]) > 0)
-    return hit[hit + window <= offsets[np.searchsorted(offsets, hit, side="right")]]
+    at = np.flatnonzero(np.arange(n) + window <= offsets[doc + 1]) if n else np.zeros(0, dtype=np.int64)
+    top, place = np.zeros(len(at), dtype=np.uint64), np.zeros(len(at), dtype=np.int64)
+    name, start, live = h, np.arange(n + 1), np.arange(len(at))
+    first, last = at.copy(), at + window - 1  # the symbols of a window that are sure
+
+    def settle(gone: np.ndarray) -> None:
+        """Tops of windows that the round in hand leaves without a symbol."""
+        a, b = first[gone], last[gone]
+        size = np.diff(start)
+        best = a.copy()
+        for step in range(1, int((b - a).max()) + 1):
+            j = np.minimum(a + step, b)
+            better = (size[j] > size[best]) | ((size[j] == size[best]) & (name[j] < name[best]))
+            best = np.where(better, j, best)
+        top[live[gone]] = name[best]
+        place[live[gone]] = start[best] << 16 | size[best]
+
+    number = 0
+    while len(live):
+        for runs in (True, False):
+            if runs:
+                if number not in RUN_ROUNDS:
+                    continue
+                new, new_start, to = name_runs(name, start, doc)
+                a, b = to[first] + 1, to[last] - 1
+                gone = a > b
+            else:
+                new, new_start, to, half = name_pairs(name, start, doc, number)
+                a, b = first + half[first], last - ~half[last]
+                gone = a > b
+                a, b = to[np.minimum(a, len(name) - 1)], to[np.maximum(b, 0)]
+            if gone.any():
+                settle(gone)
+            live, first, last = live[~gone], a[~gone], b[~gone]
+            name, start = new, new_start
+            if not len(live):
+                break
+        number += 1
+    return at, top, place
 
 
 def _window_hashes(h: np.ndarray, at: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
     """64 and 32 bits of two hashes of each window."""
-    out = []
-    for base in (_B1, _B2):
-        total, inverse = segment_sums(h, base)
-        out.append(mix((total[at + window] - total[at]) * inverse[at]))
-    return out[0].view(np.int64), (out[1] >> _U(32)).astype(np.uint32).view(np.int32)
+    one, two = (sequence_hashes(h, window, seed)[at] for seed in (1, 2))
+    return one.view(np.int64), (two >> _U(32)).astype(np.uint32).view(np.int32)
 
 
-def _minus(pos: np.ndarray, offsets: np.ndarray, once: list[list[int] | None]) -> np.ndarray:
-    """``pos`` without the positions (from each text's start) listed as found once."""
-    gone = [np.asarray(x, dtype=np.int64) + offsets[k] for k, x in enumerate(once) if x]
-    return np.setdiff1d(pos, np.concatenate(gone)) if gone else pos
+def _prints() -> list[Column]:
+    """96 bits that name a text; a null one is an empty one."""
+    t = F.coalesce("text", F.lit(""))
+    return [F.xxhash64(t).alias("p1"), F.hash(t).alias("p2")]
 
 
-def _tag(docs: DataFrame) -> DataFrame:
-    return docs.select("doc_id", "text").withColumn("tag", F.hash("text"))
-
-
-def _packed(docs: DataFrame, others: list[str]) -> DataFrame:
-    """``doc_id, z, tag`` and other columns as ``o0, o1, ...``; texts compressed for the one shuffle they take."""
-    df = docs.select("doc_id", F.encode("text", "utf-8").alias("z"), F.hash("text").alias("tag"), *[F.col(f"`{c}`").alias(f"o{i}") for i, c in enumerate(others)])
+def distinct_texts(docs: DataFrame) -> DataFrame:
+    """``p1, p2, z, n, deals``: every text once, compressed for the one shuffle it takes, and its number of rows."""
+    df = docs.select(F.encode(F.coalesce("text", F.lit("")), "utf-8").alias("z"), *_prints(), deal_of("doc_id"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pack = zstandard.ZstdCompressor(level=3).compress
         for b in batches:
-            z = pa.array([None if x is None else pack(x) for x in b.column(1).to_pylist()], pa.binary())
-            yield pa.RecordBatch.from_arrays([b.column(0), z, *b.columns[2:]], b.schema.names)
-
-    return df.mapInArrow(run, df.schema)
+            yield pa.RecordBatch.from_arrays([pa.array([pack(x) for x in b.column(0).to_pylist()], pa.binary()), *b.columns[1:]], b.schema.names)
 
+    return df.mapInArrow(run, df.schema).groupBy("p1", "p2").agg(F.first("z").alias("z"), F.count("*").alias("n"), deals_present())
 
-def _found_once(found: DataFrame, keys: list[str]) -> DataFrame:
-    """``u_id, u_tag, once``: by document, the positions whose key occurs once in the corpus."""
-    n = found.groupBy(*keys).agg(F.count("*").alias("n"), F.min("doc_id").alias("u_id"), F.min("tag").alias("u_tag"), F.min("pos").alias("u_pos"))
-    return n.where("n = 1").groupBy("u_id", "u_tag").agg(F.collect_list("u_pos").alias("once"))
 
+def _found_once(found: DataFrame, keys: list[str], name: str) -> DataFrame:
+    """``p1, p2`` and by text the places whose key occurs once in the corpus."""
+    n = found.groupBy(*keys).agg(F.sum("weight").alias("n"), F.min("p1").alias("p1"), F.min("p2").alias("p2"), F.min("place").alias("place"))
+    return n.where("n = 1").groupBy("p1", "p2").agg(F.collect_list("place").alias(name))
 
-def _with(docs: DataFrame, once: DataFrame, name: str) -> DataFrame:
-    o = once.withColumnRenamed("once", name)
-    return docs.join(o, F.col("doc_id").eqNullSafe(F.col("u_id")) & (F.col("tag") == F.col("u_tag")), "left").drop("u_id", "u_tag")
 
-
-def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, int, int, bytes, tuple]]:
-    """Groups of whole texts of each batch; the second column has the text, packed or not."""
+def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, np.ndarray, bytes, tuple]]:
+    """Groups of whole texts: the rows, which of them have copies, the joined text and its words."""
     unpack = zstandard.ZstdDecompressor().decompress
     for batch in batches:
         for k in range(0, batch.num_rows, 512):
             part = batch.slice(k, 512)
-            texts = part.column(1).to_pylist()
-            if pa.types.is_binary(part.schema.types[1]):
-                texts = [b"" if x is None else unpack(x) for x in texts]
-            for a, b, data, offsets in slices(texts):
-                yield part, a, b, data, (*words_of_group(data, offsets), offsets)
+            for a, b, data, offsets in slices([unpack(x) for x in part.column("z").to_pylist()]):
+                group = part.slice(a, b - a)
+                yield group, group.column("n").to_numpy() > 1, data, (*words_of_group(data, offsets), offsets)
     tidy()
 
 
-def anchor_rows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
-    """``doc_id, tag, pos, key`` of every anchor."""
+def _rows(group: pa.RecordBatch, copied: np.ndarray, offsets: np.ndarray, word: np.ndarray, columns: dict[str, np.ndarray]) -> pa.RecordBatch:
+    """Rows of places in a group of texts; those of a text with copies weigh two."""
+    d = np.searchsorted(offsets, word, side="right") - 1
+    row = pa.array(d)
+    return pa.RecordBatch.from_arrays([group.column("p1").take(row), group.column("p2").take(row), pa.array(copied[d].astype(np.int32) + 1), *map(pa.array, columns.values())], ["p1", "p2", "weight", *columns])
+
+
+def top_rows(texts: DataFrame, window: int = WINDOW) -> DataFrame:
+    """``p1, p2, weight, place, key`` of every top of every text, once by place."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, a, b, _, (_, _, h, offsets, _) in _groups(batches):
-            pos, key = anchors(h, offsets, window)
-            d = np.searchsorted(offsets, pos, side="right") - 1
-            row = pa.array(d + a)
-            yield pa.RecordBatch.from_arrays([part.column(0).take(row), part.column(2).take(row), pa.array((pos - offsets[d]).astype(np.int32)), pa.array(key.view(np.int64))], ["doc_id", "tag", "pos", "key"])
+        for group, copied, _, (_, _, h, offsets, _) in _groups(batches):
+            _, key, place = tops(h, offsets, window)
+            place, one = np.unique(place, return_index=True)  # a place has one name
+            word = place >> 16
+            own = offsets[np.searchsorted(offsets, word, side="right") - 1]
+            yield _rows(group, copied, offsets, word, {"place": place - (own << 16), "key": key[one].view(np.int64)})
+
+    return texts.mapInArrow(run, "p1 long, p2 int, weight int, place long, key long")
+
 
-    return _tag(docs).mapInArrow(run, "doc_id long, tag int, pos int, key long")
+def _minus(place: np.ndarray, offsets: np.ndarray, once: list[list[int] | None], shift: int) -> np.ndarray:
+    """Mask of the places that are not listed, by text and counted from its start, as found once."""
+    gone = [np.asarray(x, dtype=np.int64) + (int(offsets[k]) << shift) for k, x in enumerate(once) if x]
+    return ~np.isin(place, np.concatenate(gone)) if gone else np.ones(len(place), dtype=bool)
 
 
-def _repeats(h: np.ndarray, offsets: np.ndarray, once: list, window: int) -> np.ndarray:
-    pos, _ = anchors(h, offsets, window)
-    return _candidates(len(h), offsets, _minus(pos, offsets, once), window)
+def _candidates(h: np.ndarray, offsets: np.ndarray, lone_tops: list, window: int) -> np.ndarray:
+    """First words of the windows whose top is found elsewhere."""
+    at, _, place = tops(h, offsets, window)
+    return at[_minus(place, offsets, lone_tops, 16)]
 
 
-def removal(docs: DataFrame, window: int = WINDOW, others: list[str] = ()) -> DataFrame:
-    """``doc_id, z, tag``, others, and two lists of positions: anchors and candidate windows found once."""
-    told = _with(_packed(docs, list(others)), _found_once(anchor_rows(docs, window), ["key"]), "lone_anchors")
+def removal(texts: DataFrame, window: int = WINDOW) -> DataFrame:
+    """``texts`` and two lists of places by text: tops, and windows of other tops, found once."""
+    told = texts.join(_found_once(top_rows(texts, window), ["key"], "lone_tops"), ["p1", "p2"], "left")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, a, b, _, (_, _, h, offsets, _) in _groups(batches):
-            at = _repeats(h, offsets, part.column("lone_anchors").slice(a, b - a).to_pylist(), window)
+        for group, copied, _, (_, _, h, offsets, _) in _groups(batches):
+            at = _candidates(h, offsets, group.column("lone_tops").to_pylist(), window)
             if len(at):
-                d = np.searchsorted(offsets, at, side="right") - 1
-                row = pa.array(d + a)
                 h1, h2 = _window_hashes(h, at, window)
-                yield pa.RecordBatch.from_arrays([part.column(0).take(row), part.column(2).take(row), pa.array((at - offsets[d]).astype(np.int32)), pa.array(h1), pa.array(h2)], ["doc_id", "tag", "pos", "h1", "h2"])
+                own = offsets[np.searchsorted(offsets, at, side="right") - 1]
+                yield _rows(group, copied, offsets, at, {"place": at - own, "h1": h1, "h2": h2})
 
     # all columns go in, used or not: the shuffled texts are then the same exchange for both uses
-    rows = told.mapInArrow(run, "doc_id long, tag int, pos int, h1 long, h2 int")
-    return _with(told, _found_once(rows, ["h1", "h2"]), "lone_windows")
+    rows = told.mapInArrow(run, "p1 long, p2 int, weight int, place long, h1 long, h2 int")
+    return told.join(_found_once(rows, ["h1", "h2"], "lone_windows"), ["p1", "p2"], "left")
 
 
-def _kept(h: np.ndarray, offsets: np.ndarray, lone_anchors: list, lone_windows: list, window: int) -> np.ndarray:
+def _kept(group: pa.RecordBatch, copied: np.ndarray, h: np.ndarray, offsets: np.ndarray, window: int) -> np.ndarray:
     """Mask of the words that stay."""
-    at = _minus(_repeats(h, offsets, lone_anchors, window), offsets, lone_windows)
+    at = _candidates(h, offsets, group.column("lone_tops").to_pylist(), window)
+    at = at[_minus(at, offsets, group.column("lone_windows").to_pylist(), 0)]
     flag = np.zeros(len(h) + 1, dtype=np.int64)
     flag[at] += 1
     np.add.at(flag, at + window, -1)
-    return np.cumsum(flag[:-1]) == 0
+    whole = copied & (np.diff(offsets) >= window)
+    return (np.cumsum(flag[:-1]) == 0) & ~np.repeat(whole, np.diff(offsets))
+
+
+def _told_back(docs: DataFrame, others: list[str], texts: DataFrame, result: list[str]) -> DataFrame:
+    """Documents with what is known of their text; copies come to it dealt over tasks."""
+    rows = docs.select("doc_id", F.col("text").isNull().alias("empty"), *_prints(), deal_of("doc_id"), *[F.col(f"`{c}`").alias(f"o{i}") for i, c in enumerate(others)])
+    return rows.join(by_deal(texts), ["p1", "p2", "deal"]).select("doc_id", "empty", *[f"o{i}" for i in range(len(others))], *result)
 
 
 def dedup_digest(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """``doc_id, n_words, n_removed, kept_sha256`` of every document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, a, b, data, (s, e, h, offsets, _) in _groups(batches):
-            keep = _kept(h, offsets, *(part.column(c).slice(a, b - a).to_pylist() for c in ("lone_anchors", "lone_windows")), window)
+        for group, copied, data, (s, e, h, offsets, _) in _groups(batches):
+            keep = _kept(group, copied, h, offsets, window)
             n, gone, sha = [], [], []
-            for k in range(b - a):
+            for k in range(group.num_rows):
                 i, j = int(offsets[k]), int(offsets[k + 1])
                 stays = np.flatnonzero(keep[i:j]) + i
                 n.append(j - i)
@@ -247,9 +258,10 @@ def dedup_digest(docs: DataFrame, window: int = WINDOW) -> DataFrame:
                 else:
                     words = b" ".join([data[x:y] for x, y in zip(s[stays].tolist(), e[stays].tolist())])
                 sha.append(hashlib.sha256(words).hexdigest())
-            yield pa.RecordBatch.from_arrays([part.column(0).slice(a, b - a), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha)], ["doc_id", "n_words", "n_removed", "kept_sha256"])
+            yield pa.RecordBatch.from_arrays([*(group.column(c) for c in ("p1", "p2", "deals")), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha)], ["p1", "p2", "deals", "n_words", "n_removed", "kept_sha256"])
 
-    return removal(docs, window).mapInArrow(run, "doc_id long, n_words long, n_removed long, kept_sha256 string")
+    done = removal(distinct_texts(docs), window).mapInArrow(run, "p1 long, p2 int, deals long, n_words long, n_removed long, kept_sha256 string")
+    return _told_back(docs, [], done, ["n_words", "n_removed", "kept_sha256"]).drop("empty")
 
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
@@ -260,24 +272,25 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, a, b, data, (s, e, h, offsets, at) in _groups(batches):
-            keep = _kept(h, offsets, *(part.column(c).slice(a, b - a).to_pylist() for c in ("lone_anchors", "lone_windows")), window)
-            texts: list[str | None] = []
-            for k, empty in enumerate(part.column(1).slice(a, b - a).is_null().to_pylist()):
+        for group, copied, data, (s, e, h, offsets, at) in _groups(batches):
+            keep = _kept(group, copied, h, offsets, window)
+            texts: list[str] = []
+            for k in range(group.num_rows):
                 i, j = int(offsets[k]), int(offsets[k + 1])
                 edge = np.flatnonzero(np.diff(np.concatenate(([False], keep[i:j], [False])).astype(np.int8)))
                 runs = [data[s[i + x] : e[i + y - 1]] for x, y in zip(edge[::2].tolist(), edge[1::2].tolist())]
                 new = b"\n".join(runs) if not keep[i:j].all() else data[at[k] : at[k + 1] - 1]
-                texts.append(None if empty else new.decode("utf-8", "surrogatepass"))
-            yield pa.RecordBatch.from_arrays([part.column(0).slice(a, b - a), pa.array(texts, pa.string()), *(part.column(f"o{i}").slice(a, b - a) for i in range(len(others)))], ["doc_id", "text", *(f"o{i}" for i in range(len(others)))])
+                texts.append(new.decode("utf-8", "surrogatepass"))
+            yield pa.RecordBatch.from_arrays([*(group.column(c) for c in ("p1", "p2", "deals")), pa.array(texts, pa.string())], ["p1", "p2", "deals", "new_text"])
 
     others = [c for c in docs.columns if c not in ("doc_id", "text")]
-    kinds = {f.name: f.dataType.simpleString() for f in docs.schema.fields}
-    out = removal(docs, window, others).mapInArrow(run, ", ".join([f"doc_id {kinds['doc_id']}", "text string", *(f"o{i} {kinds[c]}" for i, c in enumerate(others))]))
-    back = {c: F.col(f"o{i}") for i, c in enumerate(others)}
+    done = removal(distinct_texts(docs), window).mapInArrow(run, "p1 long, p2 int, deals long, new_text string")
+    out = _told_back(docs, others, done, ["new_text"])
+    text = F.when(~F.col("empty"), F.col("new_text"))
+    back = {c: F.col(f"o{i}") for i, c in enumerate(others)} | {"doc_id": F.col("doc_id"), "text": text}
     if "n_chars" in back:
-        back["n_chars"] = F.length("text").cast(kinds["n_chars"])
-    return out.select(*[back.get(c, F.col(f"`{c}`")).alias(c) for c in docs.columns])
+        back["n_chars"] = F.length(text).cast(docs.schema["n_chars"].dataType)
+    return out.select(*[back[c].alias(c) for c in docs.columns])
 
 
 def op1_recompression(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -52,24 +52,40 @@ def test_equals_brute_force(docs_of, seed):
     assert [got[k] for k in range(len(texts))] == brute(texts, S.WINDOW)
 
 
-def test_every_window_shares_an_anchor():
-    """Equal windows in different surroundings hold an equal anchor."""
+def test_equal_windows_have_equal_tops(monkeypatch):
+    """Equal windows in different surroundings have one top in one place, however the text is stretched."""
     r = np.random.default_rng(0)
-    for vocab in (2, 3, 6, 1000):
+    longest = 0
+    for vocab in (1, 2, 3, 6, 1000):
         for _ in range(60):
             win = r.integers(0, vocab, S.WINDOW)
-            keys = []
-            for _ in range(2):
-                w = np.concatenate([r.integers(0, vocab, r.integers(0, 20)), win, r.integers(0, vocab, r.integers(0, 20))])
-                at = len(w)
-                for k in range(len(w) - S.WINDOW + 1):
-                    if (w[k : k + S.WINDOW] == win).all():
-                        at = k
-                        break
-                h = S.mix(w.astype(np.uint64) + np.uint64(1))
-                pos, key = S.anchors(h, np.array([0, len(w)]))
-                keys.append({int(x) for p, x in zip(pos, key) if at <= p <= at + S.WINDOW - S.PHRASE})
-            assert keys[0] & keys[1]
+            found = []
+            for stretch in (1 << 20, 7):
+                monkeypatch.setattr(S, "STRETCH", stretch)
+                before, after = r.integers(0, vocab, r.integers(0, 20)), r.integers(0, vocab, r.integers(0, 20))
+                w = np.concatenate([before, win, after])
+                at, top, place = S.tops(S.mix(w.astype(np.uint64) + np.uint64(1)), np.array([0, 0, len(w), len(w)]))
+                assert at.tolist() == list(range(len(w) - S.WINDOW + 1))
+                k = len(before)
+                first, size = (place[k] >> 16) - k, place[k] & 0xFFFF
+                assert 0 <= first and first + size <= S.WINDOW
+                found.append((int(top[k]), int(first), int(size)))
+            assert found[0] == found[1]
+            longest = max(longest, found[0][2])
+    assert longest >= 10
+
+
+def test_names_have_no_longest_length():
+    h = S.mix(np.full(500, 7, dtype=np.uint64))
+    name, start, _ = S.name_runs(h, np.arange(501), np.zeros(500, dtype=np.int64))
+    assert len(name) == 1 and start.tolist() == [0, 500]
+    r = np.random.default_rng(1)
+    h = S.mix(r.integers(0, 50, 4000).astype(np.uint64))
+    name, start, doc = h, np.arange(4001), np.zeros(4000, dtype=np.int64)
+    for k in range(40):
+        name, start, _ = S.name_runs(name, start, doc)
+        name, start, _, _ = S.name_pairs(name, start, doc, k)
+    assert len(name) < 4 and start[-1] == 4000
 
 
 def test_stage_keeps_columns(docs_of):
