@@ -47,9 +47,23 @@ def ensure_checkpoints(spark: SparkSession) -> None:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Cut lineage with a reliable checkpoint; lost executors do not lose it."""
+    """Cut lineage with a reliable checkpoint; lost executors do not lose it.
+
+    What led to it is garbage then, and shuffle files go when the driver collects that.
+    """
     ensure_checkpoints(df.sparkSession)
-    return df.checkpoint(eager=True)
+    out = df.checkpoint(eager=True)
+    df.sparkSession.sparkContext._jvm.System.gc()
+    return out
+
+
+def forget(df: DataFrame) -> None:
+    """Delete the files of a ``cut`` table that nothing will read again."""
+    sc = df.sparkSession.sparkContext
+    file = df._jdf.queryExecution().analyzed().rdd().getCheckpointFile()
+    if file.isDefined():
+        path = sc._jvm.org.apache.hadoop.fs.Path(file.get())
+        path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def tidy() -> None:
@@ -174,32 +188,6 @@ def sequence_hashes(h: np.ndarray, size: int, seed: int = 0) -> np.ndarray:
         span *= 2
 
 
-def components(links: DataFrame, rounds: int = 64) -> DataFrame:
-    """``id, root``: the smallest id that each id of ``links(a, b)`` reaches.
-
-    Alternates two steps until nothing changes: every node's larger neighbours are hung on
-    its smallest one, then its smaller neighbours are. Rows never exceed the links.
-    """
-    e = links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct()
-    e = cut(e)
-    last = None
-    for _ in range(rounds):
-        both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        least = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(least, "a").select(F.col("b").alias("x"), "a", "m")
-        small = small.select(F.when(F.col("x") == F.col("m"), F.col("a")).otherwise(F.col("x")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        e = cut(small)
-        state = e.agg(F.count("*").alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("h")).first()
-        if last == (state["n"], state["h"]):
-            break
-        last = (state["n"], state["h"])
-    else:
-        raise RuntimeError(f"components: links still change after {rounds} rounds")
-    return e.groupBy("a").agg(F.min("b").alias("root")).withColumnRenamed("a", "id")
-
-
 #: Tasks that share the rows of one key in joins.
 DEALS = 32
 
@@ -220,6 +208,33 @@ def by_deal(stats: DataFrame) -> DataFrame:
     return stats.withColumn("deal", F.explode(there)).drop("deals")
 
 
+def components(links: DataFrame, rounds: int = 64) -> DataFrame:
+    """``id, root``: the smallest id that each id of ``links(a, b)`` reaches.
+
+    Alternates two steps until all links lead to roots: every node's larger neighbours are hung on
+    its smallest one, then its smaller neighbours are. Rows never exceed the links, and those
+    of a node that a third of them share are many tasks' work.
+    """
+    e = cut(links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct())
+    for _ in range(rounds):
+        ends = e.select(F.col("a").alias("id"), F.lit(1).alias("child"), F.lit(0).alias("parent")).unionByName(e.select(F.col("b").alias("id"), F.lit(0).alias("child"), F.lit(1).alias("parent")))
+        ends = ends.groupBy("id").agg(F.sum("child").alias("child"), F.max("parent").alias("parent"))
+        if ends.where("child > 1 OR (child = 1 AND parent = 1)").isEmpty():
+            return e.select(F.col("a").alias("id"), F.col("b").alias("root"))
+        both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b"))).withColumn("deal", deal_of("b"))
+        large = _with_least(both).where("b > a").select(F.col("b").alias("a"), F.least("a", "m").alias("b")).where("a <> b")
+        small = _with_least(large.withColumn("deal", deal_of("b")))
+        last = e
+        e = cut(small.select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct())
+        forget(last)
+    raise RuntimeError(f"components: links still change after {rounds} rounds")
+
+
+def _with_least(e: DataFrame) -> DataFrame:
+    """Links with ``m``, the smallest ``b`` of their ``a``."""
+    return e.join(by_deal(e.groupBy("a").agg(F.min("b").alias("m"), deals_present())), ["a", "deal"])
+
+
 def forest(i: np.ndarray, j: np.ndarray, n: int) -> list[tuple[int, int]]:
     """Links that already join what all given links join (union by smaller root)."""
     root = list(range(n))
