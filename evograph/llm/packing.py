@@ -6,9 +6,12 @@ at most ``capacity`` entries however large the corpus is:
 
 * a configuration (how many pieces of which length share a sequence) is a column of
   the linear program; multiplicative weights price the lengths, a knapsack dynamic
-  program finds the best columns at those prices, several from one table;
-* the fractional solution is rounded down to whole sequences, and what is left is
-  placed by best fit decreasing, again on counts of lengths, not on pieces;
+  program finds the best columns at those prices, several from one table, until every
+  length is covered: ``Plan.lp_value`` is the program's value, ``Plan.lp_bound`` a dual bound;
+* the fractional solution is rounded down to whole sequences. For what that leaves, columns
+  are priced anew on the pieces still there, the longest first, and taken whole; only the last
+  ``BEST_FIT_SHARE`` of the sequences are placed by best fit decreasing. All of it works on counts
+  of lengths, not on pieces;
 * a piece finds its place from its rank among the pieces of its length, so a common
   length is dealt over many tasks and no list of pieces is gathered anywhere.
 
@@ -37,10 +40,12 @@ from evograph.llm.piece_codec import text_groups
 
 CAPACITY = 4096
 END_ID = 1
-#: Parts into which the pieces of one length are dealt when they are ranked.
-RANK_PARTS = 256
-#: Shares of the least number of sequences that the rounded program fills; best fit places the rest.
-LP_SHARES = (0.95, 0.85, 0.7, 0.5, 0.3, 0.1, 0.0)
+#: Least number of parts into which the pieces of one length are dealt when they are ranked, and their rows.
+RANK_PARTS, RANK_ROWS = 256, 50_000
+#: Rounds of multiplicative weights, and how fast prices follow coverage.
+LP_ROUNDS, LP_RATE = 8, 8.0
+#: Share of the sequences that best fit may place, and columns taken from one knapsack table.
+BEST_FIT_SHARE, COLUMNS = 0.02, 256
 TABLE_WORDS, TABLE_PARTS = 1_300_000, 600_000
 #: White space as the tokenizer's ``\s`` has it; ``str.split`` also splits at 0x1C-0x1F.
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
@@ -197,11 +202,14 @@ def pieces(docs: DataFrame, tokenizer: str | None = None, capacity: int = CAPACI
 
 @dataclass
 class Plan:
-    """``groups``: (sequences, ((length, copies), ...)) of like sequences."""
+    """``groups``: (sequences, ((length, copies), ...)) of like sequences; how many of them which step made."""
 
     groups: list[tuple[int, tuple[tuple[int, int], ...]]] = field(default_factory=list)
     lp_bound: float = 0.0
+    lp_value: float = 0.0
     lp_sequences: int = 0
+    priced_sequences: int = 0
+    best_fit_sequences: int = 0
 
     @property
     def sequences(self) -> int:
@@ -218,54 +226,98 @@ def price_table(lengths: np.ndarray, prices: np.ndarray, capacity: int) -> np.nd
     return best
 
 
-def _column(best: np.ndarray, lengths: np.ndarray, prices: np.ndarray, room: np.ndarray, first: int, capacity: int, slack: float) -> dict[int, int] | None:
-    """A full column through ``first``: at every step the least covered of the near-best lengths."""
+def _column(best: np.ndarray, lengths: np.ndarray, prices: np.ndarray, room: np.ndarray, first: int, capacity: int, slack: float, want: np.ndarray | None, full: bool = True) -> dict[int, int] | None:
+    """A column through ``first``: at every step, of the near-best lengths that ``room`` has, the most wanted (or longest) one.
+
+    If not ``full``, it may leave room where no lengths fill the rest.
+    """
     items, c = {first: 1}, capacity - int(lengths[first])
+    if not full and not np.isfinite(best[c]):
+        c = int(best[: c + 1].argmax())
     while c > 0:
-        k = np.searchsorted(lengths, c, side="right")
+        k = int(np.searchsorted(lengths, c, side="right"))
         v = best[c - lengths[:k]] + prices[:k]
-        free = room[:k] >= 1
-        for i in items:
-            if i < k:
-                free[i] &= room[i] >= items[i] + 1
-        near = np.flatnonzero(free & (v >= best[c] * (1 - slack)) & np.isfinite(v))
-        if not len(near):
+        near = np.isfinite(v) & (v >= best[c] * (1 - slack)) & (room[:k] > 0)
+        for i, n in items.items():
+            if i < k and room[i] < n + 1:
+                near[i] = False
+        at = np.flatnonzero(near)
+        if not len(at):
             return None
-        # a length that fills the rest exactly ends the column; else the one with most left to cover
-        i = k - 1 if lengths[k - 1] == c and near[-1] == k - 1 else int(near[room[near].argmax()])
+        # the longest one where it ends the column or nothing is wanted more
+        i = int(at[-1]) if want is None or lengths[at[-1]] == c else int(at[want[at].argmax()])
         items[i] = items.get(i, 0) + 1
         c -= int(lengths[i])
     return items
 
 
-def solve_lp(lengths: np.ndarray, counts: np.ndarray, capacity: int, rounds: int = 40, columns: int = 256, eta: float = 4.0) -> tuple[dict[tuple[tuple[int, int], ...], float], float]:
-    """Columns of the configuration program with their amounts, and a dual lower bound.
+def _key(lengths: np.ndarray, items: dict[int, int]) -> tuple[tuple[int, int], ...]:
+    return tuple(sorted((int(lengths[j]), n) for j, n in items.items()))
+
+
+def solve_lp(lengths: np.ndarray, counts: np.ndarray, capacity: int, rounds: int = LP_ROUNDS) -> tuple[dict[tuple[tuple[int, int], ...], float], float]:
+    """Columns of the configuration program that cover all counts, with their amounts, and a dual lower bound.
 
-    Prices start at the lengths and fall as a length gets covered. Every round prices one
-    knapsack table and takes from it near-best columns through each of the ``columns``
-    lengths that lag most, by as much as brings those up to the round's share.
+    In every round the weight of a length falls exponentially with its coverage, one knapsack
+    table is made at lengths times weights, and every length that lags behind the round's share,
+    least covered first, gets a near-best column through it, by as much as closes its gap.
     """
-    left = counts.astype(np.float64).copy()
+    cover = np.zeros(len(lengths))
     amount: dict[tuple[tuple[int, int], ...], float] = {}
     bound = float((lengths * counts).sum() / capacity)
-    for r in range(rounds):
-        cover = 1 - left / counts
-        prices = lengths * np.exp(-eta * (cover - cover.mean()))
-        prices[left < 1] = 0
+
+    def add(items: dict[int, int], step: float) -> None:
+        key = _key(lengths, items)
+        amount[key] = amount.get(key, 0.0) + step
+        for j, n in items.items():
+            cover[j] += n * step / counts[j]
+
+    for r in range(1, rounds + 1):
+        target = r / rounds
+        prices = lengths * np.exp(LP_RATE * np.clip((r - 1) / rounds - cover, -1, 1))
         best = price_table(lengths, prices, capacity)
-        top = np.maximum.accumulate(np.maximum(best, 0))[capacity]
-        if top > 0:
-            bound = max(bound, float((prices * counts).sum() / top))
-        for i in np.argsort(cover, kind="stable")[:columns]:
-            if left[i] < 1 or not (items := _column(best, lengths, prices, left, int(i), capacity, 0.2)):
+        top = np.maximum(best, 0).max()
+        bound = max(bound, float((prices * counts).sum() / top)) if top > 0 else bound
+        most = min(1.0, target + 2 / rounds) if r < rounds else 1.0
+        for i in np.argsort(cover, kind="stable").tolist():
+            if cover[i] > target - 1e-9:
                 continue
-            ids = np.fromiter(items, dtype=np.int64)
-            each = np.fromiter(items.values(), dtype=np.float64)
-            step = min(float((left[ids] / each).min()), max(1.0, counts[i] * (r + 1) / rounds - (counts[i] - left[i])))
-            key = tuple(sorted((int(lengths[j]), n) for j, n in items.items()))
-            amount[key] = amount.get(key, 0.0) + step
-            left[ids] -= each * step
-    return amount, bound
+            room = np.where(cover < most - 1e-9, np.ceil(counts), 0)
+            items = _column(best, lengths, prices, room, i, capacity, 0.3, target - cover, False) or _column(best, lengths, prices, room, i, capacity, 1.0, target - cover, False)
+            if items:
+                free = min(float((most - cover[j]) * counts[j] / n) for j, n in items.items())
+                add(items, max(0.0, min(free, float((target - cover[i]) * counts[i] / items[i]))))
+    for i in np.argsort(-lengths, kind="stable").tolist():
+        if cover[i] < 1 - 1e-9:  # nothing left that fills these up: cover others twice, or leave room
+            items = _column(best, lengths, prices, np.full(len(lengths), np.inf), i, capacity, 1e-3, 1 - cover, False) or {i: capacity // int(lengths[i])}
+            add(items, float((1 - cover[i]) * counts[i] / items[i]))
+    return {k: x for k, x in amount.items() if x > 0}, bound
+
+
+def priced_columns(left: dict[int, int], capacity: int, until: float) -> list[tuple[int, tuple[tuple[int, int], ...]]]:
+    """Whole full columns out of the pieces ``left`` (which it lowers), until these need no more than ``until`` sequences.
+
+    Prices are the lengths, the dual solution wherever sequences can be filled; longer
+    pieces go first, as short ones still fill any gap later.
+    """
+    groups: list[tuple[int, tuple[tuple[int, int], ...]]] = []
+    while True:
+        lengths = np.array(sorted(k for k, n in left.items() if n), dtype=np.int64)
+        room = np.array([left[k] for k in lengths.tolist()], dtype=np.float64)
+        if (lengths * room).sum() <= until * capacity:
+            return groups
+        prices = lengths.astype(np.float64)
+        best, found = price_table(lengths, prices, capacity), 0
+        for i in range(len(lengths) - 1, -1, -1):
+            while room[i] > 0 and found < COLUMNS and (items := _column(best, lengths, prices, room, i, capacity, 1e-9, None)):
+                n = int(min(room[j] // k for j, k in items.items()))
+                groups.append((n, _key(lengths, items)))
+                for j, k in items.items():
+                    room[j] -= n * k
+                found += 1
+        left.update(zip(lengths.tolist(), room.astype(np.int64).tolist()))
+        if not found:
+            return groups
 
 
 def best_fit(left: dict[int, int], capacity: int) -> list[tuple[int, tuple[tuple[int, int], ...]]]:
@@ -306,29 +358,26 @@ def best_fit(left: dict[int, int], capacity: int) -> list[tuple[int, tuple[tuple
     return [g for room in groups.values() for g in room]
 
 
-def make_plan(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int = 40) -> Plan:
-    """Whole sequences for a length histogram: the rounded program, then best fit for the rest."""
+def make_plan(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int = LP_ROUNDS) -> Plan:
+    """Whole sequences for a length histogram: the rounded program, priced columns, best fit for the last ones."""
     plan = Plan()
     if not histogram:
         return plan
     lengths = np.array(sorted(histogram), dtype=np.int64)
     counts = np.array([histogram[int(x)] for x in lengths], dtype=np.float64)
-    amount, bound = solve_lp(lengths, counts, capacity, rounds)
-    # rounded at several shares: what stays must have small pieces to fill its gaps; the fewest sequences win
-    return min((_rounded(histogram, amount, bound, capacity, share) for share in LP_SHARES), key=lambda p: p.sequences)
-
-
-def _rounded(histogram: dict[int, int], amount: dict[tuple[tuple[int, int], ...], float], bound: float, capacity: int, share: float) -> Plan:
-    plan, left = Plan(lp_bound=bound), dict(histogram)
-    # the fullest columns first: rounding then leaves the pieces that are easiest to place
+    amount, plan.lp_bound = solve_lp(lengths, counts, capacity, rounds)
+    plan.lp_value, left = sum(amount.values()), dict(histogram)
     for items, x in sorted(amount.items(), key=lambda kv: (-sum(a * b for a, b in kv[0]), -kv[1], kv[0])):
         n = int(min([x + 1e-6, *(left[length] // k for length, k in items)]))
-        if n > 0 and plan.sequences < share * bound:
+        if n > 0:
             plan.groups.append((n, items))
+            plan.lp_sequences += n
             for length, k in items:
                 left[length] -= n * k
-    plan.lp_sequences = plan.sequences
-    plan.groups += best_fit({k: v for k, v in left.items() if v}, capacity)
+    priced = priced_columns(left, capacity, BEST_FIT_SHARE * plan.lp_bound)
+    rest = best_fit({k: v for k, v in left.items() if v}, capacity)
+    plan.priced_sequences, plan.best_fit_sequences = sum(n for n, _ in priced), sum(n for n, _ in rest)
+    plan.groups += priced + rest
     return plan
 
 
@@ -353,7 +402,8 @@ def pack(docs: DataFrame, tokenizer: str | None = None, capacity: int = CAPACITY
     part = cut(pieces(docs, tokenizer, capacity, end_id))
     histogram = {r["length"]: r["n"] for r in part.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most `capacity` rows
     key, first, seq, copies, offset = _places(make_plan(histogram, capacity))
-    dealt = part.withColumn("deal", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(RANK_PARTS)).cast("int"))
+    parts = max(RANK_PARTS, max(histogram.values(), default=0) // RANK_ROWS)
+    dealt = part.withColumn("deal", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(parts)).cast("int"))
     sizes = dealt.groupBy("length", "deal").agg(F.count("*").alias("n"))
     before = Window.partitionBy("length").orderBy("deal").rowsBetween(Window.unboundedPreceding, -1)
     starts = sizes.select("length", "deal", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
