@@ -2,18 +2,21 @@
 
 Vectors are scaled to length one and turned onto the principal axes of a bounded sample, so
 most of a product lies in the leading dimensions. Equal vectors are one class with a count.
-Classes are ordered by a tree of median cuts along leading axes and cut into tiles; a pair of
-tiles whose boxes are further apart than the threshold allows is never made. In a pair of
-tiles products are accumulated over blocks of leading dimensions; what the remaining ones can
-add is at most the product of both suffix norms, and a pair stops when its sum and that bound
-cannot reach the threshold. Pairs that survive all blocks are decided by the cosine of the
-original vectors in double precision.
+Classes are ordered by a tree of median cuts along leading axes; consecutive leaves are a group
+of about ``GROUP_ROWS`` vectors, and a group is cut into tiles in that order. Groups are dealt on a
+square grid: a vector goes once to each pair of its group with another, so it is copied as often
+as there are groups and not as there are tiles. In a pair of groups, a pair of tiles whose boxes
+are further apart than the threshold allows is never made. In a pair of tiles products are
+accumulated over blocks of leading dimensions; what the remaining ones can add is at most the
+product of both suffix norms, and a pair stops when its sum and that bound cannot reach the
+threshold. Pairs that survive all blocks are decided by the cosine of the original vectors in
+double precision.
 
 A tile pair yields the number of links of each row and a spanning forest of its links, never
 the pairs themselves, so a group of thousands of near copies costs tile rows, not pairs.
 Components join the forests in rounds, each cut by a checkpoint.
 
-Null, zero or non-finite vectors, and vectors of another size than most, link with nothing.
+Vectors of one length are compared with each other. Null, zero or non-finite vectors link with nothing.
 Rows with one id and different vectors are each compared; the id's row has the sum of their
 links. Repeated rows (equal id and vector) count once. Labels and other columns play no part;
 an empty table gives an empty result. The axes only order the work: any sample gives the same links.
@@ -22,10 +25,11 @@ an empty table gives an empty result. The axes only order the work: any sample g
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,6 +39,8 @@ THRESHOLD = 0.95
 #: Rows from which axes and cuts are computed; results do not depend on it.
 SAMPLE_ROWS = 4096
 TILE_ROWS = 1024
+#: Vectors of a group; a task holds two groups.
+GROUP_ROWS = 16384
 BLOCKS = (8, 16, 32)
 #: Slack for rounding in the bounds; decisions are made without it.
 SLACK = 1e-9
@@ -103,118 +109,110 @@ def links_of(a: np.ndarray, b: np.ndarray, ra: np.ndarray, rb: np.ndarray, thres
 
 def _classes(vectors: DataFrame, id_col: str, vec_col: str) -> tuple[DataFrame, DataFrame]:
     """Distinct usable vectors with a class id and count; members with their class id."""
-    v = vectors.select(F.col(id_col).alias("vec_id"), F.col(vec_col).cast("array<double>").alias("v"))
+    kind = "float" if vectors.schema[vec_col].dataType.simpleString() == "array<float>" else "double"  # no wider than given
+    v = vectors.select(F.col(id_col).alias("vec_id"), F.col(vec_col).cast(f"array<{kind}>").alias("v"))
     good = F.coalesce(F.forall("v", lambda x: F.coalesce((x == x) & (F.abs(x) < F.lit(float("inf"))), F.lit(False))) & F.exists("v", lambda x: x != 0), F.lit(False))
-    v = v.where(good & F.col("vec_id").isNotNull()).withColumn("v", F.transform("v", lambda x: F.when(x == 0, F.lit(0.0)).otherwise(x)))
+    v = v.where(good & F.col("vec_id").isNotNull()).withColumn("v", F.transform("v", lambda x: F.when(x == 0, F.lit(0.0).cast(kind)).otherwise(x)))
     v = v.withColumn("print", F.sha2(F.array_join(F.transform("v", lambda x: x.cast("string")), ","), 256)).dropDuplicates(["vec_id", "print"])
     reps = v.groupBy("print").agg(F.min("vec_id").alias("lead"), F.count("*").alias("copies"), F.first("v").alias("v"))
-    members = v.select("vec_id", "print")
-    return reps, members
+    return reps.select(F.monotonically_increasing_id().alias("class"), "print", "lead", "copies", "v", F.size("v").alias("size")), v.select("vec_id", "print")
 
 
-def class_links(reps: DataFrame, threshold: float, size: int, tile_rows: int = TILE_ROWS) -> tuple[DataFrame, int]:
-    """``kind, a, b, n`` over representatives: links by row (kind 0) and forest links (kind 1)."""
-    n = reps.count()
+def _rows(column: pa.ChunkedArray, size: int) -> np.ndarray:
+    return np.concatenate([c.flatten().to_numpy(zero_copy_only=False) for c in column.chunks]).reshape(-1, size).astype(np.float64) if len(column) else np.zeros((0, size))
+
+
+def group_links(a: tuple, b: tuple | None, rotation: np.ndarray, threshold: float, tile_rows: int) -> list[tuple[int, int, int, int]]:
+    """``kind, a, b, n`` of two groups (classes, ids, copies, vectors), or within one: links by class (0), forest links of ids (1)."""
+    radius = float(np.sqrt(max(0.0, 2 - 2 * threshold))) + 1e-7
+
+    def tiles(group: tuple) -> list[tuple]:
+        names, ids, copies, m = group
+        unit = _unit(m)
+        turned = unit @ rotation
+        cuts = range(0, len(ids), tile_rows)
+        return [(names[k : k + tile_rows], ids[k : k + tile_rows], copies[k : k + tile_rows], unit[k : k + tile_rows], t, t.min(axis=0), t.max(axis=0)) for k in cuts if len(t := turned[k : k + tile_rows])]
+
+    left = tiles(a)
+    right = left if b is None else tiles(b)
+    out: list[tuple[int, int, int, int]] = []
+    for i, (ka, la, ca, ua, ta, lo_a, hi_a) in enumerate(left):
+        for j in range(i if b is None else 0, len(right)):
+            kb, lb, cb, ub, tb, lo_b, hi_b = right[j]
+            gap = np.maximum(0, np.maximum(lo_a - hi_b, lo_b - hi_a))
+            if (gap**2).sum() > radius**2:
+                continue
+            same = b is None and i == j
+            x, y = links_of(ta, tb, ua, ub, threshold)
+            if same:
+                x, y = x[x < y], y[x < y]
+            if not len(x):
+                continue
+            ids = la if same else np.concatenate([la, lb])  # both tiles in one space for the forest
+            na, nb = np.bincount(x, weights=cb[y], minlength=len(la)), np.bincount(y, weights=ca[x], minlength=len(lb))
+            out += [(0, int(ka[q]), 0, int(na[q])) for q in np.flatnonzero(na)]
+            out += [(0, int(kb[q]), 0, int(nb[q])) for q in np.flatnonzero(nb)]
+            out += [(1, int(ids[p]), int(ids[q]), 0) for p, q in forest(x, y if same else y + len(la), len(ids))]
+    return out
+
+
+def class_links(reps: DataFrame, threshold: float, size: int, tile_rows: int = TILE_ROWS, group_rows: int = GROUP_ROWS) -> DataFrame:
+    """``kind, a, b, n`` over classes of one length: links by class (kind 0) and forest links of their ids (kind 1)."""
     spark = reps.sparkSession
-    sample = _unit(np.array([r["v"] for r in reps.select("v").where(F.size("v") == size).orderBy(F.xxhash64("print")).limit(SAMPLE_ROWS).collect()], dtype=np.float64))
+    mine = reps.where(F.col("size") == size)
+    n = mine.count()
+    sample = _unit(np.array([r["v"] for r in mine.select("v").orderBy(F.xxhash64("print")).limit(SAMPLE_ROWS).collect()], dtype=np.float64))
     rotation = axes(sample)
-    tiles = max(1, -(-n // tile_rows))
-    tree = Tree(sample @ rotation, tiles)
+    # enough groups that all tasks have a pair of them, and none with more than its rows
+    groups = min(n, max(-(-n // group_rows), int(np.ceil(np.sqrt(2 * spark.sparkContext.defaultParallelism)))))
+    tree = Tree(sample @ rotation, groups * max(1, -(-n // (groups * tile_rows))))
     leaves = 2 ** len(tree.levels)
-    radius = float(np.sqrt(max(0.0, 2 - 2 * threshold))) + 1e-7
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if b.num_rows:
-                m = _unit(np.stack(b.column(2).to_numpy(zero_copy_only=False)).astype(np.float64))
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(tree.leaf(m @ rotation))], ["lead", "copies", "v", "leaf"])
-
-    placed = reps.where(F.size("v") == size).select("lead", "copies", "v").mapInArrow(place, "lead long, copies long, v array<double>, leaf long")
-    # a crowded leaf is cut into tiles of its own; all tiles of it meet each other
-    sizes = {r["leaf"]: r["n"] for r in placed.groupBy("leaf").agg(F.count("*").alias("n")).collect()}  # at most `leaves` rows
-    parts = {leaf: max(1, -(-k // (2 * tile_rows))) for leaf, k in sizes.items()}
-    first = dict(zip(sorted(parts), np.cumsum([0, *(parts[k] for k in sorted(parts))]).tolist()))
-    look = np.zeros((leaves, 2), dtype=np.int64)
-    for leaf, k in parts.items():
-        look[leaf] = first[leaf], k
-    n_tiles = sum(parts.values())
-    table_of = F.array(*[F.lit(int(x)) for x in look[:, 0]]), F.array(*[F.lit(int(x)) for x in look[:, 1]])
-    tiled = placed.withColumn("tile", F.get(table_of[0], F.col("leaf").cast("int")) + F.pmod(F.xxhash64("lead"), F.get(table_of[1], F.col("leaf").cast("int")).cast("long")))
-    tiled = cut(tiled.select("lead", "copies", "v", "tile"))
-
-    def box(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            if b.num_rows:
-                m = _unit(np.stack(b.column(1).to_numpy(zero_copy_only=False)).astype(np.float64)) @ rotation
-                t = b.column(0).to_numpy()
-                ids = np.unique(t)
-                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array([m[t == i].min(axis=0).tolist() for i in ids]), pa.array([m[t == i].max(axis=0).tolist() for i in ids])], ["tile", "lo", "hi"])
-
-    boxes: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-    for r in tiled.select("tile", "v").mapInArrow(box, "tile long, lo array<double>, hi array<double>").toLocalIterator():
-        lo, hi = np.array(r["lo"]), np.array(r["hi"])
-        old = boxes.get(r["tile"], (lo, hi))
-        boxes[r["tile"]] = np.minimum(old[0], lo), np.maximum(old[1], hi)
-    ids = sorted(boxes)
-    los, his = np.array([boxes[i][0] for i in ids]), np.array([boxes[i][1] for i in ids])
-    near: dict[int, list[int]] = {}
-    for k, i in enumerate(ids):
-        gap = np.maximum(0, np.maximum(los[k] - his[k:], los[k:] - his[k]))
-        near[i] = [ids[k + x] for x in np.flatnonzero((gap**2).sum(axis=1) <= radius**2)]
-    pairs = [(i, j) for i in ids for j in near[i]]
-    pair_df = spark.createDataFrame(pd.DataFrame(pairs, columns=["i", "j"])) if pairs else spark.createDataFrame([], "i long, j long")
-    # one row per tile: its vectors as one block, so a pair of tiles is one row, too
-    block = tiled.groupBy("tile").agg(F.collect_list(F.struct("lead", "copies", "v")).alias("rows"))  # at most about 2 x tile_rows rows
-    met = pair_df.join(block.select(F.col("tile").alias("i"), F.col("rows").alias("left")), "i").join(block.select(F.col("tile").alias("j"), F.col("rows").alias("right")), "j")
-    met = met.repartition(max(8, min(len(pairs), 4 * spark.sparkContext.defaultParallelism)))
-
-    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for k in range(batch.num_rows):
-                i, j = batch.column(0)[k].as_py(), batch.column(1)[k].as_py()
-                sides = []
-                for c in (2, 3):
-                    rows = batch.column(c)[k].values
-                    m = rows.field("v").flatten().to_numpy(zero_copy_only=False).reshape(-1, size).astype(np.float64)
-                    sides.append((rows.field("lead").to_numpy(), rows.field("copies").to_numpy(), _unit(m)))
-                (la, ca, ua), (lb, cb, ub) = sides
-                pa_, pb = ua @ rotation, ub @ rotation
-                x, y = links_of(pa_, pb, ua, ub, threshold)
-                if i == j:
-                    keep = x < y
-                    x, y = x[keep], y[keep]
-                # ids of both tiles in one space for the forest
-                tree_links = forest(x, y + len(la) if i != j else y, len(la) + len(lb))
-                na = np.bincount(x, weights=cb[y], minlength=len(la))
-                nb = np.bincount(y, weights=ca[x], minlength=len(lb))
-                out: list[tuple[int, int, int, int]] = [(0, int(la[q]), 0, int(na[q])) for q in np.flatnonzero(na)]
-                out += [(0, int(lb[q]), 0, int(nb[q])) for q in np.flatnonzero(nb)]
-                out += [(1, int(la[p]), int(lb[q - len(la)] if i != j else la[q]), 0) for p, q in tree_links]
-                if out:
-                    kind, a, b, n_ = zip(*out)
-                    yield pa.RecordBatch.from_arrays([pa.array(kind, pa.int32()), *(pa.array(c, pa.int64()) for c in (a, b, n_))], ["kind", "a", "b", "n"])
-
-    return met.select("i", "j", "left", "right").mapInArrow(compare, "kind int, a long, b long, n long"), len(pairs)
-
-
-def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD, id_col: str = "vec_id", vec_col: str = "embedding", tile_rows: int = TILE_ROWS) -> DataFrame:
+                m = _unit(_rows(pa.chunked_array([b.column(3)]), size))
+                leaf = tree.leaf(m @ rotation)
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(leaf), pa.array(leaf * groups // leaves)], [*b.schema.names, "leaf", "part"])
+
+    kept = mine.select("class", "lead", "copies", "v")
+    placed = cut(kept.mapInArrow(place, f"class long, lead long, copies long, v {kept.schema['v'].dataType.simpleString()}, leaf long, part long"))
+    # a crowded part is several groups, dealt by id; all groups meet each other
+    sizes = sorted((r["part"], r["n"]) for r in placed.groupBy("part").agg(F.count("*").alias("n")).collect())  # at most `groups` rows
+    many = [max(1, -(-k // (2 * group_rows))) for _, k in sizes]
+    first = np.cumsum([0, *many]).tolist()
+    look = spark.createDataFrame([(p, f, m) for (p, _), f, m in zip(sizes, first, many)], "part long, first long, many long")
+    grouped = placed.join(look, "part").withColumn("g", F.col("first") + F.pmod(F.xxhash64("class"), F.col("many")))
+    met = grouped.withColumn("h", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(first[-1] - 1).cast("long"))))
+    met = met.select("class", "lead", "copies", "v", "leaf", "g", F.least("g", "h").alias("i"), F.greatest("g", "h").alias("j"))
+
+    def compare(t: pa.Table) -> pa.Table:
+        i, j = t["i"][0].as_py(), t["j"][0].as_py()
+        t, sides = t.sort_by("leaf"), []
+        for k in {i, j} if i == j else (i, j):
+            side = t.filter(pa.compute.equal(t["g"], k))
+            sides.append((side["class"].to_numpy(), side["lead"].to_numpy(), side["copies"].to_numpy(), _rows(side["v"], size)))
+        found = group_links(sides[0], None if i == j else sides[1], rotation, threshold, tile_rows)
+        kind, a, b, n_ = zip(*found) if found else ((), (), (), ())
+        return pa.table([pa.array(kind, pa.int32()), *(pa.array(c, pa.int64()) for c in (a, b, n_))], ["kind", "a", "b", "n"])
+
+    return met.groupBy("i", "j").applyInArrow(compare, "kind int, a long, b long, n long")
+
+
+def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD, id_col: str = "vec_id", vec_col: str = "embedding", tile_rows: int = TILE_ROWS, group_rows: int = GROUP_ROWS) -> DataFrame:
     """``vec_id, n_links, component_id, kept`` of every vector."""
     reps, members = _classes(vectors, id_col, vec_col)
     reps = cut(reps)
     everyone = vectors.select(F.col(id_col).alias("vec_id"))
-    common = reps.groupBy(F.size("v").alias("k")).agg(F.sum("copies").alias("n")).orderBy(F.desc("n"), "k").limit(1).collect()
-    # a class is named by its smallest id; ids with several vectors are joined through it
-    names = members.join(reps.select("print", "lead", "copies", F.size("v").alias("k")), "print")
-    if not common:
+    sizes = sorted(r["size"] for r in reps.select("size").distinct().collect())
+    if not sizes:
         return everyone.distinct().select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
-    size = common[0]["k"]
-    found, _ = class_links(reps, threshold, size, tile_rows)
-    found = cut(found)
-    linked = found.where("kind = 0").groupBy(F.col("a").alias("lead")).agg(F.sum("n").alias("links"))
-    usable = names.where(F.col("k") == size)
-    inside = usable.where("vec_id <> lead").select(F.col("vec_id").alias("a"), F.col("lead").alias("b"))
+    found = cut(reduce(DataFrame.unionByName, [class_links(reps, threshold, k, tile_rows, group_rows) for k in sizes]))
+    names = members.join(reps.select("print", "class", "lead", "copies"), "print")
+    linked = found.where("kind = 0").groupBy(F.col("a").alias("class")).agg(F.sum("n").alias("links"))
+    inside = names.where("vec_id <> lead").select(F.col("vec_id").alias("a"), F.col("lead").alias("b"))
     root = components(found.where("kind = 1").select("a", "b").unionByName(inside))
-    own = usable.join(linked, "lead", "left").groupBy("vec_id").agg(F.sum(F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("links"))
+    own = names.join(linked, "class", "left").groupBy("vec_id").agg(F.sum(F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("links"))
     out = everyone.distinct().join(own, "vec_id", "left").join(root.withColumnRenamed("id", "vec_id"), "vec_id", "left")
     comp = F.coalesce("root", "vec_id")
     return out.select("vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), comp.alias("component_id"), (F.col("vec_id") == comp).alias("kept"))

@@ -151,9 +151,16 @@ def test_vectors_equal_brute_force(spark):
     pairs = [(i, j) for i in range(len(v)) for j in range(i) if c[i, j] >= 0.95]
     want = roots(pairs, [x for x, _ in rows])
     links = {i: sum(1 for j in range(len(v)) if j != i and c[i, j] >= 0.95) for i in range(len(v))}
-    for tile in (8, 1024):
-        got = {x["vec_id"]: x for x in E.near_duplicates(df, tile_rows=tile).collect()}
+    for tile, group in ((8, 20), (1024, 16384)):
+        got = {x["vec_id"]: x for x in E.near_duplicates(df, tile_rows=tile, group_rows=group).collect()}
         assert {k: x["component_id"] for k, x in got.items()} == want
         assert all(got[i]["n_links"] == links.get(i, 0) for i in want)
     assert E.near_duplicates(df.where("vec_id < 0")).count() == 0
+    mixed = [(1, [1.0, 1.0], "a"), (2, [2.0, 2.0], "b"), (3, [1.0, 0.0, 0.0], "c"), (4, [1.0, 0.01, 0.0], "d"), (5, [1.0, 0.0], "e"), (1, [1.0, 1.0], "f"), (6, [0.0, 1.0, 0.0], None)]
+    got = {x["vec_id"]: (x["n_links"], x["component_id"]) for x in E.near_duplicates(spark.createDataFrame(mixed, "vec_id long, embedding array<float>, lead string")).collect()}
+    assert got == {1: (1, 1), 2: (1, 1), 3: (1, 3), 4: (1, 3), 5: (0, 5), 6: (0, 6)}  # every length is compared
+    # one id with two vectors has the links of both, and passes them on to neither's copies
+    two = spark.createDataFrame([(1, [1.0, 0.0]), (1, [0.0, 1.0]), (2, [3.0, 0.0]), (3, [0.1, 3.0]), (4, [0.11, 3.0])], "vec_id long, embedding array<double>")
+    got = {x["vec_id"]: (x["n_links"], x["component_id"]) for x in E.near_duplicates(two).collect()}
+    assert got == {1: (3, 1), 2: (1, 1), 3: (2, 1), 4: (2, 1)}
     assert E.near_duplicates(df.where("vec_id = 900")).first()["kept"]
