@@ -1,9 +1,10 @@
 """Quality rules: simple text measures and cross-document line frequency, native DataFrame code.
 
 A line, lower-cased, with white space and digit runs folded, is hashed; for every host the
-number of distinct documents (distinct texts: copies of one text count once) that hold it is
-counted. Lines held by more than ``max(min_docs, share of the host's documents)`` are
-boilerplate and go; a document that keeps less than ``min_kept`` of its words without them is
+number of distinct documents that hold it is counted. Lines held by more than ``max_share`` of
+the host's documents, though by more than ``min_docs`` of a small host and by ``MAX_DOCS`` of any host at most,
+are boilerplate and go, if ``MIN_TEXTS`` different texts hold them: what fewer hold is a passage
+of copies of one text, and copies are for deduplication to remove. A document that keeps less than ``min_kept`` of its words without them is
 depleted and rejected, as is one that fails the base rules.
 
 A host with a third of all rows is no special case: lines are made distinct inside their
@@ -25,8 +26,10 @@ _BLANKS = " \t\n\x0b\f\r"
 SYMBOLS = "#*$%&|<>"
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
-#: A line is boilerplate beyond this many distinct documents of a host and beyond this share of them.
-MIN_DOCS, MAX_SHARE = 50, 0.1
+#: A line is boilerplate beyond this share of a host's documents; the limit is no lower and no higher than these numbers.
+MAX_SHARE, MIN_DOCS, MAX_DOCS = 0.1, 10, 10_000
+#: Different texts that hold a line of boilerplate.
+MIN_TEXTS = 10
 #: A document that keeps less of its words is depleted.
 MIN_KEPT = 0.3
 
@@ -87,11 +90,12 @@ def document_lines(docs: DataFrame) -> DataFrame:
 
 def boilerplate(lines: DataFrame, docs: DataFrame, min_docs: int = MIN_DOCS, max_share: float = MAX_SHARE) -> DataFrame:
     """``host, line``: lines in more distinct documents of a host than its limit."""
-    per_line = lines.groupBy("host", "line", "print").agg(F.lit(1).alias("one")).groupBy("host", "line").agg(F.count("*").alias("docs"))
-    prints = docs.select(F.coalesce("source", F.lit("")).alias("host"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("print"))
-    hosts = prints.groupBy("host", "print").agg(F.lit(1).alias("one")).groupBy("host").agg(F.count("*").alias("all_docs"))
-    many = per_line.where(F.col("docs") > min_docs).join(hosts, "host")
-    return many.where(F.col("docs") > F.col("all_docs") * max_share).select("host", "line")
+    per_text = lines.groupBy("host", "line", "print", "doc_id").agg(F.lit(1).alias("one")).groupBy("host", "line", "print").agg(F.count("*").alias("docs"))
+    per_line = per_text.groupBy("host", "line").agg(F.sum("docs").alias("docs"), F.count("*").alias("texts"))
+    rows = docs.select(F.coalesce("source", F.lit("")).alias("host"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("print"), "doc_id")
+    hosts = rows.groupBy("host", "print", "doc_id").agg(F.lit(1).alias("one")).groupBy("host").agg(F.count("*").alias("all_docs"))
+    many = per_line.where((F.col("docs") > min_docs) & (F.col("texts") >= MIN_TEXTS)).join(hosts, "host")
+    return many.where(F.col("docs") > F.least(F.lit(float(MAX_DOCS)), F.col("all_docs") * max_share)).select("host", "line")
 
 
 def depletion(docs: DataFrame, min_docs: int = MIN_DOCS, max_share: float = MAX_SHARE) -> DataFrame:
@@ -146,9 +150,9 @@ lw AS (SELECT doc_id, count(*) - count(DISTINCT line) AS dup FROM l WHERE regexp
 nl AS (SELECT DISTINCT doc_id, host, text,
          lower(trim(regexp_replace(regexp_replace(line, '[\x20\x09-\x0D]+', ' ', 'g'), '[0-9]+', '0', 'g'), ' ')) AS line FROM l),
 ln AS (SELECT * FROM nl WHERE line <> ''),
-freq AS (SELECT host, line, count(DISTINCT text) AS docs FROM ln GROUP BY host, line),
-hosts AS (SELECT host, count(DISTINCT text) AS all_docs FROM d GROUP BY host),
-boiler AS (SELECT f.host, f.line FROM freq f JOIN hosts h ON f.host = h.host WHERE f.docs > 50 AND f.docs > h.all_docs * 0.1),
+freq AS (SELECT host, line, count(*) AS docs, count(DISTINCT text) AS texts FROM (SELECT DISTINCT host, line, doc_id, text FROM ln) GROUP BY host, line),
+hosts AS (SELECT host, count(*) AS all_docs FROM (SELECT DISTINCT host, doc_id, text FROM d) GROUP BY host),
+boiler AS (SELECT f.host, f.line FROM freq f JOIN hosts h ON f.host = h.host WHERE f.texts >= 10 AND f.docs > 10 AND f.docs > least(10000, h.all_docs * 0.1)),
 lost AS (SELECT doc_id, sum(len(string_split(ln.line, ' '))) AS n FROM ln JOIN boiler b ON ln.host = b.host AND ln.line = b.line GROUP BY doc_id),
 m AS (SELECT w.doc_id, len(words) AS n_words,
         length(regexp_replace(text, '[\x20\x09-\x0D]', '', 'g')) AS word_chars,

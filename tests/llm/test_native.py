@@ -43,17 +43,29 @@ def test_boilerplate(spark):
     body = lambda: "\n".join(" ".join("".join(r.choice("abcdefghij") for _ in range(7)) for _ in range(12)) for _ in range(6))
     rows = [(k, f"Subscribe  NOW {k}\n" + body(), "en", "h1" if k % 3 else None, 1) for k in range(150)]
     rows += [(500, "subscribe now 7\n" + body(), "en", "h2", 1), (501, "\n".join(f"Subscribe now {k}" for k in range(40)) + "\n" + "only ten words stay here so it is depleted now", "en", "h1", 1)]
-    rows += [(600 + k, rows[1][1], "en", "h3", 1) for k in range(80)]  # copies of one text count once
+    rows += [(600 + k, rows[1][1], "en", "h3", 1) for k in range(80)]  # copies of one text are no boilerplate
+    rows += [(700 + k, f"Page {k % 12} of the guide\nFollow us on the network\n" + rows[k % 12][1].split("\n", 1)[1], "en", "h4", 1) for k in range(30)]  # documents count, not texts
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").withColumn("v_key", F.lit(0))
     kept = {x["doc_id"]: x for x in R.filter_documents(df, min_docs=20, max_share=0.3).collect()}
     assert kept[1]["text"] == rows[1][1].split("\n", 1)[1] and kept[1]["n_chars"] == len(kept[1]["text"])
     assert kept[500]["text"] == rows[150][1] and all(600 + k in kept for k in range(80))
+    assert all("Follow" not in kept[700 + k]["text"] and "Page" not in kept[700 + k]["text"] for k in range(30))
     verdict = {x["doc_id"]: x for x in R.rules(df, min_docs=20, max_share=0.3).collect()}
     assert set(kept) == {k for k, x in verdict.items() if x["kept"]}
     again = R.rules(df.unionByName(df), 20, 0.3).where("doc_id = 1").collect()
     assert len(again) >= 1 and len({x["n_boilerplate_words"] for x in again}) == 1
 
 
+def test_limits_work_on_small_and_large_hosts(spark):
+    """With the registered limits, a line in more than a tenth of a host goes, on any host of more than ten documents."""
+    r = random.Random(2)
+    body = lambda: " ".join("".join(r.choice("abcdefghij") for _ in range(7)) for _ in range(60))
+    rows = [(k, ("All rights reserved here\n" if k < 11 else "") + ("Seldom seen line\n" if 20 <= k < 30 else "") + body(), "small") for k in range(40)]
+    rows += [(1000 + k, ("Menu of the page\n" if k < 90 else "") + ("Found in few pages\n" if 100 <= k < 170 else "") + body(), "large") for k in range(800)]
+    lost = {x["doc_id"]: x["n_boilerplate_words"] for x in R.rules(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()}
+    assert {k for k, n in lost.items() if n} == {*range(11), *range(1000, 1090)}
+
+
 def test_rules_are_native(docs_of):
     plan = R.rules(docs_of(["a b"]))._jdf.queryExecution().executedPlan().toString() + C.chat_digest(C.with_probe(docs_of(["a"]).selectExpr("doc_id AS conv_id", "0L AS turn", "'user' AS role", "text")))._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Arrow|Pandas", plan)
