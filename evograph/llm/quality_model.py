@@ -1,8 +1,8 @@
 """Quality classification by co-training two views of a document.
 
-The text view sees content: hashed character trigrams and word repetition. The metadata view
-sees the record around it: source, language tag, size, lines and layout shares. Each view is a
-logistic model. In every round each view labels all unlabelled documents and hands those
+The text view sees content: hashed character trigrams, word repetition and layout shares. The
+metadata view sees the record around it and nothing of the text: source, language tag and
+recorded size. Each view is a logistic model. In every round each view labels all unlabelled documents and hands those
 it is surest of, in the classes' proportion, to the other view's training set. The views are
 then calibrated (Platt) on labelled rows kept aside and combined by a third logistic model
 on their log-odds, fitted on the same rows; every document gets both scores and the combined one.
@@ -33,7 +33,8 @@ from evograph.llm.common import cut, slices, table, tidy, words_of_group
 from evograph.llm.text_features import layout, repetition, trigrams
 
 DIMS = 2048
-META_DIMS = 64
+#: Hashed sources and languages, and steps of the recorded size, of the metadata view.
+SOURCES, LANGUAGES, SIZES = 256, 64, 24
 LABELLED = 2500
 ROUNDS = 4
 #: Share of the unlabelled documents that a view hands over in a round, and their largest number.
@@ -47,14 +48,21 @@ def views(texts: list[str | None], source: list, lang: list, n_chars: list) -> t
     content, record = [], []
     for a, b, data, offsets in slices(texts):
         _, _, h, word_offsets = words_of_group(data, offsets)
-        content.append(np.hstack([trigrams(data, offsets, DIMS) * 4, repetition(h, word_offsets) * (4, 4, 0.3)]))
-        meta = np.zeros((b - a, META_DIMS))
+        content.append(np.hstack([trigrams(data, offsets, DIMS) * 4, repetition(h, word_offsets) * (4, 4, 0.3), layout(data, offsets) * (0.3, 0.3, 0.3, 6, 12, 6)]))
+        meta = np.zeros((b - a, SOURCES + LANGUAGES + SIZES + 2))
         for i in range(a, b):
-            for kind, value in (("source", source[i]), ("lang", lang[i])):
-                meta[i - a, zlib.crc32(f"{kind}={value}".encode("utf-8", "surrogatepass")) % META_DIMS] = 1
-            if n_chars[i] is None:
-                meta[i - a, 0] += 1
-        record.append(np.hstack([meta, layout(data, offsets) * (0.3, 0.3, 0.3, 6, 12, 6)]))
+            at = 0
+            for value, dims in ((source[i], SOURCES), (lang[i], LANGUAGES)):
+                if value is not None:
+                    meta[i - a, at + zlib.crc32(value.encode("utf-8", "surrogatepass")) % dims] = 1
+                at += dims
+            size = n_chars[i]
+            if size is None:
+                meta[i - a, -1] = 1
+            else:
+                meta[i - a, at + min(SIZES - 1, max(int(size), 0).bit_length())] = 1
+                meta[i - a, -2] = 0.3 * np.log1p(max(int(size), 0))
+        record.append(meta)
     return np.concatenate(content), np.concatenate(record)
 
 
@@ -179,7 +187,7 @@ def sure_rows(docs: DataFrame, models: list[np.ndarray], known: set[int], gone:
     return out
 
 
-def fit(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, most: int = MOST_HANDED) -> CoModel | float:
+def fit(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, most: int = MOST_HANDED, rounds: int = ROUNDS) -> CoModel | float:
     """The fitted model, or the share of good labels where there are not both classes."""
     ok = labels.where("quality IS NOT NULL AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.floor(F.avg("quality")).cast("double").alias("y"))
     ok = cut(ok.join(docs.select("doc_id"), "doc_id", "left_semi"))  # labels of other documents teach nothing
@@ -223,7 +231,7 @@ def fit(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, most: int
             out.append((*both, np.array([label[me][p] for p in prints])))
         return out
 
-    return co_train(content, record, y, weight / weight.mean(), surest)
+    return co_train(content, record, y, weight / weight.mean(), surest, rounds)
 
 
 def score(docs: DataFrame, model: CoModel | float, keep: float = KEEP) -> DataFrame:

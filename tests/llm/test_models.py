@@ -91,3 +91,33 @@ def test_pages(spark):
     assert [t for t, *_ in H.blocks(rows[4][2])] == ["unclosed", "x"]
     long = "<article>" + "<p>some words of text here.</p>" * 5000 + "</article>"
     assert H.main_text(long, H.model()).count("\n") == 4999
+
+
+def test_views_share_no_input():
+    text, source, lang, size = ["one two", "x$$$ y"], ["a", "b"], ["en", None], [7, 6]
+    content, record = Q.views(text, source, lang, size)
+    again, _ = Q.views(text, ["q", None], ["fr", "de"], [None, 99])
+    _, same = Q.views(["quite another text", None], source, lang, size)
+    assert (content == again).all() and (record == same).all()
+
+
+def test_exchange_helps_where_labels_are_few(spark):
+    """Each view knows what the other lacks: words of a class are many, and so are its sources."""
+    r = np.random.default_rng(5)
+    rows, y = [], []
+    for k in range(700):
+        good = k % 2
+        words = [f"{'ka' if good else 'zo'}{r.integers(60)}{'mi' if good else 'pu'}" if r.random() < 0.12 else f"w{r.integers(2000)}" for _ in range(40)]
+        source = f"{'g' if good else 'b'}{r.integers(12)}" if r.random() < 0.8 else f"c{r.integers(12)}"
+        rows.append((k, " ".join(words), "en", source, 200))
+        y.append(good)
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    labels = spark.createDataFrame([(k, y[k], 0) for k in range(28)], "doc_id long, quality int, toxic int")
+    right = {}
+    for rounds in (0, Q.ROUNDS):
+        m = Q.fit(docs, labels, rounds=rounds)
+        got = Q.score(docs.where("doc_id >= 28"), m).toPandas()
+        truth = np.array([y[k] for k in got.doc_id])
+        right[rounds] = {c: ((got[c] >= 0.5) == (truth == 1)).mean() for c in ("text_score", "meta_score", "score")}
+    assert right[Q.ROUNDS]["score"] >= right[0]["score"] + 0.01
+    assert right[Q.ROUNDS]["meta_score"] >= right[0]["meta_score"] + 0.02
