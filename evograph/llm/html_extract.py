@@ -46,27 +46,98 @@ IMPLIED_END = {
 }
 _SCOPE = frozenset("html body article aside blockquote details div dl fieldset figure footer form header main menu nav ol section table ul".split())
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
+_KEYS = _SCOPE | frozenset().union(*IMPLIED_END.values())
+_MARKUP = re.compile(r"<!--|<!\[CDATA\[|<[!?]|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)")
+#: The rest of a tag; no part can be matched in two ways, so a failure costs one pass.
+_REST = re.compile(r"(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+>")
+#: Open elements that a block's features look at, nearest first.
+NEAREST = 64
 _ATTR = re.compile(r"(?:^|[\s\"'/])(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _NAME = re.compile(r"[a-z]+")
 _HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|$)|display\s*:\s*none", re.I)
 MAIN, OTHER = 1, 0
 
 
+def _tokens(page: str) -> Iterator[tuple[int, int, str, str, str]]:
+    """Start, end, slash, name and attributes of every piece of markup in one pass; other markup has no name.
+
+    A tag with an unclosed quotation ends at its next ``>``; after the last ``>`` all is text.
+    """
+    at, last = 0, page.rfind(">")
+    while m := _MARKUP.search(page, at):
+        start, kind = m.start(), m[0]
+        if kind == "<!--" or kind == "<![CDATA[":
+            close = "-->" if kind == "<!--" else "]]>"
+            end = page.find(close, m.end())
+            at = len(page) if end < 0 else end + len(close)
+            yield start, at, "", "", ""
+            continue
+        if start > last:
+            return
+        rest = None if m[2] is None else _REST.match(page, m.end())
+        at = rest.end() if rest else page.find(">", start) + 1
+        yield start, at, m[1] or "", (m[2] or "").lower(), page[m.end() : at - 1] if m[2] else ""
+
+
+class _Open:
+    """Open elements; what has to be known of all of them is kept up as they come and go."""
+
+    def __init__(self) -> None:
+        self.items: list[tuple[str, tuple[str, ...], bool, int, int]] = []  # tag, words, hidden, drawing around, last container
+        self.count: dict[str, int] = {}
+
+    def push(self, tag: str, words: tuple[str, ...], hidden: bool) -> None:
+        _, _, above, drawing, key = self.items[-1] if self.items else ("", (), False, -1, -1)
+        here = len(self.items)
+        drawing = here if tag in FOREIGN else -1 if tag == "foreignobject" else drawing
+        self.items.append((tag, words, hidden or above, drawing, here if tag in _KEYS else key))
+        self.count[tag] = self.count.get(tag, 0) + 1
+
+    def cut(self, k: int) -> None:
+        """Close the element at ``k`` and all inside it."""
+        for tag, *_ in self.items[k:]:
+            self.count[tag] -= 1
+        del self.items[k:]
+
+    def close(self, tag: str) -> None:
+        if self.count.get(tag):
+            k = len(self.items) - 1
+            while self.items[k][0] != tag:
+                k -= 1
+            self.cut(k)
+
+    def drawing(self) -> int:
+        """Where the drawing or formula begins that we are in; -1 for none."""
+        return self.items[-1][3] if self.items else -1
+
+    def imply(self, ends: frozenset[str]) -> None:
+        """Close the nearest of ``ends`` inside the nearest container."""
+        k = self.items[-1][4] if self.items else -1
+        while k >= 0:
+            tag = self.items[k][0]
+            if tag in ends:
+                self.cut(k)
+                return
+            if tag in _SCOPE or k == 0:
+                return
+            k = self.items[k - 1][4]
+
+    def ancestors(self) -> tuple:
+        near = self.items[: -NEAREST - 1 : -1]
+        return tuple((tag, words) for tag, words, *_ in reversed(near) if tag not in INLINE)
+
+
 def blocks(page: str | None) -> list[tuple[str, tuple, float, bool]]:
-    """Leaf blocks: text, ancestors as (tag, words), share of link text, whether it is raw or hidden."""
+    """Leaf blocks: text, ancestors as (tag, words), share of link text, whether it is hidden. One pass over the page."""
     out: list[tuple[str, tuple, float, bool]] = []
-    stack: list[tuple[str, tuple[str, ...], bool]] = []
-    text: list[str] = []
-    linked = 0
+    stack, text, linked = _Open(), [], 0
 
     def flush() -> None:
         nonlocal linked
         if text:
             t = " ".join(html_lib.unescape("".join(text)).split())
             if t:
-                anc = tuple((tag, words) for tag, words, _ in stack if tag not in INLINE)
-                out.append((t, anc, min(1.0, linked / len(t)), any(h for _, _, h in stack)))
+                out.append((t, stack.ancestors(), min(1.0, linked / len(t)), bool(stack.items) and stack.items[-1][2]))
             text.clear()
         linked = 0
 
@@ -74,60 +145,45 @@ def blocks(page: str | None) -> list[tuple[str, tuple, float, bool]]:
         nonlocal linked
         if s:
             text.append(s)
-            if any(tag == "a" for tag, _, _ in stack):
+            if stack.count.get("a"):
                 linked += len(s.strip())
 
-    def foreign() -> int:
-        """Where on the stack the drawing or formula begins that we are in; -1 for none."""
-        for k in range(len(stack) - 1, -1, -1):
-            if stack[k][0] in FOREIGN:
-                return k
-            if stack[k][0] == "foreignobject":
-                break
-        return -1
-
     page, at = page or "", 0
-    while m := _TOKEN.search(page, at):
-        add(page[at : m.start()])
-        at = m.end()
-        tag = (m[2] or "").lower()
+    for start, end, slash, tag, attributes in _tokens(page):
+        if start < at:  # inside raw text
+            continue
+        add(page[at:start])
+        at = end
         if not tag:
             continue
-        if tag in IMPLIED_END and not m[1] and (k := foreign()) >= 0:
-            del stack[k:]
-        inside = foreign() >= 0
+        if tag in IMPLIED_END and not slash and (k := stack.drawing()) >= 0:
+            stack.cut(k)
+        inside = stack.drawing() >= 0
         if inside:
             text.append(" ")
-        if m[1]:  # an end
+        if slash:
             if tag not in INLINE and (not inside or tag in IMPLIED_END):
                 flush()
-            if any(t == tag for t, _, _ in stack):
-                while stack.pop()[0] != tag:
-                    pass
+            stack.close(tag)
             continue
         if tag == "br":
             text.append(" ")
             continue
         if tag not in INLINE and not inside:
             flush()
-            ends = IMPLIED_END.get(tag)
-            if ends:
-                for k in range(len(stack) - 1, -1, -1):
-                    if stack[k][0] in ends:
-                        del stack[k:]
-                        break
-                    if stack[k][0] in _SCOPE:
-                        break
-        if tag in RAW and not m[3].rstrip().endswith("/"):
-            end = re.compile(rf"</{tag}\s*>", re.I).search(page, at)
-            at = end.end() if end else len(page)
+            if tag in IMPLIED_END:
+                stack.imply(IMPLIED_END[tag])
+        empty = attributes.rstrip().endswith("/")
+        if tag in RAW and not empty:
+            close = re.compile(rf"</{tag}\s*>", re.I).search(page, at)
+            at = close.end() if close else len(page)
             continue
-        if tag in VOID or tag in RAW or m[3].rstrip().endswith("/"):
+        if tag in VOID or tag in RAW or empty:
             continue
         words: list[str] = []
-        for a in _ATTR.finditer(m[3]):
+        for a in _ATTR.finditer(attributes):
             words += _NAME.findall((a[2] or a[3] or a[4] or "").lower())
-        stack.append((tag, tuple(words), tag == "template" or bool(_HIDDEN.search(m[3]))))
+        stack.push(tag, tuple(words), tag == "template" or bool(_HIDDEN.search(attributes)))
     add(page[at:])
     flush()
     return out
@@ -253,9 +309,10 @@ class PageMaker:
         self.r = random.Random(seed)
 
     def words(self, n: int) -> str:
+        """Words of random letters of one of several scripts; their letters are no features."""
         r = self.r
-        parts = r.choice((("an", "th", "er", "ing", "on", "st", "re"), ("en", "sch", "ung", "heit", "ü", "ß", "ä"), ("eau", "é", "tion", "è", "ment", "ç"), ("ción", "ñ", "os", "ar", "í", "ll")))
-        out = ["".join(r.choice(parts) for _ in range(r.randint(1, 4))) for _ in range(n)]
+        letters = r.choice(("abcdefghiklmnoprstuvw", "αβγδεζηθικλμνοπρστυφω", "абвгдежзиклмнопрстуя"))
+        out = ["".join(r.choice(letters) for _ in range(r.randint(1, 11))) for _ in range(n)]
         for k in range(n):
             if r.random() < 0.08:
                 out[k] += r.choice(",;:")
@@ -264,8 +321,8 @@ class PageMaker:
 
     def sentence(self, lo: int, hi: int) -> str:
         r = self.r
-        t = self.words(r.randint(lo, hi)) + r.choice((".", ".", ".", "", "!", "?", "$$$", " |"))
-        return t.replace("an", "&amp;", 1) if r.random() < 0.05 else t
+        t = self.words(r.randint(lo, hi)) + r.choice((".", ".", ".", "", "!", "?", ":"))
+        return t.replace(" ", " &amp; ", 1) if r.random() < 0.05 else t
 
     def attrs(self, names: tuple[str, ...], p: float = 0.9) -> str:
         r = self.r
@@ -287,7 +344,7 @@ class PageMaker:
             t = self.sentence(*r.choice(((1, 4), (5, 20), (20, 80))))
             if r.random() < 0.15:
                 t += f' <a href="/x">{self.words(2)}</a> {self.sentence(3, 12)}'
-            out.append(r.choice(("<p>{}</p>", "<p>{}</p>", "<p>{}</p>", "<div>{}</div>", "<p><b>{}<br>", "<p>{}")).format(t))
+            out.append(r.choice(("<p>{}</p>", "<p>{}</p>", "<p>{}</p>", "<div>{}</div>", "<p><em>{}</em></p>", "<p>{}")).format(t))
         return "".join(out)
 
     def main(self) -> str:

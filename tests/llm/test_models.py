@@ -1,5 +1,6 @@
 from __future__ import annotations
 
+import time
 import zlib
 
 import numpy as np
@@ -121,3 +122,53 @@ def test_exchange_helps_where_labels_are_few(spark):
         right[rounds] = {c: ((got[c] >= 0.5) == (truth == 1)).mean() for c in ("text_score", "meta_score", "score")}
     assert right[Q.ROUNDS]["score"] >= right[0]["score"] + 0.01
     assert right[Q.ROUNDS]["meta_score"] >= right[0]["meta_score"] + 0.02
+
+
+# pages written by hand; the generator has seen none of them
+BY_HAND = [
+    (
+        '<body><div id="top-nav"><a href="/">Start</a> <a href="/n">News</a></div><div class="wrap"><div class="post-body"><h2>On tides</h2>'
+        "<p>Water rises twice a day, and falls as often.</p><p>Sailors knew it <i>long</i> before tables were printed.</p><dl><dt>Ebb</dt><dd>Falling water.</dd></dl></div>"
+        '<div class="sidebar-box"><h4>More</h4><ul><li><a href="/1">Moons</a></li><li><a href="/2">Boats</a></li></ul></div></div><div class="footer">&copy; 1999 Harbour Press</div></body>',
+        "On tides\nWater rises twice a day, and falls as often.\nSailors knew it long before tables were printed.\nEbb\nFalling water.",
+    ),
+    (
+        "<html><body><header><h3>The Daily</h3><nav><ul><li><a href=a>World</a><li><a href=b>Sport</a></ul></nav></header><main><h1>Bridge opens</h1>"
+        "<p>The new bridge was opened on Monday, after years of work.<p>It carries trains, too.<aside class=related>See also: <a href=c>Old bridge</a></aside>"
+        '<p>Tolls will be set in spring.</main><section class="comments"><div class="comment">First!</div><div class="comment">I like trains.</div></section><footer>Imprint | Contact</footer></body></html>',
+        "Bridge opens\nThe new bridge was opened on Monday, after years of work.\nIt carries trains, too.\nTolls will be set in spring.",
+    ),
+    (
+        '<div class="cookie-banner"><p>This site uses cookies.</p><button>Fine</button></div><article class="entry"><p>Plain text, &lt;tags&gt; and all.</p>'
+        '<form action="/s"><label>Mail</label><input></form><pre>code  here</pre><div class="ad-box">Cheap shoes!</div><p>The end.</p></article>',
+        "Plain text, <tags> and all.\ncode here\nThe end.",
+    ),
+]
+
+
+def test_pages_by_hand():
+    tp = fp = fn = 0
+    for page, want in BY_HAND:
+        got, gold = H.main_text(page, H.model()).split("\n"), want.split("\n")
+        tp, fp, fn = tp + len(set(got) & set(gold)), fp + len(set(got) - set(gold)), fn + len(set(gold) - set(got))
+    assert tp / (tp + fp) >= 0.85 and tp / (tp + fn) >= 0.85
+
+
+def test_reader_takes_one_pass():
+    plain = H.ChainModel({}, (0.0, 0.0, 0.0, 0.0))
+    for s in ('<a href="x ', "<div>t", "<b>", "<h1>x", "<li>x", "<!x", "<svg>", "<td>x", "<!--"):
+        for end in ("", '">'):
+            began = time.perf_counter()
+            H.main_text(s * 8000 + end, plain)
+            assert time.perf_counter() - began < 4
+    assert [t for t, *_ in H.blocks("<p>Let <math><mi>x</mi></math> be<svg/> drawn</p><noscript>kept</noscript><script>gone</script>")] == ["Let x be drawn", "kept"]
+
+
+def test_pages_edges(spark):
+    rows = [(1, "u", "<p>a b"), (1, "u", "<p>a b"), (None, None, "x < y"), (2, "v", "<" * 3000)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("text", F.lit("other")).withColumn("n_chars", F.lit(-1))
+    out = H.extract(df)
+    got = out.collect()
+    assert out.columns == ["page_id", "url", "text", "n_chars"] and len(got) == 4
+    assert len({r["text"] for r in got if r["page_id"] == 1}) == 1 and all(r["n_chars"] == len(r["text"]) for r in got)
+    assert H.extract(df.where("page_id = 77")).count() == 0
