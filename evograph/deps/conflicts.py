@@ -12,6 +12,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from evograph.windows.adaptive import touches
 from evograph.windows.fixed import members
 
 ROOT = -1
@@ -58,6 +59,30 @@ def reduced(reads: DataFrame, writes: DataFrame, win: DataFrame) -> DataFrame:
     return for_window(stream_index(reads, writes), win)
 
 
+def reduced_one_hop(ev: DataFrame, spans: DataFrame, win: DataFrame, direction: str = "in") -> DataFrame:
+    """As ``reduced`` for one-hop reads and endpoint writes, without ever listing an event's neighbours.
+
+    Only neighbours that the window itself writes can matter: nodes that a window touches
+    meet the edges to them, and edges from nodes it does not touch go at once. A window's
+    positions at a node are a short list in which the last earlier writer is looked up.
+    """
+    is_del = F.col("kind").isin("edge_del", "node_del").cast("int")
+    kinds = ev.select("pos", is_del.alias("del"))
+    touched = _inside(touches(ev).join(kinds, "pos"), win).groupBy("window_id", "node_id").agg(F.collect_list(F.struct("pos", "del")).alias("at"), F.min("pos").alias("low"), F.max("pos").alias("high"))
+    mine = touched.select("window_id", F.col("node_id").alias("own"), "at", "low", "high")
+    writer = touched.select("window_id", F.col("node_id").alias("nbr"), F.col("at.pos").alias("written"), F.col("low").alias("wrote"))
+    out = mine.select("window_id", F.explode("at").alias("e"), F.col("at.pos").alias("written"))
+    for own, nbr, use in (("dst", "src", direction in ("in", "both")), ("src", "dst", direction in ("out", "both"))):
+        if not use:
+            continue
+        s = spans.select(F.col(own).alias("own"), F.col(nbr).alias("nbr"), "from_pos", "to_pos")
+        met = mine.join(s, "own").where("from_pos <= high AND to_pos >= low").join(writer, ["window_id", "nbr"]).where("wrote < high")
+        hit = met.select("window_id", "from_pos", "to_pos", F.explode("at").alias("e"), "written").where("from_pos <= e.pos AND to_pos + e.del > e.pos")
+        out = out.unionByName(hit.select("window_id", "e", "written"))
+    last = F.array_max(F.filter("written", lambda q: q < F.col("e.pos")))
+    return out.select("window_id", F.col("e.pos").alias("later_pos"), last.alias("earlier_pos")).where("earlier_pos IS NOT NULL").distinct()
+
+
 def with_root(deps: DataFrame, ev: DataFrame, win: DataFrame) -> DataFrame:
     """Dependencies and an edge to the root for every event that has none."""
     m = members(ev, win).select("window_id", F.col("pos").alias("later_pos"))

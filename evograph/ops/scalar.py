@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from evograph.graph import spans
@@ -135,14 +135,28 @@ def decay(s, d):
     return spans.elapsed(streams.interactions(s, d)).select("pos", F.round(1 / F.log(F.lit(2.718281828459045) + dt), 6).alias("log_decay"), F.round(F.exp(-dt / 86400), 6).alias("exp_decay"), F.round(F.log1p(dt), 6).alias("drive"))
 
 
+def targets_seen(ev: DataFrame, width: int = 65_536) -> tuple[DataFrame, DataFrame]:
+    """``ix, cand`` of every target by its first event, and ``pos, seen``: the number first seen before each event."""
+    first = ev.where("dst IS NOT NULL").groupBy("dst").agg(F.min("pos").alias("first"))
+    pool = assign_positions(first, ["first"], lambda x: x.select(F.col("pos").alias("ix"), F.col("dst").alias("cand"), "first"))
+    e = ev.where("dst IS NOT NULL").select("pos").join(pool.select(F.col("first").alias("pos"), F.lit(1).alias("new")), "pos", "left")
+    e = e.select("pos", F.floor(F.col("pos") / width).alias("b"), F.coalesce("new", F.lit(0)).alias("new"))
+    per = e.groupBy("b").agg(F.sum("new").alias("n"))  # one row per bucket of positions
+    earlier = per.select("b", F.coalesce(F.sum("n").over(Window.orderBy("b").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
+    inside = F.coalesce(F.sum("new").over(Window.partitionBy("b").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return pool.select("ix", "cand"), e.withColumn("inside", inside).join(earlier, "b").select("pos", (F.col("base") + F.col("inside")).alias("seen"))
+
+
 def negatives(ev: DataFrame, n_neg: int = 5, seed: int = 0) -> DataFrame:
-    """``pos, src, dst, y, neg_ix``: seeded candidates of the target side by arithmetic; the next one where the true node comes up."""
-    pool = assign_positions(ev.where("dst IS NOT NULL").select("dst").distinct(), ["dst"], lambda x: x.select(F.col("pos").alias("ix"), F.col("dst").alias("cand")))
-    n = pool.count()
-    e = ev.where("dst IS NOT NULL").select("pos", "src", "dst", F.explode(F.sequence(F.lit(0), F.lit(n_neg - 1))).alias("neg_ix"))
-    e = e.withColumn("ix", (F.col("pos") * 48271 + F.col("neg_ix") * 69621 + seed) % n)
-    e = e.join(pool, "ix").withColumn("ix2", F.when(F.col("cand") == F.col("dst"), (F.col("ix") + 1) % n).otherwise(F.col("ix"))).drop("cand", "ix")
-    return e.join(pool, F.col("ix2") == F.col("ix")).select("pos", "src", F.col("cand").alias("dst"), F.lit(0).alias("y"), "neg_ix")
+    """``pos, src, dst, y, neg_ix``: seeded candidates by arithmetic among the targets seen before; the next one where the true node comes up.
+
+    An event before which no other target was seen has none.
+    """
+    pool, seen = targets_seen(ev)
+    e = ev.where("dst IS NOT NULL").select("pos", "src", "dst").join(seen, "pos").where("seen > 0").withColumn("neg_ix", F.explode(F.sequence(F.lit(0), F.lit(n_neg - 1))))
+    e = e.withColumn("ix", (F.col("pos") * 48271 + F.col("neg_ix") * 69621 + seed) % F.col("seen"))
+    e = e.join(pool, "ix").withColumn("ix2", F.when(F.col("cand") == F.col("dst"), (F.col("ix") + 1) % F.col("seen")).otherwise(F.col("ix"))).drop("cand", "ix")
+    return e.join(pool, F.col("ix2") == F.col("ix")).where("cand <> dst").select("pos", "src", F.col("cand").alias("dst"), F.lit(0).alias("y"), "neg_ix")
 
 
 def link_samples(ev: DataFrame, n_neg: int = 5, seed: int = 0) -> DataFrame:
@@ -150,7 +164,11 @@ def link_samples(ev: DataFrame, n_neg: int = 5, seed: int = 0) -> DataFrame:
     return ev.where("dst IS NOT NULL").select("pos", "src", "dst", F.lit(1).alias("y"), F.lit(-1).alias("neg_ix")).unionByName(negatives(ev, n_neg, seed))
 
 
-_NEG = cte("s1") + ", pool AS (SELECT row_number() OVER (ORDER BY dst) - 1 AS ix, dst AS cand FROM (SELECT DISTINCT dst FROM s1)), m AS (SELECT count(*) AS m FROM pool), ng AS (SELECT pos, src, q.cand AS dst, 0 AS y, i AS neg_ix FROM (SELECT pos, src, dst, i, (pos * 48271 + i * 69621) % m AS ix, m FROM s1, (SELECT unnest([0, 1, 2, 3, 4]) AS i), m) e JOIN pool p ON p.ix = e.ix JOIN pool q ON q.ix = CASE WHEN p.cand = e.dst THEN (e.ix + 1) % m ELSE e.ix END), smp AS (SELECT pos, src, dst, 1 AS y, -1 AS neg_ix FROM s1 UNION ALL SELECT * FROM ng)"
+_NEG = cte("s1") + """, pool AS (SELECT row_number() OVER (ORDER BY first) - 1 AS ix, cand, first FROM (SELECT dst AS cand, min(pos) AS first FROM s1 GROUP BY dst)),
+sn AS (SELECT s1.pos, s1.src, s1.dst, sum(CASE WHEN f.first IS NULL THEN 0 ELSE 1 END) OVER (ORDER BY s1.pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS m FROM s1 LEFT JOIN pool f ON f.first = s1.pos),
+e AS (SELECT pos, src, dst, i, CAST((pos * 48271 + i * 69621) % m AS BIGINT) AS ix, m FROM sn, (SELECT unnest([0, 1, 2, 3, 4]) AS i) WHERE m > 0),
+ng AS (SELECT pos, src, q.cand AS dst, 0 AS y, i AS neg_ix FROM e JOIN pool p ON p.ix = e.ix JOIN pool q ON q.ix = CASE WHEN p.cand = e.dst THEN (e.ix + 1) % m ELSE e.ix END WHERE q.cand <> e.dst),
+smp AS (SELECT pos, src, dst, 1 AS y, -1 AS neg_ix FROM s1 UNION ALL SELECT * FROM ng)"""
 
 
 @query("q_m53_negatives", _NEG + " SELECT * FROM ng")

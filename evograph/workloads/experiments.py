@@ -1,15 +1,13 @@
 """The experiments, re-expressed on the given tables, and the worked examples.
 
 Training experiments run whole streams in groups, one epoch per window in the registered
-queries (``epochs`` is a parameter; ``bench.py --experiments`` runs more). Neighbour lists are
-capped at the 16 most recent in them, an explicit setting of the experiment, not of the engine.
+queries (``epochs`` is a parameter; ``bench.py --experiments`` runs more).
 """
 
 from __future__ import annotations
 
 import time
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -23,9 +21,11 @@ from evograph.registry import cte, query
 from evograph.schedule import waves
 from evograph.sources import streams
 from evograph.sources.tables import table
+from evograph.train.models import MODELS
 from evograph.train.spark_fit import fit_grid
 from evograph.versions import store
 from evograph.windows import adaptive, fixed
+from evograph.workloads.methods import _LIFE, _adaptive_sql
 
 EVENT = "pos long, src long, dst long, ts timestamp_ntz, kind string, kind_class string, weight double"
 
@@ -120,16 +120,100 @@ def w12(s, d):
     return log.groupBy("data", "model", "method", "window_id", "unit").agg(F.max("auc").alias("auc"), F.first("n_windows").alias("n_windows")).groupBy("data", "model", "method").agg(F.avg("auc").alias("auc"), F.first("n_windows").alias("n_windows"))
 
 
+#: Streams of the model grids: whole at every scale.
+GRID_STREAMS = {"s4": streams.dialogue, "s5": streams.site_links, "s6": streams.doc_feed}
+GRID_MODELS = tuple(MODELS)
+#: The sequential reference is the batch method, one event after the other.
+GRID_METHODS = {"batch_ref": ("batch", "serial"), "batch": ("batch", "wave"), "sliding": ("sliding", "wave"), "adaptive": ("adaptive", "wave")}
+
+
+def _streams(s: SparkSession, d: str, names: tuple[str, ...] = tuple(GRID_STREAMS)) -> DataFrame:
+    parts = [GRID_STREAMS[n](s, d).withColumn("data", F.lit(n)) for n in names]
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.unionByName(x)
+    return out
+
+
+def _trained(s: SparkSession, d: str, settings: list[dict], names: tuple[str, ...] = tuple(GRID_STREAMS)) -> DataFrame:
+    """``data, model, setting, auc, seconds, n_windows``: mean of best AUC and seconds of training each setting on each stream."""
+    log = fit_grid(_streams(s, d, names), settings, table(s, d, "embeddings"))
+    best = log.groupBy("data", "model", "setting", "window_id", "unit").agg(F.max("auc").alias("auc"), F.first("seconds").alias("seconds"), F.first("n_windows").alias("n_windows"))
+    return best.groupBy("data", "model", "setting").agg(F.avg("auc").alias("auc"), F.first("seconds").alias("seconds"), F.first("n_windows").alias("n_windows"))
+
+
+def model_grid(s: SparkSession, d: str, epochs: int = 1, dim: int = 8) -> DataFrame:
+    """Three models by four methods on three whole streams."""
+    settings = [{"model": m, "method": how, "dim": dim, "name": name, "fit": {"epochs": epochs, "units": 1, "plan": plan}} for m in GRID_MODELS for name, (how, plan) in GRID_METHODS.items()]
+    return _trained(s, d, settings).withColumnRenamed("setting", "method")
+
+
+@query("q_w10_runtime_grid")
+def w10(s, d):
+    """Seconds by model, stream and method, and the speed-up over the sequential reference."""
+    times = model_grid(s, d).persist()
+    return times.select("data", "model", "method", "seconds").join(measures.speedup(times, "batch_ref"), ["data", "model", "method"])
+
+
+@query("q_w12_auc_grid")
+def w12_grid(s, d):
+    """Mean of best AUC by model, stream and method, and the adaptive method's gain over batches in points."""
+    got = model_grid(s, d).persist()
+    return got.select("data", "model", "method", "auc", "n_windows").join(measures.gain(got), ["data", "model"])
+
+
+@query("q_w13_ablation")
+def w13(s, d):
+    """The adaptive method event by event, with waves, and with the next window prepared meanwhile."""
+    steps = {"base": {"plan": "serial"}, "+parallel": {"plan": "wave"}, "+pipeline": {"plan": "wave", "prefetch": True}}
+    settings = [{"model": "point_process_attention", "method": "adaptive", "dim": 8, "name": k, "fit": {"epochs": 2, **x}} for k, x in steps.items()]
+    times = _trained(s, d, settings).withColumnRenamed("setting", "method").persist()
+    return times.select("data", "model", "method", "seconds").join(measures.speedup(times, "base"), ["data", "model", "method"])
+
+
 @query("q_w07_execution_plans")
 def w07(s, d):
-    """Seconds and mean of best AUC of serial, dependency-keeping and dependency-ignoring plans, over the whole stream."""
-    settings = [{"model": "point_process_attention", "method": "batch", "dim": 8, "name": p, "windows": {"size": 200}, "fit": {**_CHEAP, "units": 1, "plan": p}} for p in ("serial", "wave", "ignore")]
-    log = _grid(s, d, settings)
-    best = log.groupBy("setting", "window_id", "unit").agg(F.max("auc").alias("auc"), F.first("seconds").alias("seconds"))
-    return best.groupBy(F.col("setting").alias("plan")).agg(F.avg("auc").alias("auc"), F.first("seconds").alias("seconds"))
+    """Seconds and AUC of two models by execution plan; ``ignore`` drops all dependencies."""
+    plans = ("serial", "wave", "chain", "queue", "ignore")
+    settings = [{"model": m, "method": "batch", "dim": 8, "name": p, "windows": {"size": 200}, "fit": {"epochs": 1, "units": 1, "plan": p}} for m in ("point_process_attention", "recurrent_diffusion") for p in plans]
+    times = _trained(s, d, settings).withColumnRenamed("setting", "method").persist()
+    return times.select("data", "model", "method", "auc", "seconds").join(measures.speedup(times, "wave"), ["data", "model", "method"]).withColumnRenamed("method", "plan")
+
+
+def _sweep(s: SparkSession, d: str, method: str, windows: dict[str, dict]) -> DataFrame:
+    """The recurrent model on one stream, by window settings."""
+    settings = [{"model": "recurrent_diffusion", "method": method, "dim": 8, "name": k, "windows": w, "fit": {"epochs": 1, **({"stride": w["stride"]} if "stride" in w else {})}} for k, w in windows.items()]
+    return _trained(s, d, settings, ("s6",))
+
 
+@query("q_w14_auc_by_stride_adaptive")
+def w14_auc(s, d):
+    return _sweep(s, d, "adaptive", {str(r): {"ratio": r} for r in (0.2, 0.5, 0.8)})
 
-@query("q_w14_stride_adaptive")
+
+@query("q_w15_auc_by_stride_sliding")
+def w15_auc(s, d):
+    return _sweep(s, d, "sliding", {str(r): {"size": 200, "stride": int(200 * r)} for r in (0.2, 0.5, 0.8)})
+
+
+@query("q_w16_auc_by_size")
+def w16_auc(s, d):
+    return _sweep(s, d, "sliding", {str(w): {"size": w, "stride": w // 5} for w in (100, 150, 200, 250, 300)})
+
+
+@query("q_w17_auc_by_limits")
+def w17_auc(s, d):
+    return _sweep(s, d, "adaptive", {f"{low}-{high}": {"low": low, "high": high} for low, high in LIMITS})
+
+
+LIMITS = ((50, 300), (100, 300), (150, 300), (100, 250), (100, 350))
+
+
+def _stats_sql(low: int, high: int, more: str, ratio: float = 0.2) -> str:
+    return _adaptive_sql("s1", low, high, ratio) + f"SELECT count(*) AS n_windows, min(end_pos - start_pos) AS min_size, round(avg(end_pos - start_pos), 6) AS avg_size, max(end_pos - start_pos) AS max_size, round(avg(CASE WHEN end_pos - start_pos = {low} THEN 1.0 ELSE 0.0 END), 6) AS at_low, round(avg(CASE WHEN end_pos - start_pos = {high} THEN 1.0 ELSE 0.0 END), 6) AS at_high, {more} FROM win"
+
+
+@query("q_w14_stride_adaptive", " UNION ALL ".join(f"SELECT * FROM ({_stats_sql(100, 300, f'CAST({r} AS DOUBLE) AS ratio', r)})" for r in (0.2, 0.5, 0.8)))
 def w14(s, d):
     """Windows by stride ratio of the adaptive method: the cost driver of the stride experiment."""
     ev = streams.interactions(s, d)
@@ -160,11 +244,11 @@ def w16(s, d):
     return out
 
 
-@query("q_w17_limits")
+@query("q_w17_limits", " UNION ALL ".join(f"SELECT * FROM ({_stats_sql(low, high, f'{low} AS low, {high} AS high')})" for low, high in LIMITS))
 def w17(s, d):
     ev = streams.interactions(s, d)
     out = None
-    for low, high in ((50, 300), (100, 300), (150, 300), (100, 250), (100, 350)):
+    for low, high in LIMITS:
         x = fixed.stats(adaptive.adaptive(ev, low, high), low, high).withColumns({"low": F.lit(low), "high": F.lit(high)})
         out = x if out is None else out.unionByName(x)
     return out
@@ -215,7 +299,14 @@ def w21(s, d):
     return ev.groupBy("kind_class", "kind").agg(F.count("*").alias("n")).withColumn("share", F.round(F.col("n") / n, 6))
 
 
-@query("q_w22_snapshot_loss")
+_HIDDEN = "SELECT '{name}' AS every, CAST(sum(e.n) AS BIGINT) AS events, CAST(sum(e.n - coalesce(x.n, 0)) AS BIGINT) AS hidden FROM (SELECT CAST(floor(epoch_us(ts) / {us}.0) AS BIGINT) AS snap_id, count(*) AS n FROM s1m WHERE kind IN ('edge_add', 'edge_del') GROUP BY 1) e LEFT JOIN (SELECT snap_id, count(*) AS n FROM delta GROUP BY 1) x ON x.snap_id = e.snap_id"
+
+
+def _hidden_sql(name: str, seconds: int) -> str:
+    return cte("s1m", more=_LIFE.format(s="s1m").replace("86400000000", f"{seconds * 1_000_000}")) + _HIDDEN.format(name=name, us=seconds * 1_000_000)
+
+
+@query("q_w22_snapshot_loss", f"SELECT * FROM ({_hidden_sql('day', 86_400)}) UNION ALL SELECT * FROM ({_hidden_sql('week', 7 * 86_400)})")
 def w22(s, d):
     ev = streams.interactions(s, d, mixed=True)
     sp = spans.edge_spans(ev)
@@ -229,17 +320,25 @@ def w22(s, d):
 @query("q_w08_stage_times")
 def w08(s, d):
     """Seconds of window determination, dependency analysis and scheduling, and the analysis' share."""
-    ev = streams.interactions(s, d)
-    marks = [time.perf_counter()]
-    win = adaptive.adaptive(ev)
-    n_windows = win.count()
-    marks.append(time.perf_counter())
-    r = affected.affected_nodes(ev, spans.edge_spans(ev), 1, "in")
-    dep = conflicts.reduced(r, affected.writes(ev), win)
-    n_deps = dep.count()
-    marks.append(time.perf_counter())
-    waves.waves(dep, ev, win).count()
-    marks.append(time.perf_counter())
-    sec = np.diff(marks).tolist()
+    ev = streams.interactions(s, d).persist()
+    sp = spans.edge_spans(ev).persist()
+    held = [ev, sp]
+    ev.count(), sp.count()
+    rows, sec, win, dep = [], [], None, None
+    for stage in ("WD", "DA", "ES"):  # each stage reads what the one before it made, and makes all of its own
+        began = time.perf_counter()
+        if stage == "WD":
+            made = win = adaptive.adaptive(ev).persist()
+        elif stage == "DA":
+            made = dep = conflicts.reduced_one_hop(ev, sp, win).persist()
+        else:
+            made = waves.waves(dep, ev, win).persist()
+        rows.append(made.count())
+        sec.append(time.perf_counter() - began)
+        held.append(made)
+    n_windows, n_deps = rows[0], rows[1]
+    for x in held:
+        x.unpersist()
     times = s.createDataFrame([("s1", k, x) for k, x in zip(("WD", "DA", "ES"), sec)], "data string, stage string, seconds double")
-    return times.withColumns({"n_windows": F.lit(n_windows), "n_deps": F.lit(n_deps)})
+    share = measures.stage_share(times, "DA").withColumnRenamed("share", "analysis_share")
+    return times.join(share, "data").withColumns({"n_windows": F.lit(n_windows), "n_deps": F.lit(n_deps)})

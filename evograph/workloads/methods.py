@@ -155,12 +155,14 @@ def q_edges(s, d):
     return affected.affected_edges(affected.affected_nodes(ev, sp, 1, "in"), sp)
 
 
-@query("q_m17_subgraph")
+@query("q_m17_subgraph", cte("s1m", more=_SPANS.format(s="s1m") + _READS.format(s="s1m")) + """, ed AS (SELECT DISTINCT a.pos, p.src, p.dst FROM reads a JOIN spans p ON p.src = a.node_id AND p.from_pos <= a.pos AND p.to_pos > a.pos JOIN reads b ON b.pos = a.pos AND b.node_id = p.dst)
+SELECT v.pos, v.nodes, e.edges FROM (SELECT pos, string_agg(node_id::VARCHAR, ',' ORDER BY node_id) AS nodes FROM reads GROUP BY pos) v LEFT JOIN (SELECT pos, string_agg(src::VARCHAR || '>' || dst::VARCHAR, ',' ORDER BY src, dst) AS edges FROM ed GROUP BY pos) e ON e.pos = v.pos""")
 def q_subgraph(s, d):
     ev = s1m(s, d)
     sp = spans.edge_spans(ev)
     r = affected.affected_nodes(ev, sp, 1, "in")
-    return affected.subgraphs(r, affected.affected_edges(r, sp))
+    text = lambda c, f: F.array_join(F.transform(c, f), ",")
+    return affected.subgraphs(r, affected.affected_edges(r, sp)).select("pos", text("nodes", lambda x: x.cast("string")).alias("nodes"), text("edges", lambda x: F.concat(x["src"].cast("string"), F.lit(">"), x["dst"].cast("string"))).alias("edges"))
 
 
 @query("q_m18_last_time", cte("s1m") + _TOUCH.format(s="s1m") + " SELECT node_id, epoch_us(max(ts)) AS last_us, count(*) AS n FROM t JOIN s1m USING (pos) GROUP BY node_id")
@@ -344,8 +346,8 @@ def q_direct1(s, d):
 
 @query("q_m35_reduced", _DEP1 + ", red AS (SELECT DISTINCT window_id, later_pos, e AS earlier_pos FROM (SELECT r.pos // 200 AS window_id, r.pos AS later_pos, r.node_id, max(w.pos) AS e FROM reads r JOIN t w ON w.node_id = r.node_id AND w.pos < r.pos AND w.pos // 200 = r.pos // 200 GROUP BY ALL)) SELECT * FROM red")
 def q_reduced(s, d):
-    _, r, w, win = _parts(s, d, 1)
-    return conflicts.reduced(r, w, win)
+    ev, _, _, win = _parts(s, d, 1)
+    return conflicts.reduced_one_hop(ev, spans.edge_spans(ev), win)
 
 
 _CLOSE = _DEP0.replace("WITH ", "WITH RECURSIVE ", 1) + ", clo(window_id, later_pos, earlier_pos) AS (SELECT * FROM dep UNION SELECT c.window_id, c.later_pos, d.earlier_pos FROM clo c JOIN dep d ON d.window_id = c.window_id AND d.later_pos = c.earlier_pos)"
