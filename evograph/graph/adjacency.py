@@ -5,6 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from evograph.session import ensure_checkpoints
+from evograph.windows.adaptive import touches
+from evograph.windows.fixed import members
+
 from evograph.graph.spans import graph_at
 
 
@@ -41,6 +45,34 @@ def triangles(spans: DataFrame, pos: int) -> DataFrame:
     return two.join(e.select("a", F.col("b").alias("c")), ["a", "c"]).agg(F.count("*").alias("triangles"))
 
 
+def connected_components(spans: DataFrame, pos: int, rounds: int = 64) -> DataFrame:
+    """``node_id, component``: the smallest node that each node of the graph after ``pos`` is connected to.
+
+    Every node takes the least component of its neighbours, and then that of the node it is
+    named after, so long paths halve; lineage is cut by a reliable checkpoint in every round.
+    """
+    g = graph_at(spans, pos).select(F.col("src").alias("a"), F.col("dst").alias("b"))
+    ensure_checkpoints(g.sparkSession)
+    both = g.unionByName(g.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().checkpoint()
+    now = both.select(F.col("a").alias("node_id")).distinct().withColumn("component", F.col("node_id"))
+    for _ in range(rounds):
+        near = both.join(now.select(F.col("node_id").alias("b"), "component"), "b").groupBy(F.col("a").alias("node_id")).agg(F.min("component").alias("near"))
+        low = now.join(near, "node_id").select("node_id", F.col("component").alias("old"), F.least("component", "near").alias("low"))
+        above = now.select(F.col("node_id").alias("low"), F.col("component").alias("higher"))
+        new = low.join(above, "low").select("node_id", "old", F.least("low", "higher").alias("component")).checkpoint()
+        now = new.select("node_id", "component")
+        if new.where("old <> component").isEmpty():
+            return now
+    raise RuntimeError(f"components still change after {rounds} rounds")
+
+
+def window_hubs(ev: DataFrame, win: DataFrame, share: float = 0.05) -> DataFrame:
+    """``window_id, node_id, n``: nodes that take part in at least ``share`` of a window's events."""
+    size = members(ev, win).groupBy("window_id").agg(F.count("*").alias("size"))
+    n = members(ev, win).join(touches(ev), "pos").groupBy("window_id", "node_id").agg(F.count("*").alias("n"))
+    return n.join(size, "window_id").where(F.col("n") >= F.col("size") * share).select("window_id", "node_id", "n")
+
+
 def pair_scores(spans: DataFrame, pos: int) -> DataFrame:
     """``a, b, common, jaccard, preferential`` of pairs with a common out-neighbour (plain link-prediction scores)."""
     g = graph_at(spans, pos).select("src", "dst").distinct()

@@ -138,8 +138,6 @@ def holdout(ev: DataFrame, share: float = 0.8) -> DataFrame:
     return ev.withColumn("part", F.when(F.col("pos") < cut, "train").otherwise("test"))
 
 
-def leaks(ev: DataFrame, tails: DataFrame) -> DataFrame:
-    """``window_id, pos``: test events that the same window trains on; must be empty."""
-    train = members(ev, tails.select("window_id", "start_pos", F.col("train_end").alias("end_pos")))
-    test = members(ev, tails.select("window_id", F.col("train_end").alias("start_pos"), "end_pos"))
-    return test.join(train, ["window_id", "pos"], "left_semi").select("window_id", "pos")
+def leaks(ev: DataFrame, train: DataFrame, test: DataFrame) -> DataFrame:
+    """``window_id, pos``: events of a window's test range that its training range has, too; must be empty."""
+    return members(ev, test).join(members(ev, train), ["window_id", "pos"], "left_semi").select("window_id", "pos")

@@ -12,7 +12,8 @@ from evograph.schema import TABLES
 from evograph.sources import streams
 from evograph.sources.tables import scan, table
 from evograph.stream.positions import micros
-from evograph.windows.adaptive import adaptive, touches
+from evograph.windows.adaptive import touches
+from evograph.windows.fixed import batches
 
 
 def _s1(s: SparkSession, d: str) -> DataFrame:
@@ -90,6 +91,13 @@ def hash_sample(s, d):
     return _s1(s, d).where((F.col("pos") * 48271 + 11) % 2147483647 % 10 == 0).select("pos")
 
 
+@query("q_o17_stratified_hash", cte("s1m") + "SELECT kind, count(*) AS n FROM s1m WHERE (pos * 48271 + 11) % 2147483647 % 100 < CASE kind WHEN 'edge_add' THEN 10 WHEN 'edge_del' THEN 50 ELSE 100 END GROUP BY kind")
+def stratified_hash(s, d):
+    """A share of each kind by an arithmetic hash: the same rows whatever the partitions."""
+    share = F.when(F.col("kind") == "edge_add", 10).when(F.col("kind") == "edge_del", 50).otherwise(100)
+    return _s1m(s, d).where((F.col("pos") * 48271 + 11) % 2147483647 % 100 < share).groupBy("kind").agg(F.count("*").alias("n"))
+
+
 @query("q_o17_stratified_sample")
 def stratified_sample(s, d):
     return _s1m(s, d).sampleBy("kind", {"edge_add": 0.1, "edge_del": 0.5, "node_add": 1.0}, seed=7).groupBy("kind").agg(F.count("*").alias("n"))
@@ -275,9 +283,25 @@ def approx_nodes(s, d):
     return _s1(s, d).groupBy("kind").agg(F.approx_count_distinct("src", 0.02).alias("srcs"), F.hll_sketch_estimate(F.hll_sketch_agg("dst")).alias("dsts"), F.percentile_approx("weight", 0.5, 1000).alias("median"), F.countDistinct("src").alias("exact_srcs"), F.countDistinct("dst").alias("exact_dsts"))
 
 
-@query("q_o40_count_min")
-def count_min(s, d):
-    return _s1(s, d).agg(F.length(F.count_min_sketch("dst", F.lit(0.01), F.lit(0.95), F.lit(7))).alias("sketch_bytes"), F.expr("size(approx_top_k(dst, 5))").alias("top"))
+@query("q_o40_sketch_bounds", cte("s1") + "SELECT count(DISTINCT src) AS srcs, count(DISTINCT dst) AS dsts, true AS hll, true AS theta, true AS overlap, true AS kll, true AS top FROM s1")
+def sketch_bounds(s, d):
+    """Exact counts, and whether each sketch is within its error: distinct, set overlap, median, most frequent."""
+    ev = _s1(s, d)
+    theta = F.expr("theta_sketch_agg(src)")
+    a = ev.agg(
+        F.countDistinct("src").alias("srcs"), F.countDistinct("dst").alias("dsts"),
+        F.hll_sketch_estimate(F.hll_sketch_agg("src")).alias("hll"), F.expr("theta_sketch_estimate(theta_sketch_agg(src))").alias("theta"),
+        F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(weight), 0.5D)").alias("kll"), F.expr("percentile(weight, array(0.45, 0.55))").alias("middle"),
+        F.expr("approx_top_k(dst, 1)[0].count").alias("top"),
+    )
+    halves = ev.agg(theta.alias("all")).crossJoin(ev.where("pos % 2 = 0").agg(theta.alias("even")))
+    both = halves.select(F.expr("theta_sketch_estimate(theta_intersection(all, even))").alias("both")).crossJoin(ev.where("pos % 2 = 0").agg(F.countDistinct("src").alias("exact")))
+    most = ev.groupBy("dst").count().agg(F.max("count").alias("most"))
+    near = lambda x, y, e: F.abs(x - y) <= e * y + 1
+    return a.crossJoin(both).crossJoin(most).select(
+        "srcs", "dsts", near(F.col("hll"), F.col("srcs"), 0.06).alias("hll"), near(F.col("theta"), F.col("srcs"), 0.06).alias("theta"), near(F.col("both"), F.col("exact"), 0.1).alias("overlap"),
+        F.col("kll").between(F.col("middle")[0], F.col("middle")[1]).alias("kll"), near(F.col("top"), F.col("most"), 0.05).alias("top"),
+    )
 
 
 @query("q_o41_kind_pivot", cte("s1m") + "SELECT kind_class, count(*) FILTER (WHERE kind = 'edge_add') AS edge_add, count(*) FILTER (WHERE kind = 'edge_del') AS edge_del, count(*) FILTER (WHERE kind = 'node_add') AS node_add FROM s1m GROUP BY kind_class")
@@ -381,9 +405,24 @@ def g_degrees(s, d):
     return adjacency.degrees(spans.edge_spans(_s1(s, d)), 900)
 
 
-@query("q_g02_triangles", cte("s4") + "SELECT 0 AS triangles")
+_FOLD = cte("s1", more="f AS (SELECT (src // 2) % 40 AS src, (dst // 2 + 3) % 40 AS dst FROM s1 WHERE pos <= 300), e AS (SELECT DISTINCT least(src, dst) AS a, greatest(src, dst) AS b FROM f WHERE src <> dst)")
+
+
+def _folded(s: SparkSession, d: str) -> DataFrame:
+    """A one-sided graph: users and items share forty names, so that triangles exist."""
+    half = lambda c, more: F.floor(F.col(c) / 2 + more).cast("long") % 40
+    return _s1(s, d).withColumns({"src": half("src", 0), "dst": half("dst", 3)})
+
+
+@query("q_g02_triangles", _FOLD + "SELECT count(*) AS triangles FROM e x JOIN e y ON y.a = x.b JOIN e z ON z.a = x.a AND z.b = y.b")
 def g_triangles(s, d):
-    return adjacency.triangles(spans.edge_spans(streams.dialogue(s, d)), 10**9)
+    return adjacency.triangles(spans.edge_spans(_folded(s, d)), 300)
+
+
+@query("q_g03_components", cte("s1", more="e AS (SELECT DISTINCT src AS a, dst AS b FROM s1 WHERE pos <= 40 UNION SELECT dst, src FROM s1 WHERE pos <= 40), c(n, root) AS (SELECT a, a FROM e UNION SELECT e.b, c.root FROM c JOIN e ON e.a = c.n AND c.root < e.b)", recursive=True) + "SELECT n AS node_id, min(root) AS component FROM c GROUP BY n")
+def g_components(s, d):
+    """Components of an early snapshot, when the graph still has several."""
+    return adjacency.connected_components(spans.edge_spans(_s1(s, d)), 40)
 
 
 @query("q_g04_reach", cte("s1") + ", g AS (SELECT DISTINCT src, dst FROM s1 WHERE pos <= 300), b AS (SELECT src AS a, dst AS b FROM g UNION SELECT dst, src FROM g), r0 AS (SELECT 1 AS n, 0 AS h), r1 AS (SELECT b AS n, 1 AS h FROM b WHERE a = 1), r2 AS (SELECT b.b AS n, 2 AS h FROM r1 JOIN b ON b.a = r1.n) SELECT n AS node_id, min(h) AS hops FROM (SELECT * FROM r0 UNION ALL SELECT * FROM r1 UNION ALL SELECT * FROM r2) GROUP BY n")
@@ -396,9 +435,8 @@ def g_pair_scores(s, d):
     return adjacency.pair_scores(spans.edge_spans(_s1(s, d)), 2000)
 
 
-@query("q_g06_window_hubs", "SELECT 1 AS one WHERE false")
+@query("q_g06_window_hubs", cte("s1") + ", t AS (SELECT pos, src AS node_id FROM s1 UNION SELECT pos, dst FROM s1) SELECT pos // 200 AS window_id, node_id, count(*) AS n FROM t JOIN (SELECT pos // 200 AS w, count(*) AS size FROM s1 GROUP BY 1) z ON z.w = pos // 200 GROUP BY pos // 200, node_id HAVING count(*) >= 0.02 * any_value(size)")
 def g_window_hubs(s, d):
-    """Windows whose size breaks the limits: there must be none but the tail."""
-    w = adaptive(_s1(s, d))
-    last = w.agg(F.max("end_pos")).first()[0]
-    return w.where(((F.col("end_pos") - F.col("start_pos") < 100) | (F.col("end_pos") - F.col("start_pos") > 300)) & (F.col("end_pos") < F.lit(last))).select(F.lit(1).alias("one"))
+    """Nodes that take part in two hundredths or more of a batch."""
+    ev = _s1(s, d)
+    return adjacency.window_hubs(ev, batches(s, ev.count(), 200), 0.02)

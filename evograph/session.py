@@ -32,10 +32,18 @@ def work_dir(spark: SparkSession) -> str:
     """A folder that the driver and all executors share: the cluster's, or one of our own where none is named."""
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or _OWN.get("dir")
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         named = _OWN["dir"] = tempfile.mkdtemp(prefix="evograph-work-")
     return named.rstrip("/")
 
 
+def ensure_checkpoints(spark: SparkSession) -> None:
+    """Reliable checkpoints in the shared folder, unless the session has set theirs."""
+    if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
+        spark.sparkContext.setCheckpointDir(work_dir(spark))
+
+
 def ship(spark: SparkSession) -> None:
     """Let workers import this package; needed where their path does not have it already."""
     paths = os.environ.get("PYTHONPATH", "").split(os.pathsep)

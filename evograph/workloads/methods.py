@@ -517,8 +517,14 @@ def q_holdout(s, d):
     return measures.holdout(s1(s, d), 0.8).groupBy("part").agg(F.count("*").alias("n"), F.max("pos").alias("last_pos"))
 
 
-@query("q_m73_leaks", "SELECT CAST(NULL AS BIGINT) AS window_id, CAST(NULL AS BIGINT) AS pos WHERE false")
+@query("q_m73_leaks", _adaptive_sql("s1") + "SELECT * FROM (VALUES ('held_out', 0)) t(training, leaked) UNION ALL SELECT 'whole_window', CAST(sum(greatest(1, CAST(floor((end_pos - start_pos) * 0.2 + 1e-9) AS BIGINT))) AS BIGINT) FROM win")
 def q_leaks(s, d):
+    """Test events of adaptive windows that training sees: none if the tail is held out, all of it if not."""
     ev = s1(s, d)
     t = measures.tail_fraction(adaptive.adaptive(ev), 0.2)
-    return measures.leaks(ev, t)
+    test = t.select("window_id", F.col("train_end").alias("start_pos"), "end_pos")
+    out = None
+    for name, end in (("held_out", "train_end"), ("whole_window", "end_pos")):
+        x = measures.leaks(ev, t.select("window_id", "start_pos", F.col(end).alias("end_pos")), test).agg(F.lit(name).alias("training"), F.count("*").alias("leaked"))
+        out = x if out is None else out.unionByName(x)
+    return out
