@@ -15,6 +15,7 @@ from evograph.session import ship
 
 #: Text handled at once inside a Python worker; memory is a small multiple of it.
 SLICE_BYTES = 1 << 20
+_PLAN_TEXT = "spark.sql.maxPlanStringLength"
 ARROW_ROWS = 1024
 
 _U = np.uint64
@@ -47,9 +48,19 @@ def ensure_checkpoints(spark: SparkSession) -> None:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Cut lineage with a reliable checkpoint; lost executors do not lose it."""
-    ensure_checkpoints(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """Cut lineage with a reliable checkpoint; lost executors do not lose it.
+
+    The driver keeps a description of every plan it has run, anew for each stage that is
+    re-planned; many rounds would fill its memory with them, so they are kept short here.
+    """
+    spark = df.sparkSession
+    ensure_checkpoints(spark)
+    usual = spark.conf.get(_PLAN_TEXT)
+    spark.conf.set(_PLAN_TEXT, "4096")
+    try:
+        return df.checkpoint(eager=True)
+    finally:
+        spark.conf.set(_PLAN_TEXT, usual)
 
 
 def forget(df: DataFrame) -> None:
@@ -217,11 +228,13 @@ def components(links: DataFrame, rounds: int = 64) -> DataFrame:
         if ends.where("child > 1 OR (child = 1 AND parent = 1)").isEmpty():
             return e.select(F.col("a").alias("id"), F.col("b").alias("root"))
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b"))).withColumn("deal", deal_of("b"))
-        large = _with_least(both).where("b > a").select(F.col("b").alias("a"), F.least("a", "m").alias("b")).where("a <> b")
+        # cut here, too: a plan that holds one self-join inside another is planned eightfold
+        large = cut(_with_least(both).where("b > a").select(F.col("b").alias("a"), F.least("a", "m").alias("b")).where("a <> b"))
         small = _with_least(large.withColumn("deal", deal_of("b")))
-        last = e
+        last = [e, large]
         e = cut(small.select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct())
-        forget(last)
+        for x in last:
+            forget(x)
     raise RuntimeError(f"components: links still change after {rounds} rounds")
 
 
