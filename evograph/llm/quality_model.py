@@ -3,7 +3,9 @@
 The text view sees content: hashed character trigrams, word repetition and layout shares. The
 metadata view sees the record around it and nothing of the text: source, language tag and
 recorded size. Each view is a logistic model. In every round each view labels all unlabelled documents and hands those
-it is surest of, in the classes' proportion, to the other view's training set. The views are
+it is surest of, in the classes' proportion, to the other view's training set. It is sure where
+its margin, calibrated on labelled rows kept aside, leaves little doubt beyond the classes'
+shares (``SURE``); a view that knows nothing of quality hands over nothing. The views are
 then calibrated (Platt) on labelled rows kept aside and combined by a third logistic model
 on their log-odds, fitted on the same rows; every document gets both scores and the combined one.
 
@@ -39,6 +41,8 @@ LABELLED = 2500
 ROUNDS = 4
 #: Share of the unlabelled documents that a view hands over in a round, and their largest number.
 HANDED, MOST_HANDED = 0.05, 125
+#: Doubt with which a view may hand over a label, as a part of the share of the other class.
+SURE = 0.25
 #: A document is kept from this probability of being good on.
 KEEP = 0.5
 
@@ -119,10 +123,10 @@ class CoModel:
         return _sigmoid(a), _sigmoid(b), _sigmoid(a * self.join[0] + b * self.join[1] + self.join[2])
 
 
-def co_train(content: np.ndarray, record: np.ndarray, y: np.ndarray, weight: np.ndarray, surest: Callable[[list[np.ndarray]], list[tuple[np.ndarray, np.ndarray, np.ndarray]]], rounds: int = ROUNDS) -> CoModel:
+def co_train(content: np.ndarray, record: np.ndarray, y: np.ndarray, weight: np.ndarray, surest: Callable[[list[np.ndarray], list[tuple[float, float]]], list[tuple[np.ndarray, np.ndarray, np.ndarray]]], rounds: int = ROUNDS) -> CoModel:
     """Exchange confident pseudo-labels for some rounds, then calibrate and combine.
 
-    ``surest(models)`` gives, for each view, both feature rows and labels of what it hands over.
+    ``surest(models, limits)`` gives, for each view, both feature rows and labels of what it hands over.
     """
     aside = np.arange(len(y)) % 4 == 0
     if min((y[aside] > 0.5).sum(), (y[aside] <= 0.5).sum()) == 0 or min((y[~aside] > 0.5).sum(), (y[~aside] <= 0.5).sum()) == 0:
@@ -130,28 +134,39 @@ def co_train(content: np.ndarray, record: np.ndarray, y: np.ndarray, weight: np.
     base = ~aside
     sets = [(content[base], y[base]), (record[base], y[base])]
     handed = []
+    held = aside if aside.any() else np.ones(len(y), dtype=bool)
+    good = float(np.average(y, weights=weight))
     models = [logistic(*s) for s in sets]
     for _ in range(rounds):
-        given = surest(models)
+        given = surest(models, [limits_of(_margin(x[held], m), y[held], weight[held], good) for x, m in zip((content, record), models)])
         for me, other in ((0, 1), (1, 0)):
             label = given[me][2]
             if len(label):
                 sets[other] = (np.vstack([sets[other][0], given[me][other]]), np.append(sets[other][1], label))
         handed.append(tuple(len(g[2]) for g in given))
         models = [logistic(*s) for s in sets]
-    held = aside if aside.any() else np.ones(len(y), dtype=bool)
     za, zb = _margin(content[held], models[0]), _margin(record[held], models[1])
     sa, sb = _newton(za[:, None], y[held], weight[held]), _newton(zb[:, None], y[held], weight[held])
     joint = _newton(np.stack([za * sa[0] + sa[1], zb * sb[0] + sb[1]], axis=1), y[held], weight[held])
     return CoModel(models[0], models[1], sa, sb, joint, handed)
 
 
+def limits_of(z: np.ndarray, y: np.ndarray, weight: np.ndarray, good: float) -> tuple[float, float]:
+    """Margins up to which a view is sure of a bad document and from which it is sure of a good one."""
+    slope, at = _newton(z[:, None], y, weight)
+    if slope <= 1e-3:
+        return -np.inf, np.inf
+    odds = lambda p: np.log(p / (1 - p))
+    bad, fine = SURE * good, 1 - SURE * (1 - good)
+    return float((odds(min(bad, 0.5)) - at) / slope), float((odds(max(fine, 0.5)) - at) / slope)
+
+
 def _print() -> Column:
     """Equal for rows that both views see alike."""
     return F.xxhash64(F.coalesce("text", F.lit("")), F.coalesce("source", F.lit("\0")), F.coalesce("lang", F.lit("\0")), F.coalesce("n_chars", F.lit(-1)))
 
 
-def sure_rows(docs: DataFrame, models: list[np.ndarray], known: set[int], gone: set[int], most: int) -> list[list[tuple[float, int]]]:
+def sure_rows(docs: DataFrame, models: list[np.ndarray], limits: list[tuple[float, float]], known: set[int], gone: set[int], most: int) -> list[list[tuple[float, int]]]:
     """The ``most`` surest prints of every view and class (view 0 good, bad, view 1 good, bad), from all rows not known."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -168,8 +183,8 @@ def sure_rows(docs: DataFrame, models: list[np.ndarray], known: set[int], gone:
                 both = views(*[part.column(i).to_pylist() for i in (1, 2, 3, 4)])
                 for me in (0, 1):
                     z = _margin(both[me], models[me])
-                    for kind, sure in ((2 * me, z), (2 * me + 1, -z)):
-                        for i in np.flatnonzero(sure > 1).tolist():
+                    for kind, sure, least in ((2 * me, z, limits[me][1]), (2 * me + 1, -z, -limits[me][0])):
+                        for i in np.flatnonzero(sure >= least).tolist():
                             best[kind][prints[i]] = float(sure[i])
             for kind in range(4):
                 if len(best[kind]) > 4 * most:
@@ -213,8 +228,8 @@ def fit(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, most: int
     n_good = max(1, round(hand * good))
     numbers = (n_good, max(1, hand - n_good))
 
-    def surest(models: list[np.ndarray]) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        best = sure_rows(docs, models, known, gone, 3 * hand)  # a print goes once: views and classes may both want it
+    def surest(models: list[np.ndarray], limits: list[tuple[float, float]]) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        best = sure_rows(docs, models, limits, known, gone, 3 * hand)  # a print goes once: views and classes may both want it
         label: list[dict[int, float]] = [{}, {}]
         for me in (0, 1):
             for kind, value in ((2 * me, 1.0), (2 * me + 1, 0.0)):
