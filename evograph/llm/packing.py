@@ -44,6 +44,8 @@ END_ID = 1
 RANK_PARTS, RANK_ROWS = 256, 50_000
 #: Rounds of multiplicative weights, and how fast prices follow coverage.
 LP_ROUNDS, LP_RATE = 8, 8.0
+#: Gap between the program's value and its bound at which rounds end, and their largest number.
+LP_GAP, MOST_ROUNDS = 0.1, 32
 #: Share of the sequences that best fit may place, and columns taken from one knapsack table.
 BEST_FIT_SHARE, COLUMNS = 0.02, 256
 TABLE_WORDS, TABLE_PARTS = 1_300_000, 600_000
@@ -258,6 +260,18 @@ def _key(lengths: np.ndarray, items: dict[int, int]) -> tuple[tuple[int, int], .
 def solve_lp(lengths: np.ndarray, counts: np.ndarray, capacity: int, rounds: int = LP_ROUNDS) -> tuple[dict[tuple[tuple[int, int], ...], float], float]:
     """Columns of the configuration program that cover all counts, with their amounts, and a dual lower bound.
 
+    Rounds are doubled, so steps are smaller, until the gap is ``LP_GAP`` or there are ``MOST_ROUNDS``.
+    """
+    while True:
+        amount, bound = _solve(lengths, counts, capacity, rounds)
+        if sum(amount.values()) <= (1 + LP_GAP) * bound or 2 * rounds > MOST_ROUNDS:
+            return amount, bound
+        rounds *= 2
+
+
+def _solve(lengths: np.ndarray, counts: np.ndarray, capacity: int, rounds: int) -> tuple[dict[tuple[tuple[int, int], ...], float], float]:
+    """One solution by multiplicative weights.
+
     In every round the weight of a length falls exponentially with its coverage, one knapsack
     table is made at lengths times weights, and every length that lags behind the round's share,
     least covered first, gets a near-best column through it, by as much as closes its gap.
@@ -294,6 +308,32 @@ def solve_lp(lengths: np.ndarray, counts: np.ndarray, capacity: int, rounds: int
     return {k: x for k, x in amount.items() if x > 0}, bound
 
 
+def _fullest(lengths: np.ndarray, room: np.ndarray, first: int, capacity: int) -> dict[int, int]:
+    """The column through ``first`` that pieces still there fill most, where none fills it: a bounded knapsack by lengths."""
+    own = room.copy()
+    own[first] -= 1
+    free = capacity - int(lengths[first])
+    near = np.flatnonzero((own > 0) & (lengths <= free))
+    via = np.full(free + 1, -1, dtype=np.int64)  # the last length that reached a sum first
+    reached = np.zeros(free + 1, dtype=bool)
+    reached[0] = True
+    for i in near[::-1].tolist():  # longest first
+        for _ in range(int(min(own[i], free // lengths[i]))):
+            step = int(lengths[i])
+            new = np.flatnonzero(reached[:-step] & ~reached[step:]) + step if step <= free else near[:0]
+            if not len(new):
+                break
+            reached[new], via[new] = True, i
+        if reached[free]:
+            break
+    items, c = {first: 1}, int(np.flatnonzero(reached)[-1])
+    while c > 0:
+        i = int(via[c])
+        items[i] = items.get(i, 0) + 1
+        c -= int(lengths[i])
+    return items
+
+
 def priced_columns(left: dict[int, int], capacity: int, until: float) -> list[tuple[int, tuple[tuple[int, int], ...]]]:
     """Whole full columns out of the pieces ``left`` (which it lowers), until these need no more than ``until`` sequences.
 
@@ -309,7 +349,7 @@ def priced_columns(left: dict[int, int], capacity: int, until: float) -> list[tu
         prices = lengths.astype(np.float64)
         best, found = price_table(lengths, prices, capacity), 0
         for i in range(len(lengths) - 1, -1, -1):
-            while room[i] > 0 and found < COLUMNS and (items := _column(best, lengths, prices, room, i, capacity, 1e-9, None)):
+            while room[i] > 0 and found < COLUMNS and (items := _column(best, lengths, prices, room, i, capacity, 1e-9, None) or _fullest(lengths, room, i, capacity)):
                 n = int(min(room[j] // k for j, k in items.items()))
                 groups.append((n, _key(lengths, items)))
                 for j, k in items.items():
@@ -367,6 +407,8 @@ def make_plan(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int =
     counts = np.array([histogram[int(x)] for x in lengths], dtype=np.float64)
     amount, plan.lp_bound = solve_lp(lengths, counts, capacity, rounds)
     plan.lp_value, left = sum(amount.values()), dict(histogram)
+    if plan.lp_value > (1 + LP_GAP) * plan.lp_bound:
+        amount = {}  # not solved to its gap: its columns waste what others need, so all are priced anew
     for items, x in sorted(amount.items(), key=lambda kv: (-sum(a * b for a, b in kv[0]), -kv[1], kv[0])):
         n = int(min([x + 1e-6, *(left[length] // k for length, k in items)]))
         if n > 0:
