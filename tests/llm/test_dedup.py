@@ -164,3 +164,11 @@ def test_vectors_equal_brute_force(spark):
     got = {x["vec_id"]: (x["n_links"], x["component_id"]) for x in E.near_duplicates(two).collect()}
     assert got == {1: (3, 1), 2: (1, 1), 3: (2, 1), 4: (2, 1)}
     assert E.near_duplicates(df.where("vec_id = 900")).first()["kept"]
+
+
+def test_size_estimates_do_not_grow_with_rounds(spark):
+    """Each self-join squares the estimate that a checkpoint hands on; plans on the driver then hold megabytes of digits."""
+    root = components(spark.createDataFrame([(k, k + 1) for k in range(40)], "a long, b long"))
+    size = root._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()
+    assert size.bit_length() <= 64
+    assert {x["root"] for x in root.collect()} == {0}
