@@ -23,7 +23,7 @@ without any). Repeated rows get equal scores; extra columns are ignored.
 from __future__ import annotations
 
 import zlib
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterator, Sequence
 from dataclasses import dataclass
 
 import numpy as np
@@ -166,7 +166,7 @@ def _print() -> Column:
     return F.xxhash64(F.coalesce("text", F.lit("")), F.coalesce("source", F.lit("\0")), F.coalesce("lang", F.lit("\0")), F.coalesce("n_chars", F.lit(-1)))
 
 
-def sure_rows(docs: DataFrame, models: list[np.ndarray], limits: list[tuple[float, float]], known: set[int], gone: set[int], most: int) -> list[list[tuple[float, int]]]:
+def sure_rows(docs: DataFrame, models: list[np.ndarray], known: set[int], gone: set[int], most: int, limits: Sequence[tuple[float, float]] = ((-1.0, 1.0), (-1.0, 1.0))) -> list[list[tuple[float, int]]]:
     """The ``most`` surest prints of every view and class (view 0 good, bad, view 1 good, bad), from all rows not known."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -229,7 +229,7 @@ def fit(docs: DataFrame, labels: DataFrame, labelled: int = LABELLED, most: int
     numbers = (n_good, max(1, hand - n_good))
 
     def surest(models: list[np.ndarray], limits: list[tuple[float, float]]) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        best = sure_rows(docs, models, limits, known, gone, 3 * hand)  # a print goes once: views and classes may both want it
+        best = sure_rows(docs, models, known, gone, 3 * hand, limits)  # a print goes once: views and classes may both want it
         label: list[dict[int, float]] = [{}, {}]
         for me in (0, 1):
             for kind, value in ((2 * me, 1.0), (2 * me + 1, 0.0)):
