@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from evograph.llm.common import cut, table, tidy
+from evograph.llm.common import cut, kept, table, tidy
 from evograph.llm.piece_codec import text_groups
 
 CAPACITY = 4096
@@ -55,7 +55,6 @@ _ODD = re.compile("[\x1c-\x1f]")
 #: A word of Latin letters and then symbols is two units of the tokenizer.
 _UNITS = re.compile("[A-Za-zª-įı-ſ]+")
 _SYMBOLS = string.punctuation
-_TOKENS: dict[str, "WordTokens"] = {}
 
 
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
@@ -167,9 +166,10 @@ class WordTokens:
 
 
 def _tokens(path: str) -> WordTokens:
-    if path not in _TOKENS:
-        _TOKENS[path] = WordTokens(path)
-    return _TOKENS[path]
+    tokens = kept("packing")
+    if path not in tokens:
+        tokens[path] = WordTokens(path)
+    return tokens[path]
 
 
 def pieces(docs: DataFrame, tokenizer: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:

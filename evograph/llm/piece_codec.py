@@ -27,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from evograph.llm.common import table
+from evograph.llm.common import kept, table
 
 MARK = "▁"
 LONG_WORD = 512
@@ -35,7 +35,6 @@ TABLE_WORDS = 800_000
 SLICE_CHARS = 2_000_000
 _WORD = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
 _NONE = np.int64(2**62)
-_CODECS: dict[str, "PieceCodec"] = {}
 
 
 def model_path(name: str = "piece_bpe_32k.model") -> str:
@@ -266,10 +265,11 @@ def _utf8(run: bytes) -> str:
 
 
 def codec(model_file: str) -> PieceCodec:
-    """The codec of a model, made once in each Python worker."""
-    if model_file not in _CODECS:
-        _CODECS[model_file] = PieceCodec(model_file)
-    return _CODECS[model_file]
+    """The codec of a model, kept by a Python worker until another operator needs it."""
+    codecs = kept("piece_codec")
+    if model_file not in codecs:
+        codecs[model_file] = PieceCodec(model_file)
+    return codecs[model_file]
 
 
 def text_groups(texts: list[str | None]) -> Iterator[tuple[int, int]]:

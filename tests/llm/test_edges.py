@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import weakref
 
 import pytest
 from pyspark.sql import functions as F
@@ -15,6 +16,7 @@ from evograph.llm import packing as K
 from evograph.llm import piece_codec as P
 from evograph.llm import quality_model as Q
 from evograph.llm import quality_rules as R
+from evograph.llm.common import slices
 
 CLASH = ("print", "n", "root", "deal", "key", "ids", "score", "kept", "length", "words", "host", "line", "class", "size")
 
@@ -86,3 +88,11 @@ def test_vectors(spark):
 def test_chat_lists_without_turns(spark):
     df = spark.createDataFrame([(1, '{"messages": []}'), (2, "{}"), (3, "[]"), (4, None)], "id long, rec string")
     assert C.json_turns(df, "id", "rec").count() == 0
+
+
+@pytest.mark.parametrize("held", [lambda: K._tokens(K.tokenizer_path()), lambda: P.codec(P.model_path())], ids=["packing", "piece_codec"])
+def test_a_worker_gives_back_what_it_kept_for_another_operator(held):
+    ref = weakref.ref(held())
+    assert held() is ref()  # kept for the operator's own next task
+    list(slices(["some other operator's text"]))
+    assert ref() is None
