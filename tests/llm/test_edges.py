@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import time
 import weakref
 
 import pytest
@@ -16,7 +17,7 @@ from evograph.llm import packing as K
 from evograph.llm import piece_codec as P
 from evograph.llm import quality_model as Q
 from evograph.llm import quality_rules as R
-from evograph.llm.common import slices
+from evograph.llm.common import components, slices
 
 CLASH = ("print", "n", "root", "deal", "key", "ids", "score", "kept", "length", "words", "host", "line", "class", "size")
 
@@ -96,3 +97,23 @@ def test_a_worker_gives_back_what_it_kept_for_another_operator(held):
     assert held() is ref()  # kept for the operator's own next task
     list(slices(["some other operator's text"]))
     assert ref() is None
+
+
+def test_rounds_leave_no_shuffle_files(spark):
+    """Shuffle files of the rounds of components go when a round is checkpointed, not when the driver collects garbage."""
+
+    def files() -> int:
+        found = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+        return sum(found.apply(k).getName().startswith("shuffle_") for k in range(found.size()))
+
+    before = files()
+    links = spark.range(300).selectExpr("id AS a", "id + 1 AS b")
+    root = components(links)
+    left = files()
+    for _ in range(50):  # files are deleted in the background
+        if left <= before:
+            break
+        time.sleep(0.1)
+        left = files()
+    assert left <= before
+    assert {r["root"] for r in root.collect()} == {0} and root.count() == 300
